@@ -23,12 +23,13 @@ from tallymill.llm.shared import cut
 #: Share of all documents a lexicon term stands in. There are at most (distinct terms of a
 #: document, on average) / LOW such terms, however many documents there are.
 LOW, HIGH = 0.0005, 0.3
-#: Components, and kept share of the lexicon by tier: 1, 1/2, 1/4, ...
-COMPONENTS, TIERS = 32, 8
+#: The first component keeps the whole lexicon; then come tiers that keep 1/4, 1/8, ... of it.
+TIERS, EACH = 9, 7
+COMPONENTS = 1 + TIERS * EACH
+RATES = [1.0] + [0.5 ** (2 + t) for t in range(TIERS) for _ in range(EACH)]
 #: Most terms that are broadcast; beyond, raise LOW.
 MOST_TERMS = 4_000_000
 _WORD = regex.compile(r"[\p{L}\p{N}]+")
-_NONE = b"\0\0\0\0"
 
 
 def terms(text: str) -> set[str]:
@@ -41,13 +42,13 @@ def _masks(lexicon: list[str]) -> dict[str, tuple[int, ...]]:
 
 
 def kept(term: str) -> tuple[int, ...]:
-    draw = np.frombuffer(blake2b(term.encode(), digest_size=64, person=b"imatch").digest() + blake2b(term.encode(), digest_size=64, person=b"imatch2").digest(), np.uint32)
-    rate = np.float64(2**32) * 0.5 ** (np.arange(COMPONENTS) % TIERS)
-    return tuple(np.flatnonzero(draw[:COMPONENTS] < rate).tolist())
+    raw = term.encode()
+    draw = np.frombuffer(b"".join(blake2b(raw, digest_size=64, salt=bytes([k])).digest() for k in range(4)), np.uint32)
+    return tuple(np.flatnonzero(draw[:COMPONENTS] < np.array(RATES) * 2**32).tolist())
 
 
 def fingerprint(text: str, masks: dict[str, tuple[int, ...]]) -> bytes:
-    """COMPONENTS hashes of four bytes, zero where no term is kept. A text without a lexicon
+    """COMPONENTS hashes of two bytes, zero where no term is kept. A text without a lexicon
     term is taken by all its terms."""
     own = terms(text)
     inside = own & masks.keys()
@@ -55,14 +56,21 @@ def fingerprint(text: str, masks: dict[str, tuple[int, ...]]) -> bytes:
     for t in sorted(inside or own):
         for k in masks[t] if inside else kept(t):
             parts[k].append(t)
-    return b"".join(xxhash.xxh32_digest(" ".join(p).encode(), k) if p else _NONE for k, p in enumerate(parts))
+    return np.array([1 + xxhash.xxh32_intdigest(" ".join(p).encode(), k) % 65535 if p else 0 for k, p in enumerate(parts)], "<u2").tobytes()
 
 
 def likeness(a: bytes, b: bytes) -> float:
-    """Share of equal components among those that either has; 1 if neither has any."""
-    x, y = np.frombuffer(a, np.uint32), np.frombuffer(b, np.uint32)
-    some = (x != 0) | (y != 0)
-    return float((x == y)[some].mean()) if some.any() else 1.0
+    """Share of equal components among those that either text has, over the tiers that keep
+    so few of its terms that a quarter of a text's components are empty: there the share nears
+    that of the lexicon terms that both texts have. 1 for equal fingerprints."""
+    if a == b:
+        return 1.0
+    x, y = np.frombuffer(a, "<u2"), np.frombuffer(b, "<u2")
+    some, tier = (x != 0) | (y != 0), slice(1, COMPONENTS)
+    empty = np.minimum((x[tier] != 0).reshape(TIERS, EACH).mean(1), (y[tier] != 0).reshape(TIERS, EACH).mean(1)) <= 0.75
+    some[tier] &= np.repeat(empty, EACH)
+    some[0] &= not empty.any()
+    return float((x == y)[some].mean()) if some.any() else 0.0
 
 
 def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> list[str]:
