@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tallymill.llm import bpe, decontaminate, langid, simhash
+from tallymill.llm import bpe, decontaminate, langid, simhash, suffixes
 from tallymill.llm.queries import tokenizer
 from tallymill.llm.shared import cut, table
 
@@ -20,6 +20,11 @@ def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return simhash.keep_one(docs)
 
 
+def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the passages that repeat."""
+    return suffixes.stripped(docs)
+
+
 def uncontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that do not repeat the benchmark."""
     return decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
@@ -34,6 +39,7 @@ def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("language", known_language),
     ("near_duplicates", one_of_each),
+    ("repeats", without_repeats),
     ("uncontaminated", uncontaminated),
     ("encoded", encoded),
 ]
