@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallymill.llm import bpe, decontaminate, imatch, langid, sharding, simhash, suffixes
+from tallymill.llm import bpe, chats, decontaminate, imatch, langid, licenses, paragraphs, sharding, simhash, suffixes
 from tallymill.llm.shared import table
 
 
@@ -17,6 +17,14 @@ def tokenizer() -> tuple[str, str]:
     return public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN
 
 
+def op1_paragraphs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return paragraphs.by_document(table(spark, sf_dir, "documents"))
+
+
+def op2_chats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chats.formatted(table(spark, sf_dir, "conversations"))
+
+
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -25,6 +33,13 @@ def op4_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.digests(suffixes.remaining(table(spark, sf_dir, "documents")))
 
 
+def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    found = licenses.scan(docs, licenses.fit(docs))
+    families = F.array_sort(F.array_distinct(F.transform("found", lambda x: x["family"])))
+    return found.select("doc_id", F.size("found").cast("long").alias("n_found"), families.alias("families"), "found")
+
+
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = langid.fit(docs.where(langid.fold(F.col("doc_id")) != 2))
@@ -64,4 +79,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_chats": chats.FORMATTED_SQL}
