@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import cut
+from tallymill.llm.shared import cut, unused
 
 WIDTH = 13
 #: Item words that are held at once; more items are taken in blocks of about this size.
@@ -162,6 +162,7 @@ def judged(found: DataFrame) -> DataFrame:
 
 
 def clean(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """docs without the contaminated ones. Rows are told apart by doc_id and text."""
-    held = cut(judged(overlaps(docs, items)).where("contaminated").select(F.col("doc_id").alias("bad_id")).distinct(), "contaminated")
-    return docs.join(held, F.col("doc_id").eqNullSafe(F.col("bad_id")), "left_anti")
+    """docs without the contaminated ones; a doc_id goes with all its rows."""
+    own = unused(docs, "bad_id")
+    held = cut(judged(overlaps(docs, items)).where("contaminated").select(F.col("doc_id").alias(own)).distinct(), "contaminated")
+    return docs.join(held, F.col("doc_id").eqNullSafe(F.col(own)), "left_anti")

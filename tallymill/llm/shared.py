@@ -13,6 +13,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """name, lengthened until no column of df has it."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or in a
     single-JVM session without that setting a temporary one."""
@@ -29,15 +37,35 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """Writes df as Parquet in the shared folder and reads it again, so that what follows
-    neither recomputes it nor depends on an executor that may be lost."""
+    neither recomputes it nor depends on an executor that may be lost. The shuffle files of the
+    write go when it ends; nothing else reads them."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tallymill/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(_CLEANUP, None)
+    if before is not None:
+        spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if before is not None:
+            spark.conf.set(_CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def drop(df: DataFrame) -> None:
+    """Deletes a table that cut() has written and nothing reads any more."""
+    spark = df.sparkSession
+    for file in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        path = spark._jvm.org.apache.hadoop.fs.Path(file)
+        if "/tallymill/" in file:
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
     """Connected components of edges(a long, b long): rows (node, label), label the least
     node of the component. Nodes without an edge do not appear.
@@ -64,7 +92,8 @@ def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
             .unionByName(low.select("u", F.col("m").alias("v")))
             .distinct()
         )
-        links = cut(small, "links")
+        links, former = cut(small, "links"), links
+        drop(former)
         now = links.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == state:
             break

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import components, cut
+from tallymill.llm.shared import components, cut, unused
 
 SHINGLE = 3
 SEED = 42
@@ -155,5 +155,6 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 def keep_one(docs: DataFrame) -> DataFrame:
     """docs without all but one document of each group: the one of least doc_id. Rows that
     share a doc_id count as one document; a null doc_id is an identifier of its own."""
-    kept = near_duplicates(docs).select(F.col("component_id").alias("kept_id")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi").dropDuplicates(["doc_id"])
+    own = unused(docs, "kept_id")
+    kept = near_duplicates(docs).select(F.col("component_id").alias(own)).distinct()
+    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col(own)), "left_semi").dropDuplicates(["doc_id"])

@@ -5,13 +5,14 @@ the most significant first; a suffix alone in its group leaves, and groups that
 full depth are the repeated windows. The digits are chosen so that neighbouring suffixes move
 as one row:
 
-1. the least 40-gram of the window (by hash) and its place in it. Every window decides this by
-   its own bytes, and runs of some 180 neighbouring suffixes share one such gram;
+1. the least gram of the window (by hash, of GRAM bytes) and its place in it. Every window decides
+   this by its own bytes, and runs of some 100 neighbouring suffixes share one such gram;
 2. all bytes that the run's windows cover. Equal runs are repeated throughout;
-3. the window itself, only for runs that have company after digit 1 and none after digit 2:
-   those at the ends of a repeat.
+3. for runs with company after digit 1 and none after digit 2, those at the ends of a repeat:
+   the bytes that STEP neighbouring windows have in common;
+4. the window itself.
 
-Hashes have 128 bits over digits 1 and 2, or 1 and 3.
+Hashes have 128 bits over digits 1 and 2, or 1 and 4.
 """
 
 from __future__ import annotations
@@ -24,10 +25,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import cut
+from tallymill.llm.shared import cut, drop, unused
 
 DEPTH = 400
-GRAM = 40
+GRAM = 200
+STEP = 16
 _U = np.uint64
 _BASE = _U(0x9E3779B97F4A7C15)
 _INVERSE = _U(pow(int(_BASE), -1, 1 << 64))
@@ -106,22 +108,35 @@ def _find_runs(depth: int, gram: int):
     return run
 
 
-def _find_windows(depth: int):
-    names = ["doc_id", "text_hash", "start", "one", "three"]
+def _find_steps(depth: int):
+    """Rows of up to STEP neighbouring windows of a run: digit 3, and digit 4 of each."""
+    names = ["doc_id", "text_hash", "first", "one", "three", "four"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        digest = xxhash.xxh3_64_intdigest
         for b in batches:
+            out: list[list] = [[] for _ in names]
             texts = b.column("text").cast(pa.binary())
             for k, found in enumerate(b.column("runs")):
                 text, doc, text_hash = texts[k].as_py(), b.column("doc_id")[k].as_py(), b.column("text_hash")[k].as_py()
-                start, one, three = [], [], []
                 for r in found.as_py():
-                    s = range(r["first"], r["last"] + 1)
-                    start += s
-                    one += [r["one"]] * len(s)
-                    three += [xxhash.xxh3_64_intdigest(text[x : x + depth], r["anchor"] - x) for x in s]
-                n = len(start)
-                yield pa.record_batch([pa.array([doc] * n, pa.int64()), pa.array([text_hash] * n, pa.int64()), pa.array(start, pa.int32()), pa.array(one, pa.int64()), pa.array(np.array(three, np.uint64).view(np.int64))], names=names)
+                    at, last = r["anchor"], r["last"]
+                    start = r["first"]
+                    while start <= last:
+                        step = (at - start) // STEP
+                        stop = min(last, at - STEP * step)
+                        # shared by all windows whose start is STEP * step to STEP * step + STEP - 1 before the anchor
+                        shared = text[at - STEP * step : at - STEP * step - STEP + 1 + depth]
+                        row = (doc, text_hash, start, r["one"], digest(shared, step), [digest(text[x : x + depth], at - x) for x in range(start, stop + 1)])
+                        for column, value in zip(out, row):
+                            column.append(value)
+                        start = stop + 1
+            ends = np.cumsum([0, *map(len, out[5])]).astype(np.int32)
+            four = np.array([x for xs in out[5] for x in xs], np.uint64).view(np.int64)
+            yield pa.record_batch(
+                [pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.int64()), pa.array(np.array(out[4], np.uint64).view(np.int64)), pa.ListArray.from_arrays(pa.array(ends), pa.array(four))],
+                names=names,
+            )
 
     return run
 
@@ -142,12 +157,19 @@ def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
     # whole runs are repeated; of each kind in mixed company one run is opened
     alive = found.join(state, ["one", "two"]).withColumn("open", F.coalesce(F.col("open_ref") == ref, F.lit(False)))
     alive = cut(alive.where("whole OR open").select("doc_id", "text_hash", "first", "last", "anchor", "one", "whole", "open"), "alive")
+    drop(found)
     opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("first", "last", "anchor", "one")).alias("runs"))
-    windows = cut(_with_text(rows, opened).mapInArrow(_find_windows(depth), ", ".join(_ids) + ", start int, one long, three long"), "windows")
-    twice = windows.groupBy("one", "three").agg(F.count("*").alias("n")).where("n > 1").select("one", "three")
-    ends = windows.join(twice, ["one", "three"]).select("doc_id", "text_hash", F.col("start").alias("first"), F.col("start").alias("last"))
-    every = alive.where("whole").select("doc_id", "text_hash", "first", "last").unionByName(ends)
-    return every.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("first", "last")).alias("spans"))
+    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(depth), ", ".join(_ids) + ", first int, one long, three long, four array<long>"), "steps")
+    met = steps.groupBy("one", "three").agg(F.count("*").alias("n")).where("n > 1").select("one", "three")
+    windows = cut(steps.join(met, ["one", "three"]).select("doc_id", "text_hash", "one", "first", F.posexplode("four").alias("k", "window")), "windows")
+    drop(steps)
+    twice = windows.groupBy("one", "window").agg(F.count("*").alias("n")).where("n > 1").select("one", "window")
+    ends = windows.join(twice, ["one", "window"]).select("doc_id", "text_hash", (F.col("first") + F.col("k")).alias("first"))
+    every = alive.where("whole").select("doc_id", "text_hash", "first", "last").unionByName(ends.withColumn("last", F.col("first")))
+    spans = cut(every.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("first", "last")).alias("spans")), "spans")
+    drop(alive)
+    drop(windows)
+    return spans
 
 
 def _with_text(rows: DataFrame, lists: DataFrame, how: str = "inner") -> DataFrame:
@@ -192,17 +214,20 @@ def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame
     """docs with repeated substrings taken out of text, and n_chars (if there is one) of what
     remains. Characters that lose some of their bytes go. Null texts stay null."""
 
+    doc, text_hash, spans = (unused(docs, n) for n in ("span_doc", "span_text", "spans"))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = b.column("text").cast(pa.binary()).to_pylist()
-            left = [None if t is None else _remaining(t, s.as_py(), depth)[0].decode("utf-8", "ignore") for t, s in zip(texts, b.column("spans"))]
-            columns = {n: b.column(n) for n in docs.columns} | {"text": pa.array(left, pa.string())}
+            left = [None if t is None else _remaining(t, s.as_py(), depth)[0].decode("utf-8", "ignore") for t, s in zip(texts, b.column(spans))]
+            columns = {n: b.column(n) for n in names} | {"text": pa.array(left, pa.string())}
             yield pa.record_batch(list(columns.values()), names=list(columns))
 
-    lists = repeats(docs, depth, gram).withColumnsRenamed({"doc_id": "span_doc", "text_hash": "span_text"}).hint("shuffle_hash")
-    same = (F.xxhash64("text") == F.col("span_text")) & F.col("doc_id").eqNullSafe(F.col("span_doc"))
-    out = docs.join(lists, same, "left").select(*docs.columns, "spans").mapInArrow(run, docs.schema)
-    return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
+    names = docs.columns
+    lists = repeats(docs, depth, gram).withColumnsRenamed({"doc_id": doc, "text_hash": text_hash, "spans": spans}).hint("shuffle_hash")
+    same = (F.xxhash64("text") == F.col(text_hash)) & F.col("doc_id").eqNullSafe(F.col(doc))
+    out = docs.join(lists, same, "left").select(*names, spans).mapInArrow(run, docs.schema)
+    return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in names else out
 
 
 def digests(left: DataFrame) -> DataFrame:
