@@ -14,8 +14,11 @@ import base64
 from collections.abc import Iterator
 from functools import lru_cache
 from hashlib import sha256
+from itertools import chain
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 import tiktoken
 from pyspark.sql import DataFrame
@@ -34,6 +37,26 @@ def encoding(ranks_path: str, pattern: str) -> tiktoken.Encoding:
     return tiktoken.Encoding("held", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
 
 
+#: Text bytes, or four times as many ids, that a Python worker takes at a time.
+SLICE = 1 << 21
+
+
+def slices(batch: pa.RecordBatch, column: str, most: int = SLICE) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch whose values of a column add up to about most, one row at least."""
+    col = batch.column(column)
+    size = pc.fill_null(pc.list_value_length(col) if pa.types.is_list(col.type) else pc.binary_length(col), 0)
+    group = np.cumsum(size.to_numpy(zero_copy_only=False).astype(np.int64)) // most
+    edge = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), batch.num_rows]
+    for a, b in zip(edge, edge[1:]):
+        if b > a:
+            yield batch.slice(a, b - a)
+
+
+def listed(rows: list[list[int]]) -> pa.Array:
+    ends = np.cumsum([0, *map(len, rows)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.fromiter(chain.from_iterable(rows), np.int32, int(ends[-1]))))
+
+
 def boundaries(text: str, pattern: str, last: bool) -> list[int]:
     """Starts of the pre-tokens of text; without the unsure ones at the end unless it is the last chunk."""
     found = [m.start() for m in regex.finditer(pattern, text)]
@@ -92,11 +115,10 @@ def _cuts(pattern: str):
 def _encoder(ranks_path: str, pattern: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoding(ranks_path, pattern)
-        for b in batches:
-            ids = [coder.encode_ordinary(t or "") for t in b.column("text").to_pylist()]
-            rest = [b.column(n) for n in b.schema.names if n != "text"]
+        for b in (part for batch in batches for part in slices(batch, "text")):
+            ids = listed([coder.encode_ordinary(t or "") for t in b.column("text").to_pylist()])
             names = [n for n in b.schema.names if n != "text"]
-            yield pa.record_batch([*rest, pa.array(ids, pa.list_(pa.int32()))], names=[*names, "ids"])
+            yield pa.record_batch([*[b.column(n) for n in names], ids], names=[*names, "ids"])
 
     return run
 
@@ -150,23 +172,32 @@ def decode(ids: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoding(ranks_path, pattern)
-        for b in batches:
+        for b in (part for batch in batches for part in slices(batch, "ids")):
             out = [coder.decode_bytes(x.values.to_pylist() if x.is_valid else []) for x in b.column("ids")]
             yield pa.record_batch([b.column("doc_id"), b.column("ids"), pa.array(out, pa.binary())], names=["doc_id", "ids", "decoded"])
 
     return ids.select("doc_id", "ids").mapInArrow(run, "doc_id long, ids array<int>, decoded binary")
 
 
+class _Spelt(dict):
+    """Decimal numerals, each made once."""
+
+    def __missing__(self, number: int) -> str:
+        self[number] = out = str(number)
+        return out
+
+
 def digests(decoded: DataFrame, keep_ids: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) of decoded(doc_id, ids, decoded), and ids if wanted."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        spelt = _Spelt()
+        for b in (part for batch in batches for part in slices(batch, "ids")):
             n, left, right = [], [], []
             for ids, raw in zip(b.column("ids"), b.column("decoded")):
                 ids = ids.values.to_pylist() if ids.is_valid else []
                 n.append(len(ids))
-                left.append(sha256(",".join(map(str, ids)).encode()).hexdigest())
+                left.append(sha256(",".join(map(spelt.__getitem__, ids)).encode()).hexdigest())
                 right.append(sha256(raw.as_py() or b"").hexdigest())
             columns = [b.column("doc_id"), pa.array(n, pa.int64()), pa.array(left, pa.string()), pa.array(right, pa.string())]
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
