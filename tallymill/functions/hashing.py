@@ -27,7 +27,7 @@ def hash_sql(key: str, row: int, p: SketchParams, component: str | None = None)
     limbs = f"{a1} * ((({key}) >> 31) % {PRIME}) + {a2} * ((({key}) & {PRIME}) % {PRIME})"
     if component is None:
         return f"((({limbs} + {b}) % {PRIME}) % {p.w})"
-    return f"(((({limbs}) % {PRIME} + {a0} * ({component}) + {b}) % {PRIME}) % {p.w})"
+    return f"(((({limbs}) % {PRIME} + {a0} * CAST({component} AS BIGINT) + {b}) % {PRIME}) % {p.w})"
 
 
 def hash_col(key: str, row: int, p: SketchParams, component: str | None = None) -> Column:
