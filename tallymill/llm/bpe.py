@@ -18,12 +18,13 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import regex
 import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tallymill.llm.shared import sliced
+
 #: Characters of a chunk, and of its overlap with the next one.
 CHUNK, OVERLAP = 1 << 15, 1 << 10
 #: No alternative of the pattern looks farther than this past a match.
@@ -37,21 +38,6 @@ def encoding(ranks_path: str, pattern: str) -> tiktoken.Encoding:
     return tiktoken.Encoding("held", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
 
 
-#: Text bytes, or four times as many ids, that a Python worker takes at a time.
-SLICE = 1 << 21
-
-
-def slices(batch: pa.RecordBatch, column: str, most: int = SLICE) -> Iterator[pa.RecordBatch]:
-    """Parts of a batch whose values of a column add up to about most, one row at least."""
-    col = batch.column(column)
-    size = pc.fill_null(pc.list_value_length(col) if pa.types.is_list(col.type) else pc.binary_length(col), 0)
-    group = np.cumsum(size.to_numpy(zero_copy_only=False).astype(np.int64)) // most
-    edge = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), batch.num_rows]
-    for a, b in zip(edge, edge[1:]):
-        if b > a:
-            yield batch.slice(a, b - a)
-
-
 def listed(rows: list[list[int]]) -> pa.Array:
     ends = np.cumsum([0, *map(len, rows)]).astype(np.int32)
     return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.fromiter(chain.from_iterable(rows), np.int32, int(ends[-1]))))
@@ -115,7 +101,7 @@ def _cuts(pattern: str):
 def _encoder(ranks_path: str, pattern: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoding(ranks_path, pattern)
-        for b in (part for batch in batches for part in slices(batch, "text")):
+        for b in sliced(batches, "text"):
             ids = listed([coder.encode_ordinary(t or "") for t in b.column("text").to_pylist()])
             names = [n for n in b.schema.names if n != "text"]
             yield pa.record_batch([*[b.column(n) for n in names], ids], names=[*names, "ids"])
@@ -172,7 +158,7 @@ def decode(ids: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoding(ranks_path, pattern)
-        for b in (part for batch in batches for part in slices(batch, "ids")):
+        for b in sliced(batches, "ids"):
             out = [coder.decode_bytes(x.values.to_pylist() if x.is_valid else []) for x in b.column("ids")]
             yield pa.record_batch([b.column("doc_id"), b.column("ids"), pa.array(out, pa.binary())], names=["doc_id", "ids", "decoded"])
 
@@ -192,7 +178,7 @@ def digests(decoded: DataFrame, keep_ids: bool = False) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         spelt = _Spelt()
-        for b in (part for batch in batches for part in slices(batch, "ids")):
+        for b in sliced(batches, "ids"):
             n, left, right = [], [], []
             for ids, raw in zip(b.column("ids"), b.column("decoded")):
                 ids = ids.values.to_pylist() if ids.is_valid else []

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import cut, unused
+from tallymill.llm.shared import cut, sliced, unused
 
 WIDTH = 13
 #: Item words that are held at once; more items are taken in blocks of about this size.
@@ -41,7 +41,7 @@ def _frequency(docs: DataFrame, wanted: set[bytes]) -> Counter:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         of, seen = held.value, Counter()
-        for b in batches:
+        for b in sliced(batches, "text"):
             for t in b.column(0).cast(pa.binary()):
                 seen.update(filter(of.__contains__, words(t.as_py())))
         yield pa.record_batch([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], names=["w", "n"])
@@ -94,7 +94,7 @@ def _screen(docs: DataFrame, anchors: dict) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         of = held.value
-        for b in batches:
+        for b in sliced(batches, "text"):
             size, spans, names = [], [], []
             for t in b.column(2).cast(pa.binary()):
                 text = words(t.as_py())

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import cut
+from tallymill.llm.shared import cut, sliced
 
 #: Share of all documents a lexicon term stands in. There are at most (distinct terms of a
 #: document, on average) / LOW such terms, however many documents there are.
@@ -78,7 +78,7 @@ def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> list[str]:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[str, int] = {}
-        for b in batches:
+        for b in sliced(batches, "text"):
             for t in b.column(0).to_pylist():
                 for w in terms(t or ""):
                     seen[w] = seen.get(w, 0) + 1
@@ -148,7 +148,7 @@ def fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH, blocks:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         of, held = masks.value, None
-        for b in batches:
+        for b in sliced(batches, "text"):
             out: list[tuple] = []
             for block, copy, doc, text in zip(*(b.column(n).to_pylist() for n in ("block", "copy", "doc_id", "text"))):
                 mark = fingerprint(text, of)

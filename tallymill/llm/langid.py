@@ -17,6 +17,8 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tallymill.llm.shared import sliced
+
 SIZE = 1 << 13
 CENTROIDS = 4
 #: Rows of each language in the training sample, as expected by its hash draw.
@@ -100,7 +102,7 @@ def fit(labelled: DataFrame, per_language: int = SAMPLE, seed: int = 42) -> Mode
     drawn = rows.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 20)) < share)
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches, "text"):
             texts = [t.as_py() for t in b.column(0).cast(pa.binary())]
             if texts:
                 kept = [counts(t).astype(np.uint32) for t in texts]
@@ -136,7 +138,7 @@ def fit(labelled: DataFrame, per_language: int = SAMPLE, seed: int = 42) -> Mode
 
 def _predictor(model: Model) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches, "text"):
             said = model.predict([t.as_py() for t in b.column("text").cast(pa.binary())])
             rest = [b.column(n) for n in b.schema.names]
             new = [pa.array([s[k] for s in said], kind) for k, kind in enumerate((pa.string(), pa.float64(), pa.bool_()))]

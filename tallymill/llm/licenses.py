@@ -17,6 +17,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tallymill.llm.shared import sliced
+
 #: Public licence notices by family.
 TEMPLATES: dict[str, list[str]] = {
     "mit": ["MIT License", "the MIT license", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction", "SPDX-License-Identifier: MIT"],
@@ -160,7 +162,7 @@ def scan(docs: DataFrame, model: Model) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bare = model.scores([]).argmax() == 0
-        for b in batches:
+        for b in sliced(batches, "text"):
             out = []
             for t in b.column("text").to_pylist():
                 found = []

@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import components, cut
+from tallymill.llm.shared import components, cut, sliced
 from tallymill.llm.suffixes import _with_text, keyed
 
 WORDS = 5
@@ -70,7 +70,7 @@ def bands(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in sliced(batches, "text"):
         rows, at, par, names = [], [], [], []
         for k, t in enumerate(b.column("text").cast(pa.binary())):
             for place, words in paragraphs(t.as_py()):
@@ -82,7 +82,7 @@ def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in sliced(batches, "text"):
         seen: dict[int, np.ndarray] = {}
 
         def flush() -> pa.RecordBatch:
@@ -138,7 +138,7 @@ def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in sliced(batches, "text"):
         par, sets = [], []
         for t, wanted in zip(b.column("text").cast(pa.binary()), b.column("wanted").to_pylist()):
             wanted = set(wanted)

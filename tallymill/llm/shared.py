@@ -1,18 +1,40 @@
-"""Reading tables, cutting lineage in the cluster's shared folder, connected components."""
+"""Reading tables, taking batches in slices, connected components."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tallymill.plans.lineage import cut, drop, shared_dir
+
+__all__ = ["components", "cut", "drop", "shared_dir", "sliced", "table", "unused"]
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Bytes of text, or four times as many list items, that a Python worker takes at a time.
+SLICE = 1 << 21
+
+
+def sliced(batches: Iterator[pa.RecordBatch], column: str, most: int = SLICE) -> Iterator[pa.RecordBatch]:
+    """The rows of batches in parts whose values of a column add up to about most, one row at least."""
+    for batch in batches:
+        col = batch.column(column)
+        size = pc.fill_null(pc.list_value_length(col) if pa.types.is_list(col.type) else pc.binary_length(col), 0)
+        group = np.cumsum(size.to_numpy(zero_copy_only=False).astype(np.int64)) // most
+        edge = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), batch.num_rows]
+        for a, b in zip(edge, edge[1:]):
+            if b > a:
+                yield batch.slice(a, b - a)
+
+
 def unused(df: DataFrame, name: str) -> str:
     """name, lengthened until no column of df has it."""
     taken = {c.lower() for c in df.columns}
@@ -21,51 +43,6 @@ def unused(df: DataFrame, name: str) -> str:
     return name
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or in a
-    single-JVM session without that setting a temporary one."""
-    sc = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        current = sc._jsc.sc().getCheckpointDir()
-        named = current.get() if current.isDefined() else None
-    if not named:
-        if not sc.master.startswith("local[") and sc.master != "local":
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="tallymill-"))
-        named = sc._jsc.sc().getCheckpointDir().get()
-    return named.rstrip("/")
-
-
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-
-
-def cut(df: DataFrame, name: str = "cut") -> DataFrame:
-    """Writes df as Parquet in the shared folder and reads it again, so that what follows
-    neither recomputes it nor depends on an executor that may be lost. The shuffle files of the
-    write go when it ends; nothing else reads them."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tallymill/{name}-{uuid.uuid4().hex}"
-    before = spark.conf.get(_CLEANUP, None)
-    if before is not None:
-        spark.conf.set(_CLEANUP, "true")
-    try:
-        df.write.parquet(path)
-    finally:
-        if before is not None:
-            spark.conf.set(_CLEANUP, before)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def drop(df: DataFrame) -> None:
-    """Deletes a table that cut() has written and nothing reads any more."""
-    spark = df.sparkSession
-    for file in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(file)
-        if "/tallymill/" in file:
-            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
     """Connected components of edges(a long, b long): rows (node, label), label the least
     node of the component. Nodes without an edge do not appear.

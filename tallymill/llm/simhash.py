@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import components, cut, unused
+from tallymill.llm.shared import components, cut, sliced, unused
 
 SHINGLE = 3
 SEED = 42
@@ -49,7 +49,7 @@ def fingerprint(text: bytes | None) -> int:
 
 
 def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in sliced(batches, "text"):
         found = [fingerprint(t.as_py()) for t in b.column(1).cast(pa.binary())]
         yield pa.record_batch([b.column(0), pa.array(np.array(found, np.uint64).view(np.int64))], names=["doc_id", "fp"])
 

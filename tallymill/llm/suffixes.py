@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import cut, drop, unused
+from tallymill.llm.shared import cut, drop, sliced, unused
 
 DEPTH = 400
 GRAM = 200
@@ -93,7 +93,7 @@ def _find_runs(depth: int, gram: int):
     names = ["doc_id", "text_hash", "first", "last", "anchor", "one", "two"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches, "text"):
             rows = [runs(t.as_py(), depth, gram) for t in b.column("text").cast(pa.binary())]
             if not rows:
                 continue
@@ -114,7 +114,7 @@ def _find_steps(depth: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh3_64_intdigest
-        for b in batches:
+        for b in sliced(batches, "text"):
             out: list[list] = [[] for _ in names]
             texts = b.column("text").cast(pa.binary())
             for k, found in enumerate(b.column("runs")):
@@ -198,7 +198,7 @@ def remaining(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFram
     are occurrences of their own; other columns are ignored."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches, "text"):
             texts = b.column("text").cast(pa.binary()).to_pylist()
             left = [_remaining(t, s.as_py(), depth) for t, s in zip(texts, b.column("spans"))]
             yield pa.record_batch(
@@ -217,7 +217,7 @@ def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame
     doc, text_hash, spans = (unused(docs, n) for n in ("span_doc", "span_text", "spans"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches, "text"):
             texts = b.column("text").cast(pa.binary()).to_pylist()
             left = [None if t is None else _remaining(t, s.as_py(), depth)[0].decode("utf-8", "ignore") for t, s in zip(texts, b.column(spans))]
             columns = {n: b.column(n) for n in names} | {"text": pa.array(left, pa.string())}
