@@ -82,8 +82,11 @@ def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    done: set[int] = set()
     for b in sliced(batches, "text"):
         seen: dict[int, np.ndarray] = {}
+        if len(done) > 200_000:
+            done.clear()
 
         def flush() -> pa.RecordBatch:
             own = np.array(list(seen), np.int64)
@@ -91,7 +94,6 @@ def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             seen.clear()
             return pa.record_batch([pa.array(rows.ravel()), pa.array(np.tile(own, BANDS))], names=["bucket", "par"])
 
-        done: set[int] = set()
         for t in b.column("text").cast(pa.binary()):
             for _, words in paragraphs(t.as_py()):
                 if (own := name(words)) not in done:

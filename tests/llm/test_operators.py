@@ -291,10 +291,10 @@ def test_paragraphs(docs, empty, rows):
 def test_similar_paragraphs_are_found(spark):
     rng, out = random.Random(8), []
     for g in range(30):
-        base = [f"w{rng.randint(0, 10**6)}" for _ in range(80)]
+        base = [f"w{rng.randint(0, 10**6)}" for _ in range(150)]
         for k in range(40 if g == 0 else 2):
             own = list(base)
-            own[rng.randint(0, 79)] = f"z{k}"
+            own[rng.randint(0, 149)] = f"z{k}"
             out.append((100 * g + k, " ".join(own)))
     got = paragraphs.clusters(spark.createDataFrame(out, "doc_id long, text string")).collect()
     by_cluster = defaultdict(set)
