@@ -166,3 +166,20 @@ def clean(docs: DataFrame, items: DataFrame) -> DataFrame:
     own = unused(docs, "bad_id")
     held = cut(judged(overlaps(docs, items)).where("contaminated").select(F.col("doc_id").alias(own)).distinct(), "contaminated")
     return docs.join(held, F.col("doc_id").eqNullSafe(F.col(own)), "left_anti")
+
+
+_WORDS_SQL = r"""list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '')"""
+OVERLAPS_SQL = f"""
+WITH d AS (SELECT doc_id, row_number() OVER () AS r, {_WORDS_SQL} AS ws FROM documents),
+b AS (SELECT coalesce(item_id::VARCHAR, '') AS item, {_WORDS_SQL} AS ws FROM benchmark),
+bw AS (SELECT DISTINCT item, size, array_to_string(ws[s + 1:s + size], ' ') AS gram FROM (
+  SELECT item, ws, least(len(ws), {WIDTH}) AS size, unnest(range(greatest(len(ws) - {WIDTH - 1}, 1))) AS s FROM b WHERE len(ws) > 0)),
+dw AS (SELECT r, p, size, array_to_string(ws[p + 1:p + size], ' ') AS gram FROM (
+  SELECT r, ws, size, unnest(range(greatest(len(ws) - size + 1, 0))) AS p FROM d CROSS JOIN (SELECT DISTINCT size FROM bw))),
+h AS (SELECT r, p, size, item FROM dw JOIN bw USING (size, gram)),
+n AS (SELECT r, count(DISTINCT w) AS n_hit FROM (SELECT r, unnest(range(p, p + size)) AS w FROM h) GROUP BY r),
+i AS (SELECT r, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT r, item FROM h) GROUP BY r)
+SELECT doc_id, len(ws)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
+  sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(ws) AS contaminated
+FROM d LEFT JOIN n USING (r) LEFT JOIN i USING (r)
+"""

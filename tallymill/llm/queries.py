@@ -56,8 +56,6 @@ def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.size("item_ids").cast("long").alias("n_items"),
         F.sha2(F.concat_ws(",", "item_ids").cast("binary"), 256).alias("items_sha256"),
         "contaminated",
-        "hit_spans",
-        "item_ids",
     )
 
 
@@ -79,4 +77,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_chats": chats.FORMATTED_SQL}
+    return {"op2_chats": chats.FORMATTED_SQL, "op4_suffixes": suffixes.REMAINING_SQL, "op7_decontaminate": decontaminate.OVERLAPS_SQL}

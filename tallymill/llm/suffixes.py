@@ -232,3 +232,18 @@ def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame
 
 def digests(left: DataFrame) -> DataFrame:
     return left.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+REMAINING_SQL = """
+WITH d AS (SELECT doc_id, row_number() OVER () AS r, hex(encode(coalesce(text, ''))) AS x FROM documents),
+p AS (SELECT r, unnest(range(greatest(length(x) // 2 - 399, 0))) AS s FROM d),
+w AS MATERIALIZED (SELECT r, s, md5_number(substr(x, (2 * s + 1)::BIGINT, 800)) AS h FROM p JOIN d USING (r)),
+m AS (SELECT r, s FROM w JOIN (SELECT h FROM w GROUP BY h HAVING count(*) > 1) USING (h)),
+g AS (SELECT r, s, CASE WHEN s <= lag(s) OVER (PARTITION BY r ORDER BY s) + 400 THEN 0 ELSE 1 END AS fresh FROM m),
+q AS (SELECT r, min(s) AS a, max(s) + 400 AS b FROM (SELECT r, s, sum(fresh) OVER (PARTITION BY r ORDER BY s) AS i FROM g) GROUP BY r, i),
+k AS (SELECT d.r, string_agg(substr(x, 2 * a0 + 1, 2 * (least(b0, length(x) // 2) - a0)), '' ORDER BY a0) AS kept FROM d JOIN (
+  SELECT r, coalesce(lag(b) OVER o, 0) AS a0, a AS b0 FROM q WINDOW o AS (PARTITION BY r ORDER BY a)
+  UNION ALL SELECT r, max(b), 1000000000000 FROM q GROUP BY r) USING (r) GROUP BY d.r)
+SELECT doc_id, length(x) // 2 AS n_bytes, coalesce(n, 0)::BIGINT AS n_removed, coalesce(c, 0) AS n_spans, sha256(unhex(coalesce(kept, x))) AS kept_sha256
+FROM d LEFT JOIN k USING (r) LEFT JOIN (SELECT r, sum(b - a) AS n, count(*) AS c FROM q GROUP BY r) USING (r)
+"""

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import duckdb
+import pytest
 
 import corpus_pipeline
 from tallymill.llm import queries
@@ -10,12 +11,16 @@ from tallymill.llm import queries
 SF = "/root/testdata/sf0.001"
 
 
-def test_chats_match_sql(spark):
+@pytest.mark.parametrize("name", queries.oracle_sql())
+def test_queries_match_sql(spark, name):
     con = duckdb.connect()
-    con.sql(f"CREATE VIEW conversations AS SELECT * FROM '{SF}/conversations.parquet'")
-    want = con.sql(queries.oracle_sql()["op2_chats"]).df().sort_values("conv_id").reset_index(drop=True)
-    got = queries.op2_chats(spark, SF).toPandas().sort_values("conv_id").reset_index(drop=True)
-    assert got.equals(want[got.columns])
+    for t in ("conversations", "documents", "benchmark"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    want, got = con.sql(queries.oracle_sql()[name]).df(), queries.queries()[name](spark, SF).toPandas()
+    columns = list(want.columns)
+    assert sorted(got.columns) == sorted(columns)
+    want, got = (x[columns].sort_values(columns).reset_index(drop=True) for x in (want, got))
+    assert got.equals(want)
 
 
 def test_held_out_language(spark):
