@@ -14,7 +14,6 @@ import base64
 from collections.abc import Iterator
 from functools import lru_cache
 from hashlib import sha256
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -40,7 +39,8 @@ def encoding(ranks_path: str, pattern: str) -> tiktoken.Encoding:
 
 def listed(rows: list[list[int]]) -> pa.Array:
     ends = np.cumsum([0, *map(len, rows)]).astype(np.int32)
-    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.fromiter(chain.from_iterable(rows), np.int32, int(ends[-1]))))
+    flat = np.concatenate([np.empty(0, np.int32), *(np.fromiter(r, np.int32, len(r)) for r in rows)])
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))
 
 
 def boundaries(text: str, pattern: str, last: bool) -> list[int]:
@@ -159,7 +159,7 @@ def decode(ids: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoding(ranks_path, pattern)
         for b in sliced(batches, "ids"):
-            out = [coder.decode_bytes(x.values.to_pylist() if x.is_valid else []) for x in b.column("ids")]
+            out = [coder.decode_bytes(x.values.to_numpy().tolist() if x.is_valid else []) for x in b.column("ids")]
             yield pa.record_batch([b.column("doc_id"), b.column("ids"), pa.array(out, pa.binary())], names=["doc_id", "ids", "decoded"])
 
     return ids.select("doc_id", "ids").mapInArrow(run, "doc_id long, ids array<int>, decoded binary")
@@ -181,7 +181,7 @@ def digests(decoded: DataFrame, keep_ids: bool = False) -> DataFrame:
         for b in sliced(batches, "ids"):
             n, left, right = [], [], []
             for ids, raw in zip(b.column("ids"), b.column("decoded")):
-                ids = ids.values.to_pylist() if ids.is_valid else []
+                ids = ids.values.to_numpy().tolist() if ids.is_valid else []
                 n.append(len(ids))
                 left.append(sha256(",".join(map(spelt.__getitem__, ids)).encode()).hexdigest())
                 right.append(sha256(raw.as_py() or b"").hexdigest())
