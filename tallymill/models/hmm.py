@@ -12,9 +12,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tallymill.functions.keyed import mixed
+from tallymill.models.lda import merged, one_pass
 from tallymill.operators.matrix import CountMatrix
 from tallymill.params import smoothed
-from tallymill.plans.lineage import cut
+from tallymill.plans.lineage import cut, drop
 
 
 @dataclass
@@ -79,12 +80,15 @@ def sweep(seqs: DataFrame, matrix: CountMatrix, types: int, alpha: float, beta:
 
 def gibbs(seqs: DataFrame, matrix: CountMatrix, types: int, alpha: float = 0.1, beta: float = 0.1, sweeps: int = 10, seed: int = 42) -> tuple[DataFrame, list[float]]:
     """(seqs with states zs, log-likelihood by sweep). Transition counts are exact (K x K); emission
-    counts go to the representation, from distinct (symbol, state) pairs."""
+    counts are filled and merged as those of topics are."""
     smoothed(alpha, beta)
     k, read, log = matrix.components, None, []
     for number in range(sweeps + 1):
         seqs = cut(sweep(seqs, matrix, types, alpha, beta, seed, number, read), "hmm")
-        pairs = seqs.select(F.explode(F.arrays_zip("xs", "zs")).alias("p")).groupBy("p.xs", "p.zs").agg(F.count("*").alias("n")).toPandas()
+        rows = seqs.select(F.col("seq_id").alias("doc_id"), F.col("xs").alias("vs"), "zs")
+        counted = cut(one_pass(rows, matrix, alpha, seed, number, None).where("block IS NOT NULL"), "emissions")
+        flat, totals, _ = merged(counted, matrix, seed, number)
+        drop(counted)
         here, after = F.slice("zs", F.lit(1), F.size("zs") - 1), F.slice("zs", F.lit(2), F.size("zs") - 1)
         steps = seqs.where(F.size("zs") > 1).select(F.explode(F.arrays_zip(here.alias("a"), after.alias("b"))).alias("p")).groupBy("p.a", "p.b").agg(F.count("*").alias("n")).collect()
         moves, starts = np.zeros((k, k)), np.zeros(k)
@@ -92,7 +96,6 @@ def gibbs(seqs: DataFrame, matrix: CountMatrix, types: int, alpha: float = 0.1,
             moves[r[0], r[1]] = r[2]
         for r in seqs.groupBy(F.get("zs", F.lit(0)).alias("z")).agg(F.count("*").alias("n")).collect():
             starts[r.z] = r.n
-        x, z, n = (pairs[c].to_numpy().astype(np.int64) for c in ("xs", "zs", "n"))
-        read = States(matrix, matrix.build(n, x, z, seed + number), np.bincount(z, n, k), moves, starts)
+        read = States(matrix, flat, totals, moves, starts)
         log.append(seqs.agg(F.sum("loglik")).first()[0] or 0.0)
     return seqs, log
