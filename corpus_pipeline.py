@@ -6,22 +6,25 @@ from pyspark.sql import DataFrame, SparkSession
 
 from tallymill.llm import bpe, decontaminate, langid, simhash, suffixes
 from tallymill.llm.queries import tokenizer
-from tallymill.llm.shared import cut, table
+from tallymill.llm.shared import cut, modest, table
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is recognised."""
+    modest(spark)
     found = langid.identify(docs, langid.fit(docs))
     return found.where("NOT rejected").select(*docs.columns)
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates."""
+    modest(spark)
     return simhash.keep_one(docs)
 
 
 def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the passages that repeat."""
+    modest(spark)
     return suffixes.stripped(docs)
 
 
@@ -32,6 +35,7 @@ def uncontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of every document, and digests of them and of what they decode to."""
+    modest(spark)
     both = bpe.decode(bpe.encode(docs, *tokenizer()), *tokenizer())
     return bpe.digests(both, keep_ids=True)
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,10 +14,23 @@ from pyspark.sql import functions as F
 
 from tallymill.plans.lineage import cut, drop, shared_dir
 
-__all__ = ["components", "cut", "drop", "shared_dir", "sliced", "table", "unused"]
+__all__ = ["components", "cut", "drop", "modest", "shared_dir", "sliced", "table", "unused"]
+
+
+#: Bytes of a batch between the JVM and a Python worker; each worker and its JVM side hold one.
+BATCH_BYTES = "8m"
+_BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
+
+
+def modest(spark: SparkSession) -> None:
+    """Sets the session's Arrow batches to BATCH_BYTES, a runtime setting, so that whole texts
+    of many rows do not fill an executor's memory beside its heap."""
+    if spark.conf.isModifiable(_BATCH):
+        spark.conf.set(_BATCH, BATCH_BYTES)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    modest(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -33,6 +48,10 @@ def sliced(batches: Iterator[pa.RecordBatch], column: str, most: int = SLICE) ->
         for a, b in zip(edge, edge[1:]):
             if b > a:
                 yield batch.slice(a, b - a)
+    # idle workers give back what they no longer use
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def unused(df: DataFrame, name: str) -> str:
