@@ -317,7 +317,7 @@ def test_chats(spark):
 def test_licenses(spark, docs, empty):
     model = licenses.fit(docs)
     held = licenses.notices(seed=99)
-    right = [(said := model.judge(t, licenses.tokens(t))) and said[0] == f for f, t in held]
+    right = [(said := model.judge(t, licenses.tokens(t))) is not None and said[0] == f for f, t in held]
     assert np.mean(right) > 0.95
     table = spark.createDataFrame([(1, "some prose here\nReleased under the MIT License.\nmore"), (2, None), (3, ""), (4, "Licensed under the Frobozz Widget Terms, edition nine."), (5, "the version of the work was of this file")], "doc_id long, text string")
     got = {r.doc_id: r.found for r in licenses.scan(table, model).collect()}
