@@ -4,6 +4,11 @@ A paragraph is a line of five words or more. Equal paragraphs (lower-cased words
 and are one node. Bands of MinHash values put similar paragraphs in common buckets; pairs from
 buckets are verified on their sets of five-word shingles, and the components of the verified
 links decide which paragraphs go: all but the first occurrence of each.
+
+Buckets of many paragraphs are first linked by a few pairs each. What these leave apart is joined
+exactly: of each paragraph the shingles that are rarest among all in such buckets, as many as two
+similar sets cannot both miss, meet those of the other components, and pairs that length and
+place allow are verified too.
 """
 
 from __future__ import annotations
@@ -24,8 +29,10 @@ SIMILAR = 0.8
 #: 16 bands of 3 values: a pair of similarity 0.8 shares one with probability 1 - 1e-5, of 0.2 with 0.12.
 BANDS, ROWS = 16, 3
 #: Buckets up to this size link every pair; larger ones link each member with its two neighbours
-#: and with the first in an order drawn anew in each bucket.
+#: and with the first in an order drawn anew in each bucket, and their members go to crowded().
 ALL_PAIRS = 8
+#: Members of a shingle up to which pairs are tried one by one, and pairs that are passed on at a time.
+FEW, PASSED = 64, 1 << 18
 _rng = np.random.default_rng(11)
 _A = (_rng.integers(1, 1 << 63, BANDS * ROWS, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
 _B = _rng.integers(1, 1 << 63, BANDS * ROWS, dtype=np.uint64)
@@ -106,7 +113,8 @@ def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Candidate pairs from rows (bucket, drawn, par) sorted by bucket and drawn."""
+    """Candidate pairs from rows (bucket, drawn, par) sorted by bucket and drawn; members of
+    buckets of more than ALL_PAIRS come out paired with themselves too."""
     left = [np.empty(0, np.int64), np.empty(0, np.int64)]
 
     def out(bucket: np.ndarray, par: np.ndarray) -> pa.RecordBatch:
@@ -122,7 +130,8 @@ def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             a.append(par[k])
             b.append(par[k + step])
         k = rows[(many > ALL_PAIRS) & (rank > 0)]
-        a, b = np.concatenate([*a, par[head[k]]]), np.concatenate([*b, par[k]])
+        crowd = par[many > ALL_PAIRS]
+        a, b = np.concatenate([*a, par[head[k]], crowd]), np.concatenate([*b, par[k], crowd])
         pair = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0)
         return pa.record_batch([pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=["a", "b"])
 
@@ -162,6 +171,93 @@ def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([b.column("a"), b.column("b")], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
+def _enough(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Common shingles that make sets of x and y similar: 4 ninths of both together."""
+    return -(-4 * (x + y) // 9)
+
+
+def _meetings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs of different labels from rows (shingle, size, at, label, par) sorted in this order, whose
+    sets can be similar if this is the first shingle they share: at others come before it."""
+    left = [np.empty(0, np.int64) for _ in range(5)]
+
+    def passed(a: list[np.ndarray], b: list[np.ndarray]) -> pa.RecordBatch:
+        a, b = np.concatenate(a), np.concatenate(b)
+        pair = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0)
+        return pa.record_batch([pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=["a", "b"])
+
+    def few(shingle: np.ndarray, size: np.ndarray, at: np.ndarray, label: np.ndarray, par: np.ndarray) -> Iterator[pa.RecordBatch]:
+        first = np.flatnonzero(np.r_[True, shingle[1:] != shingle[:-1]])
+        stop = np.repeat(np.r_[first[1:], len(shingle)], np.diff(np.r_[first, len(shingle)]))
+        rows, step = np.arange(len(shingle)), 1
+        while len(rows := rows[rows + step < stop[rows]]):
+            x, y = rows, rows + step
+            need = _enough(size[x], size[y])
+            k = (label[x] != label[y]) & (size[x] - at[x] >= need) & (size[y] - at[y] >= need)
+            yield passed([par[x[k]]], [par[y[k]]])
+            step += 1
+
+    def many(size: np.ndarray, at: np.ndarray, label: np.ndarray, par: np.ndarray) -> Iterator[pa.RecordBatch]:
+        # members of one size and place stand together, sorted by label
+        edge = np.r_[np.flatnonzero(np.r_[True, (size[1:] != size[:-1]) | (at[1:] != at[:-1])]), len(size)]
+        a, b, held = [], [], 0
+        for i in range(len(edge) - 1):
+            x = slice(edge[i], edge[i + 1])
+            heads, rest = size[edge[i:-1]], at[edge[i:-1]]
+            need = _enough(heads, size[edge[i]])
+            for j in np.flatnonzero((size[edge[i]] - at[edge[i]] >= need) & (heads - rest >= need)) + i:
+                y = slice(edge[j], edge[j + 1])
+                for k in range(x.start, x.stop):
+                    if i == j:  # labels ascend, so each pair comes once
+                        other = par[k + 1 + np.searchsorted(label[k + 1 : y.stop], label[k], "right") : y.stop]
+                    else:
+                        low, high = np.searchsorted(label[y], label[k]), np.searchsorted(label[y], label[k], "right")
+                        other = np.r_[par[y][:low], par[y][high:]]
+                    if len(other):
+                        a.append(np.full(len(other), par[k]))
+                        b.append(other)
+                        held += len(other)
+                    if held > PASSED:
+                        yield passed(a, b)
+                        a, b, held = [], [], 0
+        if held:
+            yield passed(a, b)
+
+    def out(columns: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        shingle = columns[0]
+        first = np.flatnonzero(np.r_[True, shingle[1:] != shingle[:-1]])
+        count = np.diff(np.r_[first, len(shingle)])
+        small = np.repeat(count <= FEW, count)
+        if small.any():
+            yield from few(*(c[small] for c in columns))
+        for k, n in zip(first[count > FEW], count[count > FEW]):
+            yield from many(*(c[k : k + n] for c in columns[1:]))
+
+    for batch in batches:
+        left = [np.concatenate([held, c.to_numpy()]) for held, c in zip(left, batch.columns)]
+        if len(left[0]) and (last := int(np.searchsorted(left[0], left[0][-1]))):
+            yield from out([c[:last] for c in left])
+            left = [c[last:] for c in left]
+    if len(left[0]):
+        yield from out(left)
+
+
+def crowded(sets: DataFrame) -> DataFrame:
+    """Candidate pairs (a, b) of sets(par, label, shingles), with every similar pair of different
+    labels among them. Similar sets share one of their first fifth of shingles and one more, in any
+    order that all keep to: here the rarest come first, and shingles of one label meet nothing."""
+    parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    size = F.size("shingles").cast("long").alias("size")
+    every = sets.select("par", "label", size, F.explode("shingles").alias("shingle"))
+    often = every.groupBy("shingle").agg(F.count("*").alias("n"), (F.min("label") != F.max("label")).alias("mixed"))
+    ranked = every.join(often, "shingle").groupBy("par", "label", "size").agg(F.sort_array(F.collect_list(F.struct("n", "shingle", "mixed"))).alias("s"))
+    prefix = F.slice("s", F.lit(1), F.floor(F.col("size") / 5).cast("int") + 1)
+    met = ranked.select("par", "label", "size", F.posexplode(prefix).alias("at", "s")).where("s.mixed")
+    met = met.select(F.col("s.shingle").alias("shingle"), "size", F.col("at").cast("long").alias("at"), "label", "par")
+    met = met.repartition(parts, "shingle").sortWithinPartitions("shingle", "size", "at", "label", "par")
+    return met.mapInArrow(_meetings, "a long, b long").distinct()
+
+
 def clusters(docs: DataFrame) -> DataFrame:
     """(doc_id, text_hash, place, par, cluster, size, removed) of every paragraph of
     docs(doc_id, text): cluster is a paragraph name shared by its component, size its number of
@@ -179,8 +275,14 @@ def clusters(docs: DataFrame) -> DataFrame:
     sets = cut(_with_text(rows, lists).mapInArrow(_sets, "par long, shingles array<long>").dropDuplicates(["par"]), "shingles")
     x = sets.select(F.col("par").alias("a"), F.col("shingles").alias("x"))
     y = sets.select(F.col("par").alias("b"), F.col("shingles").alias("y"))
-    linked = pairs.join(x, "a").join(y, "b").select("a", "b", "x", "y").mapInArrow(_similar, "a long, b long")
-    label = components(linked).withColumnRenamed("node", "par")
+
+    def similar(pairs: DataFrame) -> DataFrame:
+        return pairs.join(x, "a").join(y, "b").select("a", "b", "x", "y").mapInArrow(_similar, "a long, b long")
+
+    label = cut(components(similar(pairs.where("a <> b"))).withColumnRenamed("node", "par"), "labels")
+    crowd = sets.join(pairs.where("a = b").select(F.col("a").alias("par")), "par", "left_semi").join(label, "par", "left")
+    more = similar(crowded(crowd.withColumn("label", F.coalesce("label", "par"))))
+    label = components(label.select(F.col("par").alias("a"), F.col("label").alias("b")).unionByName(more)).withColumnRenamed("node", "par")
     placed = here.join(label, "par", "left").withColumn("cluster", F.coalesce("label", "par")).drop("label")
     place = F.struct("doc_id", "text_hash", "place")
     first = placed.groupBy("cluster").agg(F.count("*").alias("size"), F.min(place).alias("first"))
