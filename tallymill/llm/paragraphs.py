@@ -1,7 +1,8 @@
 """Paragraph deduplication: MinHash bands, exact Jaccard, components.
 
-A paragraph is a line of five words or more. Equal paragraphs (lower-cased words) share a hash
-and are one node. Bands of MinHash values put similar paragraphs in common buckets; pairs from
+A paragraph is a line with a word. Equal paragraphs (lower-cased words) share a hash and are one
+node. One of one to four words is a single shingle, its whole sequence, so it is similar to its
+equals only and takes no part in the rest. Bands of MinHash values put similar paragraphs in common buckets; pairs from
 buckets are verified on their sets of five-word shingles, and the components of the verified
 links decide which paragraphs go: all but the first occurrence of each.
 
@@ -47,11 +48,11 @@ def shingles(words: list[bytes]) -> np.ndarray:
     return np.unique(np.array([xxhash.xxh3_64_intdigest(line[i:j]) for i, j in zip(start, stop)], np.uint64))
 
 
-def paragraphs(text: bytes | None) -> Iterator[tuple[int, list[bytes]]]:
-    """(place among the lines, lower-cased words) of the lines of five words or more."""
+def paragraphs(text: bytes | None, least: int = WORDS) -> Iterator[tuple[int, list[bytes]]]:
+    """(place among the lines, lower-cased words) of the lines of least words or more."""
     for k, line in enumerate((text or b"").split(b"\n")):
         words = line.lower().split()
-        if len(words) >= WORDS:
+        if len(words) >= least:
             yield k, words
 
 
@@ -76,16 +77,19 @@ def bands(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in sliced(batches, "text"):
-        rows, at, par, names = [], [], [], []
-        for k, t in enumerate(b.column("text").cast(pa.binary())):
-            for place, words in paragraphs(t.as_py()):
-                at.append(k)
-                par.append(place)
-                names.append(name(words))
-        take = pa.array(at, pa.int64())
-        yield pa.record_batch([b.column("doc_id").take(take), b.column("text_hash").take(take), pa.array(par, pa.int32()), pa.array(names, pa.int64())], names=["doc_id", "text_hash", "place", "par"])
+def _occurrences(least: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in sliced(batches, "text"):
+            at, par, names = [], [], []
+            for k, t in enumerate(b.column("text").cast(pa.binary())):
+                for place, words in paragraphs(t.as_py(), least):
+                    at.append(k)
+                    par.append(place)
+                    names.append(name(words))
+            take = pa.array(at, pa.int64())
+            yield pa.record_batch([b.column("doc_id").take(take), b.column("text_hash").take(take), pa.array(par, pa.int32()), pa.array(names, pa.int64())], names=["doc_id", "text_hash", "place", "par"])
+
+    return run
 
 
 def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -258,14 +262,14 @@ def crowded(sets: DataFrame) -> DataFrame:
     return met.mapInArrow(_meetings, "a long, b long").distinct()
 
 
-def clusters(docs: DataFrame) -> DataFrame:
-    """(doc_id, text_hash, place, par, cluster, size, removed) of every paragraph of
-    docs(doc_id, text): cluster is a paragraph name shared by its component, size its number of
+def clusters(docs: DataFrame, least: int = WORDS) -> DataFrame:
+    """(doc_id, text_hash, place, par, cluster, size, removed) of every paragraph of least words or
+    more of docs(doc_id, text): cluster is a paragraph name shared by its component, size its number of
     occurrences; removed is false for its first by doc_id, text_hash and place. Null and empty
     texts have no paragraphs; repeated rows are occurrences of one place; other columns are ignored."""
     rows = keyed(docs)
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    here = cut(rows.mapInArrow(_occurrences, "doc_id long, text_hash long, place int, par long"), "paragraphs")
+    here = cut(rows.mapInArrow(_occurrences(least), "doc_id long, text_hash long, place int, par long"), "paragraphs")
     met = rows.select("text").mapInArrow(_buckets, "bucket long, par long").withColumn("drawn", F.xxhash64("bucket", "par"))
     pairs = met.repartition(parts, "bucket").sortWithinPartitions("bucket", "drawn", "par").select("bucket", "par").mapInArrow(_pairs, "a long, b long")
     pairs = cut(pairs.distinct(), "pairs")
@@ -290,9 +294,9 @@ def clusters(docs: DataFrame) -> DataFrame:
 
 
 def by_document(docs: DataFrame) -> DataFrame:
-    """One row for every row of docs: (doc_id, n_paragraphs, n_repeated, n_removed, repeated,
+    """One row for every row of docs, short paragraphs included: (doc_id, n_paragraphs, n_repeated, n_removed, repeated,
     removed_places, clusters), clusters those of two or more occurrences."""
-    own = clusters(docs).groupBy("doc_id", "text_hash").agg(
+    own = clusters(docs, 1).groupBy("doc_id", "text_hash").agg(
         F.count_distinct("place").alias("n_paragraphs"),
         F.array_sort(F.collect_set(F.when(F.col("size") > 1, F.col("place")))).alias("repeated_places"),
         F.array_sort(F.collect_set(F.when(F.col("removed"), F.col("place")))).alias("removed_places"),
@@ -316,7 +320,7 @@ def by_document(docs: DataFrame) -> DataFrame:
 
 def stripped(docs: DataFrame) -> DataFrame:
     """(doc_id, text) of every row of docs without its removed paragraphs."""
-    lists = clusters(docs).where("removed").groupBy("doc_id", "text_hash").agg(F.collect_set("place").alias("gone"))
+    lists = clusters(docs, 1).where("removed").groupBy("doc_id", "text_hash").agg(F.collect_set("place").alias("gone"))
     lines = F.split("text", "\n", -1)
     kept = F.filter(F.transform(lines, lambda x, k: F.struct(x.alias("x"), k.alias("k"))), lambda s: ~F.coalesce(F.array_contains(F.col("gone"), s["k"]), F.lit(False)))
     return _with_text(keyed(docs), lists, "left").select("doc_id", F.array_join(F.transform(kept, lambda s: s["x"]), "\n").alias("text"))

@@ -32,3 +32,11 @@ def test_shingles_of_many_labels_meet_by_size_and_place(spark):
     batch = pa.record_batch([pa.array(c, pa.int64()) for c in zip(*rows)], names=["shingle", "size", "at", "label", "par"])
     got = [(a, b) for x in paragraphs._meetings(iter([batch.slice(0, 100), batch.slice(100)])) for a, b in zip(*(c.to_pylist() for c in x.columns))]
     assert set(got) == want
+
+
+def test_short_paragraphs_repeat(spark):
+    rows = [(1, "Share this page\nabc"), (2, "share  THIS page\nxyz"), (3, "一二三\n \nshare this"), (4, "一二三"), (5, "a b c d e f g\nabc def")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: (r.n_paragraphs, r.n_repeated, r.removed_places) for r in paragraphs.by_document(docs).collect()}
+    assert got == {1: (2, 1, []), 2: (2, 1, [0]), 3: (2, 1, []), 4: (1, 1, [0]), 5: (2, 0, [])}
+    assert {r.doc_id: r.text for r in paragraphs.stripped(docs).collect()} == {1: rows[0][1], 2: "xyz", 3: rows[2][1], 4: "", 5: rows[4][1]}
