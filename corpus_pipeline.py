@@ -8,6 +8,9 @@ from tallymill.llm import bpe, decontaminate, langid, simhash, suffixes
 from tallymill.llm.queries import tokenizer
 from tallymill.llm.shared import cut, modest, table
 
+#: Words of the shortest repeated passage that goes.
+PASSAGE = 51
+
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is recognised."""
@@ -23,9 +26,9 @@ def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the passages that repeat."""
+    """Documents without the passages that repeat, of more than 50 words or of suffixes.DEPTH bytes."""
     modest(spark)
-    return suffixes.stripped(docs)
+    return suffixes.without_passages(docs, PASSAGE)
 
 
 def uncontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -17,6 +17,7 @@ Hashes have 128 bits over digits 1 and 2, or 1 and 4.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -89,12 +90,34 @@ def runs(text: bytes, depth: int = DEPTH, gram: int = GRAM) -> tuple[np.ndarray,
     return first, last, anchor, h[anchor].view(np.int64), np.array(whole, np.uint64).view(np.int64)
 
 
-def _find_runs(depth: int, gram: int):
+#: Scripts that put no spaces between words; a character of them is a word here.
+_UNSPACED = rb"\xe0[\xb8-\xbb].|\xe1[\x80-\x82\x9e\x9f].|\xe2[\xba-\xbf].|[\xe3-\xe9]..|\xef[\xa4-\xab].|\xf0[\xa0-\xb3].."
+_ANY_UNSPACED = re.compile(_UNSPACED, re.S)
+_WORD = re.compile(_UNSPACED + rb"|(?:(?!" + _UNSPACED + rb")\S)+", re.S)
+#: Bytes that stand for a word in spelt().
+WORD = 8
+
+
+def words(text: bytes) -> list[bytes]:
+    """The words of a text in order, whitespace apart."""
+    return _WORD.findall(text) if _ANY_UNSPACED.search(text) else text.split()
+
+
+def spelt(text: bytes) -> bytes:
+    """WORD bytes for each word of a text, so that windows of words are windows of bytes."""
+    return b"".join(map(xxhash.xxh3_64_digest, words(text)))
+
+
+def as_is(text: bytes) -> bytes:
+    return text
+
+
+def _find_runs(depth: int, gram: int, form=as_is):
     names = ["doc_id", "text_hash", "first", "last", "anchor", "one", "two"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            rows = [runs(t.as_py(), depth, gram) for t in b.column("text").cast(pa.binary())]
+            rows = [runs(form(t.as_py()), depth, gram) for t in b.column("text").cast(pa.binary())]
             if not rows:
                 continue
             which = np.repeat(np.arange(len(rows)), [len(r[0]) for r in rows])
@@ -108,7 +131,7 @@ def _find_runs(depth: int, gram: int):
     return run
 
 
-def _find_steps(depth: int):
+def _find_steps(depth: int, form=as_is):
     """Rows of up to STEP neighbouring windows of a run: digit 3, and digit 4 of each."""
     names = ["doc_id", "text_hash", "first", "one", "three", "four"]
 
@@ -118,7 +141,7 @@ def _find_steps(depth: int):
             out: list[list] = [[] for _ in names]
             texts = b.column("text").cast(pa.binary())
             for k, found in enumerate(b.column("runs")):
-                text, doc, text_hash = texts[k].as_py(), b.column("doc_id")[k].as_py(), b.column("text_hash")[k].as_py()
+                text, doc, text_hash = form(texts[k].as_py()), b.column("doc_id")[k].as_py(), b.column("text_hash")[k].as_py()
                 for r in found.as_py():
                     at, last = r["anchor"], r["last"]
                     start = r["first"]
@@ -145,11 +168,12 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
 
 
-def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
+def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, form=as_is) -> DataFrame:
     """(doc_id, text_hash, spans) of the texts of docs(doc_id, text) that hold repeated windows;
-    spans are runs [first, last] of their starts. text_hash is xxhash64 of the text."""
+    spans are runs [first, last] of their starts, in bytes of form(text). text_hash is xxhash64 of
+    the text."""
     rows = keyed(docs)
-    found = cut(rows.mapInArrow(_find_runs(depth, gram), ", ".join(_ids) + ", first int, last int, anchor int, one long, two long"), "runs")
+    found = cut(rows.mapInArrow(_find_runs(depth, gram, form), ", ".join(_ids) + ", first int, last int, anchor int, one long, two long"), "runs")
     ref = F.xxhash64("doc_id", "text_hash", "first")
     equal = found.groupBy("one", "two").agg(F.count("*").alias("n"), F.min(ref).alias("ref"))
     company = equal.groupBy("one").agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where("all > 1")
@@ -159,7 +183,7 @@ def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
     alive = cut(alive.where("whole OR open").select("doc_id", "text_hash", "first", "last", "anchor", "one", "whole", "open"), "alive")
     drop(found)
     opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("first", "last", "anchor", "one")).alias("runs"))
-    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(depth), ", ".join(_ids) + ", first int, one long, three long, four array<long>"), "steps")
+    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(depth, form), ", ".join(_ids) + ", first int, one long, three long, four array<long>"), "steps")
     met = steps.groupBy("one", "three").agg(F.count("*").alias("n")).where("n > 1").select("one", "three")
     windows = cut(steps.join(met, ["one", "three"]).select("doc_id", "text_hash", "one", "first", F.posexplode("four").alias("k", "window")), "windows")
     drop(steps)
@@ -210,21 +234,51 @@ def remaining(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFram
     return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
 
 
-def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
+def _of_words(text: bytes, spans: list[dict], n_words: int) -> list[dict]:
+    """Runs of windows of spelt(text), n_words long, as runs of windows of text, one byte long."""
+    place = [m.span() for m in (_WORD.finditer(text) if _ANY_UNSPACED.search(text) else re.finditer(rb"\S+", text))]
+    # whole words only
+    inside = [(-(-s["first"] // WORD), (s["last"] + WORD * n_words) // WORD) for s in spans]
+    return [{"first": place[a][0], "last": place[b - 1][1] - 1} for a, b in inside]
+
+
+def without_passages(docs: DataFrame, n_words: int, depth: int = DEPTH) -> DataFrame:
+    """docs without each passage of n_words words or more that stands elsewhere too, whatever its
+    length in bytes and the whitespace in it, and without what stripped() takes out; else as there."""
+    return stripped(docs, depth, n_words=n_words)
+
+
+def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: int = 0) -> DataFrame:
     """docs with repeated substrings taken out of text, and n_chars (if there is one) of what
-    remains. Characters that lose some of their bytes go. Null texts stay null."""
+    remains. Characters that lose some of their bytes go. Null texts stay null. With n_words,
+    repeated passages of so many words go as well."""
 
     doc, text_hash, spans = (unused(docs, n) for n in ("span_doc", "span_text", "spans"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
             texts = b.column("text").cast(pa.binary()).to_pylist()
-            left = [None if t is None else _remaining(t, s.as_py(), depth)[0].decode("utf-8", "ignore") for t, s in zip(texts, b.column(spans))]
+            left = []
+            for t, s in zip(texts, b.column(spans)):
+                s = s.as_py() or []
+                every = [{"first": x["first"], "last": x["last"] + depth - 1} for x in s if not x["words"]]
+                every += _of_words(t or b"", [x for x in s if x["words"]], n_words) if n_words else []
+                left.append(None if t is None else _remaining(t, every, 1)[0].decode("utf-8", "ignore"))
             columns = {n: b.column(n) for n in names} | {"text": pa.array(left, pa.string())}
             yield pa.record_batch(list(columns.values()), names=list(columns))
 
     names = docs.columns
-    lists = repeats(docs, depth, gram).withColumnsRenamed({"doc_id": doc, "text_hash": text_hash, "spans": spans}).hint("shuffle_hash")
+    kinds = [(repeats(docs, depth, gram), False)]
+    if n_words:
+        kinds.append((repeats(docs, WORD * n_words, WORD * n_words // 2, spelt), True))
+    lists = None
+    for found, by_words in kinds:
+        marked = f"transform(spans, s -> named_struct('first', s.first, 'last', s.last, 'words', {str(by_words).lower()})) AS spans"
+        found = found.selectExpr("doc_id", "text_hash", marked)
+        lists = found if lists is None else lists.unionByName(found)
+    if n_words:
+        lists = lists.groupBy("doc_id", "text_hash").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    lists = lists.withColumnsRenamed({"doc_id": doc, "text_hash": text_hash, "spans": spans}).hint("shuffle_hash")
     same = (F.xxhash64("text") == F.col(text_hash)) & F.col("doc_id").eqNullSafe(F.col(doc))
     out = docs.join(lists, same, "left").select(*names, spans).mapInArrow(run, docs.schema)
     return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in names else out

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import random
+
+import corpus_pipeline
 from tallymill.llm import paragraphs
 
 
@@ -40,3 +43,24 @@ def test_short_paragraphs_repeat(spark):
     got = {r.doc_id: (r.n_paragraphs, r.n_repeated, r.removed_places) for r in paragraphs.by_document(docs).collect()}
     assert got == {1: (2, 1, []), 2: (2, 1, [0]), 3: (2, 1, []), 4: (1, 1, [0]), 5: (2, 0, [])}
     assert {r.doc_id: r.text for r in paragraphs.stripped(docs).collect()} == {1: rows[0][1], 2: "xyz", 3: rows[2][1], 4: "", 5: rows[4][1]}
+
+
+def test_repeated_passages_count_by_words(spark):
+    rng = random.Random(6)
+    prose = lambda n: " ".join("".join(rng.choice("abcdeé") for _ in range(rng.randint(2, 4))) for _ in range(n))
+    long, short = prose(51), prose(50)
+    hanzi = "".join(chr(0x4E00 + rng.randrange(5000)) for _ in range(60))
+    rows = [(k, f"{prose(40)} {long} {prose(30)}") for k in range(2)] + [(2, f"{prose(9)}\n{long.replace(' ', '  ')}\nend")]
+    rows += [(10 + k, f"{prose(40)} {short} {prose(30)}") for k in range(2)] + [(20 + k, prose(30) + hanzi + prose(5)) for k in range(2)] + [(30, None), (31, "")]
+    assert len(long.encode()) < 300
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.text for r in corpus_pipeline.without_repeats(spark, docs, "").collect()}
+    for k, t in rows:
+        gone = long.split() if k < 2 or k == 2 else []
+        want = (t or "").replace(hanzi, " " if k >= 20 else "").split()
+        for i in range(len(want) - 50 if gone else 0):
+            if want[i : i + 51] == gone:
+                want[i : i + 51] = []
+                break
+        assert ((got[k] or "").replace(hanzi, "?").split() == want) if k < 20 else hanzi not in (got[k] or "")
+    assert got[30] is None and got[31] == ""
