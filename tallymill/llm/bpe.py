@@ -3,7 +3,8 @@
 A long text is cut into chunks that overlap. Each is pre-tokenised on its own, in parallel.
 Where the pre-token boundaries of two neighbours agree inside their overlap, the later stream
 has fallen into step with the earlier one, and the text may be cut there: what follows a
-boundary does not depend on what precedes it. The pieces between such cuts are encoded in
+boundary does not depend on what precedes it, and what precedes it does not depend on what
+follows unless it ends in whitespace, which looks ahead; there no cut is made. The pieces between such cuts are encoded in
 parallel and put together in order. If a seam never falls into step the text stays whole from
 the last cut on. Decoding concatenates the bytes of the ids.
 """
@@ -66,14 +67,14 @@ def stitch(streams: list[tuple[int, int, list[int]]]) -> list[int]:
 
 
 def _seams(pattern: str, overlap: int):
-    """From a chunk only the boundaries in its two overlaps are passed on."""
+    """From a chunk only the boundaries in its two overlaps are passed on, and none after whitespace."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             rows = b.to_pylist()
             for r in rows:
                 text = r.pop("text")
-                at = [p + r["start"] for p in boundaries(text, pattern, r["last"])]
+                at = [p + r["start"] for p in boundaries(text, pattern, r["last"]) if p and not text[p - 1].isspace()]
                 end = r["start"] + len(text)
                 r["end"] = end
                 r["at"] = [p for p in at if p < r["start"] + overlap or p >= end - overlap]

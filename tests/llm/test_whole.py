@@ -5,7 +5,8 @@ from __future__ import annotations
 import random
 
 import corpus_pipeline
-from tallymill.llm import paragraphs
+from tallymill.llm import bpe, paragraphs
+from tallymill.llm.queries import tokenizer
 
 
 def test_pairs_in_crowded_buckets_are_found(spark):
@@ -64,3 +65,14 @@ def test_repeated_passages_count_by_words(spark):
                 break
         assert ((got[k] or "").replace(hanzi, "?").split() == want) if k < 20 else hanzi not in (got[k] or "")
     assert got[30] is None and got[31] == ""
+
+
+def test_seams_in_whitespace(spark):
+    path, pattern = tokenizer()
+    coder = bpe.encoding(path, pattern)
+    gaps = ["\n\n", "\r\n\r\n", "\t\t ", "  ", "\n\n\n  "]
+    body = "".join(f"word{k}{gaps[k % 5]}foo" for k in range(25))
+    rows = [(k, "x" * k + " " + body) for k in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: list(r.ids) for r in bpe.encode(docs, path, pattern, 64, 16).collect()}
+    assert [k for k, t in rows if got[k] != coder.encode_ordinary(t)] == []
