@@ -110,13 +110,14 @@ def _screen(docs: DataFrame, anchors: dict) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), "text").mapInArrow(run, _SCHEMA)
 
 
-def overlaps(docs: DataFrame, items: DataFrame, width: int = WIDTH, block_words: int = BLOCK_WORDS) -> DataFrame:
+def overlaps(docs: DataFrame, items: DataFrame, width: int = WIDTH, block_words: int = BLOCK_WORDS, hashed: bool = False) -> DataFrame:
     """For every row of docs(doc_id, text): n_words, hit_spans (disjoint runs of word positions
     inside a window of an item of items(item_id, text)) and item_ids, sorted as strings. Null and
     empty texts have no words; a null item_id stands as an empty string; other columns are ignored.
 
     One block of items, up to about block_words words, is broadcast at a time. Several blocks
-    each scan the documents, and what they find is merged by document.
+    each scan the documents, and what they find is merged by document. With hashed, text_hash
+    comes too.
     """
     items = items.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item_id"), "text")
     # 2 bytes a word at least, so this is no less than the number of words
@@ -129,7 +130,7 @@ def overlaps(docs: DataFrame, items: DataFrame, width: int = WIDTH, block_words:
         often = _frequency(docs, {w for _, item in held for w in item})
         found.append(_screen(docs, _anchors(held, often, width)))
     if blocks == 1:
-        return found[0].drop("text_hash")
+        return found[0] if hashed else found[0].drop("text_hash")
     base = found[0].select("doc_id", "text_hash", "n_words")
     parts = [cut(f.where(F.size("item_ids") > 0).distinct(), "hits") for f in found]
     every = parts[0]
@@ -149,6 +150,7 @@ def overlaps(docs: DataFrame, items: DataFrame, width: int = WIDTH, block_words:
     some = some.withColumnsRenamed({"doc_id": "d", "text_hash": "t"})
     return base.join(some, F.col("doc_id").eqNullSafe(F.col("d")) & F.col("text_hash").eqNullSafe(F.col("t")), "left").select(
         "doc_id",
+        *["text_hash"] * hashed,
         "n_words",
         F.coalesce("hit_spans", F.expr("cast(array() as array<struct<start:bigint,stop:bigint>>)")).alias("hit_spans"),
         F.coalesce("item_ids", F.expr("cast(array() as array<string>)")).alias("item_ids"),
@@ -162,10 +164,11 @@ def judged(found: DataFrame) -> DataFrame:
 
 
 def clean(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """docs without the contaminated ones; a doc_id goes with all its rows."""
-    own = unused(docs, "bad_id")
-    held = cut(judged(overlaps(docs, items)).where("contaminated").select(F.col("doc_id").alias(own)).distinct(), "contaminated")
-    return docs.join(held, F.col("doc_id").eqNullSafe(F.col(own)), "left_anti")
+    """docs without the contaminated ones, known by doc_id and text."""
+    own, text_hash = unused(docs, "bad_id"), unused(docs, "bad_text")
+    found = judged(overlaps(docs, items, hashed=True)).where("contaminated")
+    held = cut(found.select(F.col("doc_id").alias(own), F.col("text_hash").alias(text_hash)).distinct(), "contaminated")
+    return docs.join(held, (F.xxhash64("text") == F.col(text_hash)) & F.col("doc_id").eqNullSafe(F.col(own)), "left_anti")
 
 
 _WORDS_SQL = r"""list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '')"""

@@ -152,6 +152,28 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     )
 
 
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in sliced(batches, "text"):
+        found = [fingerprint(t.as_py()) for t in b.column("text").cast(pa.binary())]
+        yield pa.record_batch([b.column("doc_id"), b.column("row_hash"), pa.array(np.array(found, np.uint64).view(np.int64))], names=["doc_id", "row_hash", "fp"])
+
+
+def one_row(docs: DataFrame) -> DataFrame:
+    """docs without all but one row of each group, a row being known by doc_id and text: the one of
+    least doc_id, null last, and text hash, and one of rows equal in both. Rows of different groups
+    stay, though they share a doc_id or have none."""
+    doc, text_hash = unused(docs, "kept_id"), unused(docs, "row_hash")
+    rows = docs.select("doc_id", F.xxhash64("text").alias("row_hash"), "text")
+    prints = cut(rows.mapInArrow(_rows, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, row_hash long, fp long"), "simhash-rows")
+    label = components(links(prints)).withColumnRenamed("node", "fp")
+    row = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row_hash")
+    kept = prints.join(label, "fp", "left").groupBy(F.coalesce("label", "fp")).agg(F.min(row).alias("row"))
+    kept = kept.select(F.col("row.doc_id").alias(doc), F.col("row.row_hash").alias(text_hash + "_"))
+    same = (F.col(text_hash) == F.col(text_hash + "_")) & F.col("doc_id").eqNullSafe(F.col(doc))
+    out = docs.withColumn(text_hash, F.xxhash64("text")).join(kept, same, "left_semi")
+    return out.dropDuplicates(["doc_id", text_hash]).drop(text_hash)
+
+
 def keep_one(docs: DataFrame) -> DataFrame:
     """docs without all but one document of each group: the one of least doc_id. Rows that
     share a doc_id count as one document; a null doc_id is an identifier of its own."""

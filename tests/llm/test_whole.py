@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import random
+from collections import Counter
 
 import corpus_pipeline
-from tallymill.llm import bpe, paragraphs
+from tallymill.llm import bpe, decontaminate, paragraphs
 from tallymill.llm.queries import tokenizer
 
 
@@ -76,3 +77,16 @@ def test_seams_in_whitespace(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r.doc_id: list(r.ids) for r in bpe.encode(docs, path, pattern, 64, 16).collect()}
     assert [k for k, t in rows if got[k] != coder.encode_ordinary(t)] == []
+
+
+def test_rows_that_share_an_identity_stay_apart(spark):
+    rng = random.Random(9)
+    texts = [" ".join(rng.choice("abcdefgh") + str(rng.randint(0, 999)) for _ in range(60)) for _ in range(6)]
+    rows = [(1, texts[0]), (5, texts[0]), (5, texts[1]), (None, texts[2]), (None, texts[3]), (None, texts[3]), (7, texts[4]), (7, texts[4]), (8, texts[5]), (None, texts[5])]
+    docs = spark.createDataFrame([(i, t, "s") for i, t in rows], "doc_id long, text string, source string").repartition(3)
+    out = corpus_pipeline.one_of_each(spark, docs, "")
+    assert out.columns == docs.columns
+    want = [(1, texts[0]), (5, texts[1]), (None, texts[2]), (None, texts[3]), (7, texts[4]), (8, texts[5])]
+    assert Counter((r.doc_id, r.text) for r in out.collect()) == Counter(want)
+    items = spark.createDataFrame([(1, texts[2])], "item_id long, text string")
+    assert Counter((r.doc_id, r.text) for r in decontaminate.clean(out, items).collect()) == Counter(w for w in want if w[1] != texts[2])
