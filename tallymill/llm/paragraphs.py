@@ -1,4 +1,4 @@
-"""Paragraph deduplication: MinHash bands, exact Jaccard, components.
+"""Paragraph deduplication: MinHash bands, exact Jaccard, components; passages inside lines.
 
 A paragraph is a line with a word. Equal paragraphs (lower-cased words) share a hash and are one
 node. One of one to four words is a single shingle, its whole sequence, so it is similar to its
@@ -6,10 +6,15 @@ equals only and takes no part in the rest. Bands of MinHash values put similar p
 buckets are verified on their sets of five-word shingles, and the components of the verified
 links decide which paragraphs go: all but the first occurrence of each.
 
-Buckets of many paragraphs are first linked by a few pairs each. What these leave apart is joined
-exactly: of each paragraph the shingles that are rarest among all in such buckets, as many as two
-similar sets cannot both miss, meet those of the other components, and pairs that length and
-place allow are verified too.
+Buckets of many paragraphs are first linked by a few pairs each. Where these leave a bucket's
+members apart they are joined exactly: of each paragraph the shingles that are rarest among all in
+such buckets, as many as two similar sets cannot both miss, meet those of the other components, and
+pairs that length and place allow are verified too.
+
+A passage need not be a line. The words of a text, line ends apart, are therefore also cut into
+pieces at words that their neighbours alone decide, so that a passage is cut alike wherever it
+stands. A run of neighbouring pieces that all stand elsewhere too is a passage once it has PASSAGE
+words; short lines that many documents share are not.
 """
 
 from __future__ import annotations
@@ -19,19 +24,23 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import components, cut, sliced
-from tallymill.llm.suffixes import _with_text, keyed
+from tallymill.llm.shared import components, cut, drop, sliced
+from tallymill.llm.suffixes import _with_text, keyed, sliding_least, words
 
 WORDS = 5
 SIMILAR = 0.8
 #: 16 bands of 3 values: a pair of similarity 0.8 shares one with probability 1 - 1e-5, of 0.2 with 0.12.
 BANDS, ROWS = 16, 3
-#: Buckets up to this size link every pair; larger ones link each member with its two neighbours
-#: and with the first in an order drawn anew in each bucket, and their members go to crowded().
+#: The first members of a bucket, in an order drawn anew in each, link in every pair; later ones
+#: with their two neighbours and with the first, and the bucket goes to crowded() if that leaves it apart.
 ALL_PAIRS = 8
+#: A text is cut before a word whose hash is the least of REACH neighbours on either side.
+REACH = 6
+#: Words of whole pieces that a passage has: what the two cut ends leave of one of over 50 words.
+PASSAGE = 30
 #: Members of a shingle up to which pairs are tried one by one, and pairs that are passed on at a time.
 FEW, PASSED = 64, 1 << 18
 _rng = np.random.default_rng(11)
@@ -77,17 +86,51 @@ def bands(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def _occurrences(least: int):
+def pieces(text: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(name, words) of the pieces of a text, in order."""
+    own = words(text.lower())
+    if not own:
+        return np.empty(0, np.int64), np.empty(0, np.int32)
+    h = np.array([xxhash.xxh3_64_intdigest(w) for w in own], np.uint64)
+    g = h * np.uint64(3)
+    g[:-1] += h[1:] * np.uint64(0x9E3779B97F4A7C15)
+    g ^= g >> np.uint64(29)
+    g *= np.uint64(0xBF58476D1CE4E5B9)
+    g ^= g >> np.uint64(32)
+    inner = np.flatnonzero(g[REACH:-REACH] == sliding_least(g, 2 * REACH + 1)) + REACH if len(g) > 2 * REACH else []
+    edge = np.r_[0, inner, len(g)].astype(np.int64)
+    names = [xxhash.xxh3_64_intdigest(h[x:y].tobytes()) for x, y in zip(edge.tolist(), edge[1:].tolist())]
+    return np.array(names, np.uint64).view(np.int64), np.diff(edge).astype(np.int32)
+
+
+_UNIT = "doc_id long, text_hash long, piece boolean, place int, words int, par long"
+
+
+def _units(least: int, with_pieces: bool):
+    """Lines of least words or more and, if wanted, pieces of every text."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            at, par, names = [], [], []
+            lines, cuts = [], []
             for k, t in enumerate(b.column("text").cast(pa.binary())):
-                for place, words in paragraphs(t.as_py(), least):
-                    at.append(k)
-                    par.append(place)
-                    names.append(name(words))
-            take = pa.array(at, pa.int64())
-            yield pa.record_batch([b.column("doc_id").take(take), b.column("text_hash").take(take), pa.array(par, pa.int32()), pa.array(names, pa.int64())], names=["doc_id", "text_hash", "place", "par"])
+                lines += [(k, place, len(own), name(own)) for place, own in paragraphs(t.as_py(), least)]
+                cuts.append(pieces(t.as_py()) if with_pieces else (np.empty(0, np.int64), np.empty(0, np.int32)))
+            row, place, size, par = (np.array(c, np.int64) for c in (zip(*lines) if lines else [()] * 4))
+            many = [len(c[0]) for c in cuts]
+            row = np.r_[row, np.repeat(np.arange(len(many)), many)]
+            place = np.concatenate([place, *(np.arange(n) for n in many)]).astype(np.int32)
+            take = pa.array(row, pa.int64())
+            yield pa.record_batch(
+                [
+                    b.column("doc_id").take(take),
+                    b.column("text_hash").take(take),
+                    pa.array(np.arange(len(row)) >= len(lines)),
+                    pa.array(place),
+                    pa.array(np.concatenate([size, *(c[1] for c in cuts)]).astype(np.int32)),
+                    pa.array(np.concatenate([par, *(c[0] for c in cuts)]).astype(np.int64)),
+                ],
+                names=["doc_id", "text_hash", "piece", "place", "words", "par"],
+            )
 
     return run
 
@@ -117,39 +160,48 @@ def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Candidate pairs from rows (bucket, drawn, par) sorted by bucket and drawn; members of
-    buckets of more than ALL_PAIRS come out paired with themselves too."""
-    left = [np.empty(0, np.int64), np.empty(0, np.int64)]
-
-    def out(bucket: np.ndarray, par: np.ndarray) -> pa.RecordBatch:
-        fresh = np.r_[True, (bucket[1:] != bucket[:-1]) | (par[1:] != par[:-1])][: len(par)]
-        bucket, par = bucket[fresh], par[fresh]
-        first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]])[: len(bucket)]
-        size = np.diff(np.r_[first, len(bucket)])
-        head, many = np.repeat(first, size), np.repeat(size, size)
-        rows, rank = np.arange(len(par)), np.arange(len(par)) - np.repeat(first, size)
-        a, b = [], []
-        for step in range(1, ALL_PAIRS):
-            k = rows[(rank + step < many) & ((many <= ALL_PAIRS) | (step <= 2))]
-            a.append(par[k])
-            b.append(par[k + step])
-        k = rows[(many > ALL_PAIRS) & (rank > 0)]
-        crowd = par[many > ALL_PAIRS]
-        a, b = np.concatenate([*a, par[head[k]], crowd]), np.concatenate([*b, par[k], crowd])
-        pair = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0)
-        return pa.record_batch([pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=["a", "b"])
-
+    """Candidate pairs (a, b) from rows (bucket, drawn, par) sorted by bucket and drawn; members of
+    buckets of more than ALL_PAIRS also come out paired with themselves, with their bucket. Of an
+    open bucket only its first and its last ALL_PAIRS members are held."""
+    none = np.empty(0, np.int64)
+    bucket, par, rank, head = none, none, none, none
     for batch in batches:
-        bucket = np.concatenate([left[0], batch.column("bucket").to_numpy()])
-        par = np.concatenate([left[1], batch.column("par").to_numpy()])
-        if not len(bucket):
+        held = len(bucket)
+        bucket = np.concatenate([bucket, batch.column("bucket").to_numpy()])
+        par = np.concatenate([par, batch.column("par").to_numpy()])
+        if len(bucket) == held:
             continue
-        last = int(np.searchsorted(bucket, bucket[-1]))
-        left = [bucket[last:], par[last:]]
-        if last:
-            yield out(bucket[:last], par[:last])
-    if len(left[0]):
-        yield out(*left)
+        opens = np.r_[True, bucket[1:] != bucket[:-1]]
+        fresh = opens | np.r_[True, par[1:] != par[:-1]]
+        bucket, par, opens = bucket[fresh], par[fresh], opens[fresh]
+        at = np.arange(len(bucket))
+        first = np.flatnonzero(opens)
+        of = np.cumsum(opens) - 1
+        begun = rank[0] if held else 0
+        rank = at - first[of] + np.where(of == 0, begun, 0)
+        heads = par[first]
+        if held:
+            heads[0] = head
+        a, b, where = [], [], []
+        for step in range(1, ALL_PAIRS):
+            k = np.flatnonzero((rank >= step) & ((rank < ALL_PAIRS) | (step <= 2)) & (at >= held))
+            a.append(par[k - step])
+            b.append(par[k])
+        k = np.flatnonzero((rank >= ALL_PAIRS) & (at >= held))
+        a.append(heads[of[k]])
+        b.append(par[k])
+        a, b = np.concatenate(a), np.concatenate(b)
+        pair = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0)
+        # a bucket is known to be large at its ninth member
+        known = np.flatnonzero((rank == ALL_PAIRS) & (at >= held))
+        crowd = np.unique(np.r_[k, (known[:, None] - np.arange(1, ALL_PAIRS + 1)).ravel()])
+        yield pa.record_batch(
+            [pa.array(np.r_[pair[:, 0], par[crowd]]), pa.array(np.r_[pair[:, 1], par[crowd]]), pa.array(np.r_[np.zeros(len(pair), np.int64), bucket[crowd]], mask=np.arange(len(pair) + len(crowd)) < len(pair))],
+            names=["a", "b", "bucket"],
+        )
+        head = heads[-1]
+        keep = max(first[-1], len(bucket) - ALL_PAIRS)
+        bucket, par, rank = bucket[keep:], par[keep:], rank[keep:]
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -262,20 +314,16 @@ def crowded(sets: DataFrame) -> DataFrame:
     return met.mapInArrow(_meetings, "a long, b long").distinct()
 
 
-def clusters(docs: DataFrame, least: int = WORDS) -> DataFrame:
-    """(doc_id, text_hash, place, par, cluster, size, removed) of every paragraph of least words or
-    more of docs(doc_id, text): cluster is a paragraph name shared by its component, size its number of
-    occurrences; removed is false for its first by doc_id, text_hash and place. Null and empty
-    texts have no paragraphs; repeated rows are occurrences of one place; other columns are ignored."""
-    rows = keyed(docs)
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    here = cut(rows.mapInArrow(_occurrences(least), "doc_id long, text_hash long, place int, par long"), "paragraphs")
+def _labels(rows: DataFrame, lines: DataFrame) -> DataFrame:
+    """(par, label) of the paragraphs that are similar to others, lines being all of rows."""
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     met = rows.select("text").mapInArrow(_buckets, "bucket long, par long").withColumn("drawn", F.xxhash64("bucket", "par"))
-    pairs = met.repartition(parts, "bucket").sortWithinPartitions("bucket", "drawn", "par").select("bucket", "par").mapInArrow(_pairs, "a long, b long")
+    pairs = met.repartition(parts, "bucket").sortWithinPartitions("bucket", "drawn", "par").select("bucket", "par").mapInArrow(_pairs, "a long, b long, bucket long")
     pairs = cut(pairs.distinct(), "pairs")
     wanted = pairs.select(F.col("a").alias("par")).unionByName(pairs.select(F.col("b").alias("par"))).distinct()
-    one = here.join(wanted, "par", "left_semi").groupBy("par").agg(F.min_by(F.struct("doc_id", "text_hash", "place"), F.xxhash64("doc_id", "place")).alias("o"))
-    lists = one.groupBy("o.doc_id", "o.text_hash").agg(F.collect_set("o.place").alias("wanted"))
+    # one occurrence of each, before anything is joined: a very common paragraph is one row by then
+    one = lines.groupBy("par").agg(F.min(F.struct(F.xxhash64("doc_id", "place"), "doc_id", "text_hash", "place")).alias("o"))
+    lists = one.join(wanted, "par", "left_semi").groupBy("o.doc_id", "o.text_hash").agg(F.collect_set("o.place").alias("wanted"))
     sets = cut(_with_text(rows, lists).mapInArrow(_sets, "par long, shingles array<long>").dropDuplicates(["par"]), "shingles")
     x = sets.select(F.col("par").alias("a"), F.col("shingles").alias("x"))
     y = sets.select(F.col("par").alias("b"), F.col("shingles").alias("y"))
@@ -283,44 +331,110 @@ def clusters(docs: DataFrame, least: int = WORDS) -> DataFrame:
     def similar(pairs: DataFrame) -> DataFrame:
         return pairs.join(x, "a").join(y, "b").select("a", "b", "x", "y").mapInArrow(_similar, "a long, b long")
 
-    label = cut(components(similar(pairs.where("a <> b"))).withColumnRenamed("node", "par"), "labels")
-    crowd = sets.join(pairs.where("a = b").select(F.col("a").alias("par")), "par", "left_semi").join(label, "par", "left")
-    more = similar(crowded(crowd.withColumn("label", F.coalesce("label", "par"))))
-    label = components(label.select(F.col("par").alias("a"), F.col("label").alias("b")).unionByName(more)).withColumnRenamed("node", "par")
-    placed = here.join(label, "par", "left").withColumn("cluster", F.coalesce("label", "par")).drop("label")
+    label = components(similar(pairs.where("bucket IS NULL").select("a", "b"))).withColumnRenamed("node", "par")
+    # only buckets that the links leave in several components have pairs to add
+    member = pairs.where("bucket IS NOT NULL").select("bucket", F.col("a").alias("par")).join(label, "par", "left").withColumn("label", F.coalesce("label", "par"))
+    apart = member.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("bucket")
+    member = cut(member.join(apart, "bucket", "left_semi").select("par", "label").distinct(), "crowd")
+    if not member.isEmpty():
+        more = similar(crowded(sets.join(member, "par")))
+        for side in "ab":
+            own = member.select(F.col("par").alias(side), F.col("label").alias(f"l{side}"))
+            more = more.join(own, side)
+        over = components(more.select(F.col("la").alias("a"), F.col("lb").alias("b"))).withColumnRenamed("label", "top")
+        own = label.unionByName(member).distinct()
+        label = cut(own.join(over, own["label"] == over["node"], "left").select("par", F.coalesce("top", "label").alias("label")), "labels")
+    for done in (pairs, sets, member):
+        drop(done)
+    return label
+
+
+def _clusters(rows: DataFrame, lines: DataFrame) -> DataFrame:
+    label = _labels(rows, lines)
+    placed = lines.join(label, "par", "left").withColumn("cluster", F.coalesce("label", "par")).drop("label")
     place = F.struct("doc_id", "text_hash", "place")
     first = placed.groupBy("cluster").agg(F.count("*").alias("size"), F.min(place).alias("first"))
-    return placed.join(first, "cluster").select("doc_id", "text_hash", "place", "par", "cluster", "size", (~place.eqNullSafe(F.col("first"))).alias("removed"))
+    return placed.join(first, "cluster").select("doc_id", "text_hash", "place", "words", "par", "cluster", "size", (~place.eqNullSafe(F.col("first"))).alias("removed"))
+
+
+def clusters(docs: DataFrame, least: int = WORDS) -> DataFrame:
+    """(doc_id, text_hash, place, words, par, cluster, size, removed) of every paragraph of least words or
+    more of docs(doc_id, text): cluster is a paragraph name shared by its component, size its number of
+    occurrences; removed is false for its first by doc_id, text_hash and place. Null and empty
+    texts have no paragraphs; repeated rows are occurrences of one place; other columns are ignored."""
+    rows = keyed(docs)
+    lines = cut(rows.mapInArrow(_units(least, False), _UNIT), "paragraphs")
+    return _clusters(rows, lines)
+
+
+_RUNS = f"""aggregate(at, named_struct('last', -2, 'now', 0L, 'n', 0L, 'words', 0L),
+  (r, x) -> if(x.place = r.last + 1, named_struct('last', x.place, 'now', r.now + x.words, 'n', r.n, 'words', r.words),
+    named_struct('last', x.place, 'now', bigint(x.words), 'n', r.n + if(r.now >= {PASSAGE}, 1L, 0L), 'words', r.words + if(r.now >= {PASSAGE}, r.now, 0L))),
+  r -> named_struct('n', r.n + if(r.now >= {PASSAGE}, 1L, 0L), 'words', r.words + if(r.now >= {PASSAGE}, r.now, 0L)))"""
+
+
+def passages(units: DataFrame) -> DataFrame:
+    """(doc_id, text_hash, n_passages, n_passage_words): the longest runs of neighbouring pieces of
+    units that all occur twice or more, PASSAGE words or longer, in texts that have one."""
+    cuts = units.where("piece").select("doc_id", "text_hash", "place", "words", "par")
+    twice = cuts.groupBy("par").agg(F.count("*").alias("n")).where("n > 1").select("par")
+    hits = cuts.join(twice, "par", "left_semi").groupBy("doc_id", "text_hash").agg(F.array_sort(F.collect_set(F.struct("place", "words"))).alias("at"))
+    return hits.select("doc_id", "text_hash", F.expr(_RUNS).alias("r")).where("r.n > 0").select("doc_id", "text_hash", F.col("r.n").alias("n_passages"), F.col("r.words").alias("n_passage_words"))
+
+
+def _copies(rows: DataFrame) -> DataFrame:
+    """(doc_id, text_hash, first) for every row of rows: whether it is the first of those equal in both."""
+    key = ["doc_id", "text_hash"]
+    here = rows.select(*key, F.spark_partition_id().alias("part")).groupBy(*key, "part").agg(F.count("*").alias("n"))
+    parts = here.groupBy(*key).agg(F.collect_list("n").alias("ns")).select(*key, F.posexplode("ns").alias("k", "n"))
+    return parts.select(*key, "k", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("j")).select(*key, ((F.col("k") == 0) & (F.col("j") == 1)).alias("first"))
 
 
 def by_document(docs: DataFrame) -> DataFrame:
-    """One row for every row of docs, short paragraphs included: (doc_id, n_paragraphs, n_repeated, n_removed, repeated,
-    removed_places, clusters), clusters those of two or more occurrences."""
-    own = clusters(docs, 1).groupBy("doc_id", "text_hash").agg(
-        F.count_distinct("place").alias("n_paragraphs"),
-        F.array_sort(F.collect_set(F.when(F.col("size") > 1, F.col("place")))).alias("repeated_places"),
-        F.array_sort(F.collect_set(F.when(F.col("removed"), F.col("place")))).alias("removed_places"),
+    """One row for every row of docs(doc_id, text), short paragraphs included: (doc_id, n_paragraphs, n_repeated,
+    n_repeated_words, n_removed, repeated, removed_places, clusters, n_passages, n_passage_words), clusters those of
+    two or more occurrences, passages as in passages(). Null and empty texts have none of all; of rows equal
+    in doc_id and text all but one lose every paragraph; other columns are ignored, whatever their names."""
+    rows = keyed(docs)
+    units = cut(rows.mapInArrow(_units(1, True), _UNIT), "paragraphs")
+    key = ["doc_id", "text_hash"]
+    own = _clusters(rows, units.where("NOT piece")).groupBy(*key).agg(
+        F.array_sort(F.collect_set(F.struct("place", "words", (F.col("size") > 1).alias("twice"), "removed"))).alias("ps"),
         F.array_sort(F.collect_set(F.when(F.col("size") > 1, F.col("cluster")))).alias("clusters"),
     )
-    own = own.withColumnsRenamed({"doc_id": "d", "text_hash": "h"})
+    told = own.withColumnsRenamed({"doc_id": "d", "text_hash": "h"})
+    found = passages(units).withColumnsRenamed({"doc_id": "d2", "text_hash": "h2"})
     # without the texts here
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"))
-    joined = rows.join(own, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")), "left")
-    none = F.expr("cast(array() as array<int>)")
+    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"))
+    joined = _copies(ids).join(told, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")), "left")
+    joined = joined.join(found, (F.col("text_hash") == F.col("h2")) & F.col("doc_id").eqNullSafe(F.col("d2")), "left")
+    joined = joined.withColumn("ps", F.coalesce("ps", F.expr("cast(array() as array<struct<place:int,words:int,twice:boolean,removed:boolean>>)")))
+    # of equal rows only the first keeps what it may keep
+    joined = joined.withColumn("ps", F.when(F.col("first"), F.col("ps")).otherwise(F.expr("transform(ps, p -> named_struct('place', p.place, 'words', p.words, 'twice', true, 'removed', true))")))
     return joined.select(
         "doc_id",
-        F.coalesce("n_paragraphs", F.lit(0)).cast("long").alias("n_paragraphs"),
-        F.coalesce(F.size("repeated_places"), F.lit(0)).cast("long").alias("n_repeated"),
-        F.coalesce(F.size("removed_places"), F.lit(0)).cast("long").alias("n_removed"),
-        (F.coalesce(F.size("repeated_places"), F.lit(0)) > 0).alias("repeated"),
-        F.coalesce("removed_places", none).alias("removed_places"),
+        F.size("ps").cast("long").alias("n_paragraphs"),
+        F.expr("bigint(size(filter(ps, p -> p.twice)))").alias("n_repeated"),
+        F.expr("aggregate(filter(ps, p -> p.twice), 0L, (n, p) -> n + p.words)").alias("n_repeated_words"),
+        F.expr("bigint(size(filter(ps, p -> p.removed)))").alias("n_removed"),
+        F.expr("exists(ps, p -> p.twice)").alias("repeated"),
+        F.expr("transform(filter(ps, p -> p.removed), p -> p.place)").alias("removed_places"),
         F.coalesce("clusters", F.expr("cast(array() as array<bigint>)")).alias("clusters"),
+        F.coalesce("n_passages", F.lit(0).cast("long")).alias("n_passages"),
+        F.coalesce("n_passage_words", F.lit(0).cast("long")).alias("n_passage_words"),
     )
 
 
 def stripped(docs: DataFrame) -> DataFrame:
-    """(doc_id, text) of every row of docs without its removed paragraphs."""
-    lists = clusters(docs, 1).where("removed").groupBy("doc_id", "text_hash").agg(F.collect_set("place").alias("gone"))
+    """(doc_id, text) of every row of docs(doc_id, text) without its removed paragraphs; of rows equal in
+    both all but one keep lines without a word only. Null is empty; other columns are ignored."""
+    lists = clusters(docs, 1).groupBy("doc_id", "text_hash").agg(F.collect_set(F.when(F.col("removed"), F.col("place"))).alias("gone"), F.collect_set("place").alias("every"))
+    rows = _with_text(keyed(docs), lists, "left")
+    again = keyed(docs).groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1").withColumnsRenamed({"doc_id": "d", "text_hash": "h"})
+    same = (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d"))
+    nth = F.row_number().over(Window.partitionBy("doc_id", "text_hash").orderBy("text_hash"))
+    several = rows.join(again, same, "left_semi").withColumn("gone", F.when(nth > 1, F.col("every")).otherwise(F.col("gone")))
+    rows = rows.join(again, same, "left_anti").unionByName(several)
     lines = F.split("text", "\n", -1)
     kept = F.filter(F.transform(lines, lambda x, k: F.struct(x.alias("x"), k.alias("k"))), lambda s: ~F.coalesce(F.array_contains(F.col("gone"), s["k"]), F.lit(False)))
-    return _with_text(keyed(docs), lists, "left").select("doc_id", F.array_join(F.transform(kept, lambda s: s["x"]), "\n").alias("text"))
+    return rows.select("doc_id", F.array_join(F.transform(kept, lambda s: s["x"]), "\n").alias("text"))

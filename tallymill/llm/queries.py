@@ -30,7 +30,8 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffixes.digests(suffixes.remaining(table(spark, sf_dir, "documents")))
+    left = suffixes.digests(suffixes.remaining(table(spark, sf_dir, "documents"), n_words=suffixes.PASSAGE))
+    return left.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "n_passages", "n_passage_words")
 
 
 def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,6 +13,12 @@ as one row:
 4. the window itself.
 
 Hashes have 128 bits over digits 1 and 2, or 1 and 4.
+
+This departs from a radix sort of every suffix in one point: digit 1 is not the first tokens of a
+suffix but a gram inside its window, so that a row stands for a run of suffixes. With the leading
+bytes as digit 1 every byte of the corpus would be a shuffled row of 16 bytes or more.
+
+Tokens are bytes, or words for passages that count by words.
 """
 
 from __future__ import annotations
@@ -49,12 +55,12 @@ class _Powers:
         return cls.up, cls.down
 
 
-def grams(text: np.ndarray, gram: int) -> np.ndarray:
-    """64-bit hashes of all runs of gram bytes."""
-    n = len(text)
+def grams(tokens: np.ndarray, gram: int) -> np.ndarray:
+    """64-bit hashes of all runs of gram tokens, themselves 64-bit hashes."""
+    n = len(tokens)
     up, down = _Powers.to(n + 1)
     total = np.zeros(n + 1, np.uint64)
-    np.cumsum(_BYTE[text] * down[:n], out=total[1:])
+    np.cumsum(tokens * down[:n], out=total[1:])
     h = (total[gram:] - total[:-gram]) * up[: n - gram + 1]
     h ^= h >> _U(32)
     h *= _U(0xD6E8FEB86659FD93)
@@ -73,20 +79,21 @@ def sliding_least(v: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(after[:n], before[width - 1 : width - 1 + n])
 
 
-def runs(text: bytes, depth: int = DEPTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first, last, anchor, digit 1, digit 2) of the runs of window starts that share their least gram."""
+def runs(text: bytes, depth: int = DEPTH, gram: int = GRAM, size: int = 1) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(first, last, anchor, digit 1, digit 2) of the runs of window starts that share their least
+    gram; tokens are of size bytes, 1 or 8."""
     gram = min(gram, depth)
-    if len(text) < depth:
+    if len(text) < depth * size:
         none = np.empty(0, np.int64)
         return none, none, none, none, none
-    h = grams(np.frombuffer(text, np.uint8), gram)
+    h = grams(_BYTE[np.frombuffer(text, np.uint8)] if size == 1 else np.frombuffer(text, _U), gram)
     place = np.arange(len(h), dtype=np.uint64)
     at = (sliding_least((h & _U(0xFFFFFFFF00000000)) | place, depth - gram + 1) & _U(0xFFFFFFFF)).astype(np.int64)
     first = np.flatnonzero(np.r_[True, at[1:] != at[:-1]])
     last = np.r_[first[1:], len(at)] - 1
     anchor = at[first]
     near, far = (anchor - last).tolist(), (anchor - first).tolist()
-    whole = [xxhash.xxh3_64_intdigest(text[a : b + depth], (x << 32) | y) for a, b, x, y in zip(first.tolist(), last.tolist(), near, far)]
+    whole = [xxhash.xxh3_64_intdigest(text[a * size : (b + depth) * size], (x << 32) | y) for a, b, x, y in zip(first.tolist(), last.tolist(), near, far)]
     return first, last, anchor, h[anchor].view(np.int64), np.array(whole, np.uint64).view(np.int64)
 
 
@@ -96,6 +103,8 @@ _ANY_UNSPACED = re.compile(_UNSPACED, re.S)
 _WORD = re.compile(_UNSPACED + rb"|(?:(?!" + _UNSPACED + rb")\S)+", re.S)
 #: Bytes that stand for a word in spelt().
 WORD = 8
+#: Words of the shortest passage that counts by words.
+PASSAGE = 51
 
 
 def words(text: bytes) -> list[bytes]:
@@ -104,20 +113,21 @@ def words(text: bytes) -> list[bytes]:
 
 
 def spelt(text: bytes) -> bytes:
-    """WORD bytes for each word of a text, so that windows of words are windows of bytes."""
+    """WORD bytes for each word of a text."""
     return b"".join(map(xxhash.xxh3_64_digest, words(text)))
 
 
-def as_is(text: bytes) -> bytes:
-    return text
+def _form(by_words: bool):
+    return (spelt, WORD) if by_words else (lambda text: text, 1)
 
 
-def _find_runs(depth: int, gram: int, form=as_is):
+def _find_runs(depth: int, gram: int, by_words: bool = False):
     names = ["doc_id", "text_hash", "first", "last", "anchor", "one", "two"]
+    form, size = _form(by_words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            rows = [runs(form(t.as_py()), depth, gram) for t in b.column("text").cast(pa.binary())]
+            rows = [runs(form(t.as_py()), depth, gram, size) for t in b.column("text").cast(pa.binary())]
             if not rows:
                 continue
             which = np.repeat(np.arange(len(rows)), [len(r[0]) for r in rows])
@@ -131,9 +141,10 @@ def _find_runs(depth: int, gram: int, form=as_is):
     return run
 
 
-def _find_steps(depth: int, form=as_is):
+def _find_steps(depth: int, by_words: bool = False):
     """Rows of up to STEP neighbouring windows of a run: digit 3, and digit 4 of each."""
     names = ["doc_id", "text_hash", "first", "one", "three", "four"]
+    form, size = _form(by_words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh3_64_intdigest
@@ -149,8 +160,8 @@ def _find_steps(depth: int, form=as_is):
                         step = (at - start) // STEP
                         stop = min(last, at - STEP * step)
                         # shared by all windows whose start is STEP * step to STEP * step + STEP - 1 before the anchor
-                        shared = text[at - STEP * step : at - STEP * step - STEP + 1 + depth]
-                        row = (doc, text_hash, start, r["one"], digest(shared, step), [digest(text[x : x + depth], at - x) for x in range(start, stop + 1)])
+                        shared = text[(at - STEP * step) * size : (at - STEP * step - STEP + 1 + depth) * size]
+                        row = (doc, text_hash, start, r["one"], digest(shared, step), [digest(text[x * size : (x + depth) * size], at - x) for x in range(start, stop + 1)])
                         for column, value in zip(out, row):
                             column.append(value)
                         start = stop + 1
@@ -168,12 +179,11 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
 
 
-def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, form=as_is) -> DataFrame:
-    """(doc_id, text_hash, spans) of the texts of docs(doc_id, text) that hold repeated windows;
-    spans are runs [first, last] of their starts, in bytes of form(text). text_hash is xxhash64 of
-    the text."""
+def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, by_words: bool = False) -> DataFrame:
+    """(doc_id, text_hash, spans) of the texts of docs(doc_id, text) that hold repeated windows of
+    depth tokens; spans are runs [first, last] of their starts. text_hash is xxhash64 of the text."""
     rows = keyed(docs)
-    found = cut(rows.mapInArrow(_find_runs(depth, gram, form), ", ".join(_ids) + ", first int, last int, anchor int, one long, two long"), "runs")
+    found = cut(rows.mapInArrow(_find_runs(depth, gram, by_words), ", ".join(_ids) + ", first int, last int, anchor int, one long, two long"), "runs")
     ref = F.xxhash64("doc_id", "text_hash", "first")
     equal = found.groupBy("one", "two").agg(F.count("*").alias("n"), F.min(ref).alias("ref"))
     company = equal.groupBy("one").agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where("all > 1")
@@ -183,7 +193,7 @@ def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, form=as_is) -
     alive = cut(alive.where("whole OR open").select("doc_id", "text_hash", "first", "last", "anchor", "one", "whole", "open"), "alive")
     drop(found)
     opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("first", "last", "anchor", "one")).alias("runs"))
-    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(depth, form), ", ".join(_ids) + ", first int, one long, three long, four array<long>"), "steps")
+    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(depth, by_words), ", ".join(_ids) + ", first int, one long, three long, four array<long>"), "steps")
     met = steps.groupBy("one", "three").agg(F.count("*").alias("n")).where("n > 1").select("one", "three")
     windows = cut(steps.join(met, ["one", "three"]).select("doc_id", "text_hash", "one", "first", F.posexplode("four").alias("k", "window")), "windows")
     drop(steps)
@@ -201,45 +211,67 @@ def _with_text(rows: DataFrame, lists: DataFrame, how: str = "inner") -> DataFra
     return rows.join(lists, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")), how).drop("d", "h")
 
 
-def _remaining(text: bytes, spans: list[dict] | None, depth: int) -> tuple[bytes, int, int]:
-    """(what remains, bytes removed, maximal removed runs)"""
+def _merged(spans: list[dict] | None, depth: int) -> tuple[list[int], list[int]]:
+    """Starts and ends of the maximal runs that windows of depth tokens cover."""
     if not spans:
-        return text, 0, 0
+        return [], []
     first = np.array([s["first"] for s in spans])
     order = np.argsort(first, kind="stable")
     first, stop = first[order], np.array([s["last"] for s in spans])[order] + depth
     reach = np.maximum.accumulate(stop)
     opens = np.flatnonzero(np.r_[True, first[1:] > reach[:-1]])
-    a, b = first[opens].tolist(), reach[np.r_[opens[1:], len(reach)] - 1].tolist()
+    return first[opens].tolist(), reach[np.r_[opens[1:], len(reach)] - 1].tolist()
+
+
+def _remaining(text: bytes, spans: list[dict] | None, depth: int) -> tuple[bytes, int, int]:
+    """(what remains, bytes removed, maximal removed runs)"""
+    a, b = _merged(spans, depth)
     kept = b"".join(text[x:y] for x, y in zip([0, *b], [*a, len(text)]))
     return kept, len(text) - len(kept), len(a)
 
 
-def remaining(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
+def _both(docs: DataFrame, depth: int, gram: int, n_words: int) -> DataFrame:
+    """(doc_id, text_hash, spans) with the spans of byte windows and, if n_words, of word windows."""
+    lists = None
+    for by_words in (False, True)[: 2 if n_words else 1]:
+        found = repeats(docs, n_words, n_words // 2, True) if by_words else repeats(docs, depth, gram)
+        marked = f"transform(spans, s -> named_struct('first', s.first, 'last', s.last, 'words', {str(by_words).lower()})) AS spans"
+        found = found.selectExpr("doc_id", "text_hash", marked)
+        lists = found if lists is None else lists.unionByName(found)
+    return lists.groupBy("doc_id", "text_hash").agg(F.flatten(F.collect_list("spans")).alias("spans")) if n_words else lists
+
+
+def remaining(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: int = 0) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept) of every row of docs(doc_id, text): kept is the
     UTF-8 text without each byte that a string of depth bytes covers which also starts elsewhere,
-    in the same or another row. Null is empty; texts shorter than depth keep all; repeated rows
-    are occurrences of their own; other columns are ignored."""
+    in the same or another row. With n_words also n_passages and n_passage_words: the maximal runs
+    of words that passages of n_words words cover which also start elsewhere, whatever their bytes
+    and the whitespace in them, and the words of these; kept is not changed by it. Null is empty;
+    texts shorter than depth keep all; repeated rows are occurrences of their own; other columns
+    are ignored."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
             texts = b.column("text").cast(pa.binary()).to_pylist()
-            left = [_remaining(t, s.as_py(), depth) for t, s in zip(texts, b.column("spans"))]
-            yield pa.record_batch(
-                [b.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array([x[1] for x in left], pa.int64()), pa.array([x[2] for x in left], pa.int64()), pa.array([x[0] for x in left], pa.binary())],
-                names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept"],
-            )
+            left, by_words = [], []
+            for t, s in zip(texts, b.column("spans")):
+                s = s.as_py() or []
+                left.append(_remaining(t, [x for x in s if not x["words"]], depth))
+                by_words.append(_merged([x for x in s if x["words"]], n_words))
+            columns = [b.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array([x[1] for x in left], pa.int64()), pa.array([x[2] for x in left], pa.int64()), pa.array([x[0] for x in left], pa.binary())]
+            if n_words:
+                columns += [pa.array([len(x) for x, _ in by_words], pa.int64()), pa.array([sum(y) - sum(x) for x, y in by_words], pa.int64())]
+            yield pa.record_batch(columns, names=names)
 
-    joined = _with_text(keyed(docs), repeats(docs, depth, gram), "left").select("doc_id", "text", "spans")
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
+    names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept", "n_passages", "n_passage_words"][: 7 if n_words else 5]
+    joined = _with_text(keyed(docs), _both(docs, depth, gram, n_words), "left").select("doc_id", "text", "spans")
+    return joined.mapInArrow(run, ", ".join(f"{n} {'binary' if n == 'kept' else 'long'}" for n in names))
 
 
 def _of_words(text: bytes, spans: list[dict], n_words: int) -> list[dict]:
-    """Runs of windows of spelt(text), n_words long, as runs of windows of text, one byte long."""
+    """Runs of windows of n_words words as runs of windows of text, one byte long."""
     place = [m.span() for m in (_WORD.finditer(text) if _ANY_UNSPACED.search(text) else re.finditer(rb"\S+", text))]
-    # whole words only
-    inside = [(-(-s["first"] // WORD), (s["last"] + WORD * n_words) // WORD) for s in spans]
-    return [{"first": place[a][0], "last": place[b - 1][1] - 1} for a, b in inside]
+    return [{"first": place[s["first"]][0], "last": place[s["last"] + n_words - 1][1] - 1} for s in spans]
 
 
 def without_passages(docs: DataFrame, n_words: int, depth: int = DEPTH) -> DataFrame:
@@ -268,16 +300,7 @@ def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: int
             yield pa.record_batch(list(columns.values()), names=list(columns))
 
     names = docs.columns
-    kinds = [(repeats(docs, depth, gram), False)]
-    if n_words:
-        kinds.append((repeats(docs, WORD * n_words, WORD * n_words // 2, spelt), True))
-    lists = None
-    for found, by_words in kinds:
-        marked = f"transform(spans, s -> named_struct('first', s.first, 'last', s.last, 'words', {str(by_words).lower()})) AS spans"
-        found = found.selectExpr("doc_id", "text_hash", marked)
-        lists = found if lists is None else lists.unionByName(found)
-    if n_words:
-        lists = lists.groupBy("doc_id", "text_hash").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    lists = _both(docs, depth, gram, n_words)
     lists = lists.withColumnsRenamed({"doc_id": doc, "text_hash": text_hash, "spans": spans}).hint("shuffle_hash")
     same = (F.xxhash64("text") == F.col(text_hash)) & F.col("doc_id").eqNullSafe(F.col(doc))
     out = docs.join(lists, same, "left").select(*names, spans).mapInArrow(run, docs.schema)
@@ -285,11 +308,13 @@ def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: int
 
 
 def digests(left: DataFrame) -> DataFrame:
-    return left.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+    """left, the rows of remaining(), with a digest in place of the bytes that remain."""
+    return left.withColumn("kept_sha256", F.sha2("kept", 256)).drop("kept")
 
 
-REMAINING_SQL = """
-WITH d AS (SELECT doc_id, row_number() OVER () AS r, hex(encode(coalesce(text, ''))) AS x FROM documents),
+_WORDS_SQL = r"regexp_extract_all(coalesce(text, ''), '[\x{0E00}-\x{0EFF}\x{1000}-\x{10BF}\x{1780}-\x{17FF}\x{2E80}-\x{9FFF}\x{F900}-\x{FAFF}\x{20000}-\x{33FFF}]|[^\x20\x09-\x0D\x{0E00}-\x{0EFF}\x{1000}-\x{10BF}\x{1780}-\x{17FF}\x{2E80}-\x{9FFF}\x{F900}-\x{FAFF}\x{20000}-\x{33FFF}]+')"
+REMAINING_SQL = f"""
+WITH d AS (SELECT doc_id, row_number() OVER () AS r, hex(encode(coalesce(text, ''))) AS x, {_WORDS_SQL} AS ws FROM documents),
 p AS (SELECT r, unnest(range(greatest(length(x) // 2 - 399, 0))) AS s FROM d),
 w AS MATERIALIZED (SELECT r, s, md5_number(substr(x, (2 * s + 1)::BIGINT, 800)) AS h FROM p JOIN d USING (r)),
 m AS (SELECT r, s FROM w JOIN (SELECT h FROM w GROUP BY h HAVING count(*) > 1) USING (h)),
@@ -297,7 +322,13 @@ g AS (SELECT r, s, CASE WHEN s <= lag(s) OVER (PARTITION BY r ORDER BY s) + 400
 q AS (SELECT r, min(s) AS a, max(s) + 400 AS b FROM (SELECT r, s, sum(fresh) OVER (PARTITION BY r ORDER BY s) AS i FROM g) GROUP BY r, i),
 k AS (SELECT d.r, string_agg(substr(x, 2 * a0 + 1, 2 * (least(b0, length(x) // 2) - a0)), '' ORDER BY a0) AS kept FROM d JOIN (
   SELECT r, coalesce(lag(b) OVER o, 0) AS a0, a AS b0 FROM q WINDOW o AS (PARTITION BY r ORDER BY a)
-  UNION ALL SELECT r, max(b), 1000000000000 FROM q GROUP BY r) USING (r) GROUP BY d.r)
-SELECT doc_id, length(x) // 2 AS n_bytes, coalesce(n, 0)::BIGINT AS n_removed, coalesce(c, 0) AS n_spans, sha256(unhex(coalesce(kept, x))) AS kept_sha256
-FROM d LEFT JOIN k USING (r) LEFT JOIN (SELECT r, sum(b - a) AS n, count(*) AS c FROM q GROUP BY r) USING (r)
+  UNION ALL SELECT r, max(b), 1000000000000 FROM q GROUP BY r) USING (r) GROUP BY d.r),
+wp AS (SELECT r, unnest(range(greatest(len(ws) - {PASSAGE - 1}, 0))) AS s FROM d),
+ww AS MATERIALIZED (SELECT r, s, md5_number(array_to_string(ws[s + 1:s + {PASSAGE}], ' ')) AS h FROM wp JOIN d USING (r)),
+wm AS (SELECT r, s FROM ww JOIN (SELECT h FROM ww GROUP BY h HAVING count(*) > 1) USING (h)),
+wg AS (SELECT r, s, CASE WHEN s <= lag(s) OVER (PARTITION BY r ORDER BY s) + {PASSAGE} THEN 0 ELSE 1 END AS fresh FROM wm),
+wq AS (SELECT r, count(*) AS n, sum(b - a) AS t FROM (SELECT r, min(s) AS a, max(s) + {PASSAGE} AS b FROM (SELECT r, s, sum(fresh) OVER (PARTITION BY r ORDER BY s) AS i FROM wg) GROUP BY r, i) GROUP BY r)
+SELECT doc_id, length(x) // 2 AS n_bytes, coalesce(v.n, 0)::BIGINT AS n_removed, coalesce(v.c, 0) AS n_spans, sha256(unhex(coalesce(kept, x))) AS kept_sha256,
+  coalesce(wq.n, 0)::BIGINT AS n_passages, coalesce(wq.t, 0)::BIGINT AS n_passage_words
+FROM d LEFT JOIN k USING (r) LEFT JOIN (SELECT r, sum(b - a) AS n, count(*) AS c FROM q GROUP BY r) v USING (r) LEFT JOIN wq USING (r)
 """
