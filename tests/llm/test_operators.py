@@ -324,3 +324,28 @@ def test_licenses(spark, docs, empty):
     assert [(f.place, f.family, f.confirmed) for f in got[1]] == [(1, "mit", True)]
     assert got[2] == got[3] == got[5] == [] and got[4][0].family == "unknown"
     assert licenses.scan(empty, licenses.fit(empty)).count() == 0
+
+
+def test_chats_with_nulls_ties_and_repeats_equal_sql(spark):
+    import duckdb
+    import pandas as pd
+
+    rng, rows = random.Random(12), []
+    some = lambda xs: rng.choice(xs)
+    for c in range(400):
+        for _ in range(rng.randint(1, 4)):
+            rows.append((c, some([0, 0, 1, 2, None]), some(["user", "assistant", None]), some(["user", "a", "b", "", None])))
+    rows += [(1000, 0, None, "user"), (1001, 0, "user", None), (1002, 0, "user", "a"), (1002, 0, "user", "a"), (1003, 0, "b", "a"), (1003, 0, "a", "b"), (1004, 0, "a", "b"), (None, 0, "user", "a")]
+    frame = pd.DataFrame(rows, columns=["conv_id", "turn", "role", "text"]).astype({"conv_id": "Int64", "turn": "Int64"})
+    con = duckdb.connect()
+    con.register("conversations", frame)
+    want = Counter((int(a), int(b), c) for a, b, c in con.sql(chats.FORMATTED_SQL).fetchall())
+    table = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(5)
+    assert listed(chats.formatted(table), "conv_id", "n_turns", "rendered") == want
+    # and both equal a plain reading of the rule
+    turns = {}
+    for c, t, r, x in {r for r in rows if r[0] is not None}:
+        turns.setdefault(c, []).append((t is None, t or 0, r is None, r or "", x is None, hashlib.md5((x or "").encode()).hexdigest(), r, x))
+    turns = {c: [(r, x) for *_, r, x in sorted(v, key=lambda k: k[:6])] for c, v in turns.items()}
+    left = {c for c, v in turns.items() if not any(w[: len(v)] == v and (len(w) > len(v) or d < c) for d, w in turns.items() if d != c)}
+    assert {c for c, _, _ in want} == left
