@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from tallymill.plans.lineage import cut, drop, shared_dir
 
-__all__ = ["components", "cut", "drop", "modest", "shared_dir", "sliced", "table", "unused"]
+__all__ = ["components", "cut", "drop", "hot_join", "modest", "shared_dir", "sliced", "table", "unused"]
 
 
 #: Bytes of a batch between the JVM and a Python worker; each worker and its JVM side hold one.
@@ -54,6 +54,23 @@ def sliced(batches: Iterator[pa.RecordBatch], column: str, most: int = SLICE) ->
         ctypes.CDLL(None).malloc_trim(0)
 
 
+#: A key is hot with this share of all rows, so at most 1 / HOT keys are; each is dealt to SALTS tasks.
+HOT, SALTS = 0.001, 64
+
+
+def hot_join(left: DataFrame, right: DataFrame, key: str, weight: str, how: str = "inner") -> DataFrame:
+    """left joined with right on key, which is unique in right and not null; weight is the number of
+    rows of left that have it. Rows of a hot key are dealt to SALTS tasks, each with a copy of its one
+    row of right. right is read twice, so it should be a written table."""
+    total = right.agg(F.sum(weight)).first()[0] or 0
+    hot = F.broadcast(right.where(F.col(weight) >= HOT * total).select(key, F.lit(True).alias("is_hot")))
+    salt = F.when(F.col("is_hot"), F.pmod(F.xxhash64(*left.columns), F.lit(SALTS)).cast("int")).otherwise(0)
+    dealt = left.join(hot, key, "left").withColumn("salt", salt).drop("is_hot")
+    every = F.when(F.col("is_hot"), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+    copied = right.join(hot, key, "left").withColumn("salt", F.explode(every)).drop("is_hot", weight)
+    return dealt.join(copied, [key, "salt"], how).drop("salt")
+
+
 def unused(df: DataFrame, name: str) -> str:
     """name, lengthened until no column of df has it."""
     taken = {c.lower() for c in df.columns}

@@ -68,6 +68,15 @@ def grams(tokens: np.ndarray, gram: int) -> np.ndarray:
     return h
 
 
+def spans_hashed(tokens: np.ndarray, first: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the runs of tokens, themselves 64-bit hashes, at first and of size tokens."""
+    n = len(tokens)
+    up, down = _Powers.to(n + 1)
+    total = np.zeros(n + 1, np.uint64)
+    np.cumsum(tokens * down[:n], out=total[1:])
+    return (total[first + size] - total[first]) * up[first]
+
+
 def sliding_least(v: np.ndarray, width: int) -> np.ndarray:
     """Least of each width neighbours."""
     n = len(v) - width + 1
@@ -112,6 +121,11 @@ def words(text: bytes) -> list[bytes]:
     return _WORD.findall(text) if _ANY_UNSPACED.search(text) else text.split()
 
 
+def word_spans(text: bytes) -> list[tuple[int, int]]:
+    """(start, end) of the words of a text that has some unspaced script, else none."""
+    return [m.span() for m in _WORD.finditer(text)] if _ANY_UNSPACED.search(text) else []
+
+
 def spelt(text: bytes) -> bytes:
     """WORD bytes for each word of a text."""
     return b"".join(map(xxhash.xxh3_64_digest, words(text)))

@@ -6,7 +6,7 @@ import random
 from collections import Counter
 
 import corpus_pipeline
-from tallymill.llm import bpe, decontaminate, paragraphs
+from tallymill.llm import bpe, decontaminate, paragraphs, suffixes
 from tallymill.llm.queries import tokenizer
 
 
@@ -90,3 +90,48 @@ def test_rows_that_share_an_identity_stay_apart(spark):
     assert Counter((r.doc_id, r.text) for r in out.collect()) == Counter(want)
     items = spark.createDataFrame([(1, texts[2])], "item_id long, text string")
     assert Counter((r.doc_id, r.text) for r in decontaminate.clean(out, items).collect()) == Counter(w for w in want if w[1] != texts[2])
+
+
+def test_passages_inside_lines_are_told_from_short_lines(spark):
+    rng = random.Random(21)
+    vocabulary = ["".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 7))) for _ in range(3000)]
+    prose = lambda n: " ".join(rng.choice(vocabulary) for _ in range(n))
+    common = [prose(9) for _ in range(3)]
+    rows = []
+    for k in range(60):
+        passage = prose(rng.randint(51, 80)).split()
+        passage[rng.randint(5, 45)] += "\n"
+        for j in range(2):  # neither end is an end of a line
+            rows.append((10 * k + j, f"{prose(40)} {' '.join(passage)} {prose(rng.randint(1, 60))}\n{common[k % 3]}\n{prose(30)}"))
+        rows.append((10 * k + 5, f"{prose(60)}\n{common[0]}\n{prose(30)}\n{common[1]}\n{prose(9)}\n{common[2]}"))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    got = {r.doc_id: r for r in paragraphs.by_document(docs).collect()}
+    assert sum(got[10 * k + j].n_passages > 0 for k in range(60) for j in range(2)) >= 116
+    assert not any(got[10 * k + 5].n_passages for k in range(60))
+    assert all(got[10 * k + 5].n_repeated == 3 for k in range(60))
+    # by windows of words: every one, and their words exactly
+    exact = {r.doc_id: r for r in suffixes.remaining(docs, n_words=51).collect()}
+    windows = Counter(w for _, t in rows for w in {tuple(t.split()[i : i + 51]) for i in range(len(t.split()) - 50)})
+    for i, t in rows:
+        own, hit = t.split(), set()
+        for at in range(len(own) - 50):
+            if windows[tuple(own[at : at + 51])] > 1:
+                hit |= set(range(at, at + 51))
+        assert exact[i].n_passage_words == len(hit) and exact[i].n_passages == sum(k - 1 not in hit for k in hit)
+
+
+def test_equal_rows_keep_paragraphs_once(spark):
+    rows = [(1, "a b c d e f\nx"), (1, "a b c d e f\nx"), (None, None), (None, None), (2, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted((r.n_removed, r.removed_places) for r in paragraphs.by_document(docs).where("doc_id = 1").collect()) == [(0, []), (2, [0, 1])]
+    assert sorted(r.text for r in paragraphs.stripped(docs).where("doc_id = 1").collect()) == ["", "a b c d e f\nx"]
+    assert paragraphs.by_document(docs).count() == paragraphs.stripped(docs).count() == 5
+
+
+def test_a_hot_key_is_joined_whole(spark):
+    from tallymill.llm.shared import hot_join
+
+    left = spark.createDataFrame([(0 if k % 3 else k, k) for k in range(5000)], "key long, at long")
+    right = left.groupBy("key").count().selectExpr("key", "count AS n", "key * 2 AS twice").where("key % 2 = 0")
+    got = {(r.key, r["at"], r.twice) for r in hot_join(left, right, "key", "n").collect()}
+    assert got == {(k, j, 2 * k) for j in range(5000) for k in [0 if j % 3 else j] if k % 2 == 0}
