@@ -6,7 +6,7 @@ full depth are the repeated windows. The digits are chosen so that neighbouring
 as one row:
 
 1. the least gram of the window (by hash, of GRAM bytes) and its place in it. Every window decides
-   this by its own bytes, and runs of some 100 neighbouring suffixes share one such gram;
+   this by its own bytes, and runs of some 150 neighbouring suffixes share one such gram;
 2. all bytes that the run's windows cover. Equal runs are repeated throughout;
 3. for runs with company after digit 1 and none after digit 2, those at the ends of a repeat:
    the bytes that STEP neighbouring windows have in common;
@@ -25,9 +25,11 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -35,13 +37,15 @@ from pyspark.sql import functions as F
 from tallymill.llm.shared import cut, drop, sliced, unused
 
 DEPTH = 400
-GRAM = 200
+GRAM = 100
 STEP = 16
 _U = np.uint64
 _BASE = _U(0x9E3779B97F4A7C15)
 _INVERSE = _U(pow(int(_BASE), -1, 1 << 64))
 _BYTE = np.random.default_rng(7).integers(1, 1 << 63, 256, dtype=np.uint64)
 _ids = ("doc_id long", "text_hash long")
+#: Told apart by what is mixed into digits 1 and 2.
+_KIND = [np.int64(0), np.int64(0x5851F42D4C957F2D)]
 
 
 class _Powers:
@@ -131,34 +135,51 @@ def spelt(text: bytes) -> bytes:
     return b"".join(map(xxhash.xxh3_64_digest, words(text)))
 
 
-def _form(by_words: bool):
-    return (spelt, WORD) if by_words else (lambda text: text, 1)
+@dataclass(frozen=True)
+class Windows:
+    """Windows of depth tokens, words or bytes; the gram of digit 1 has gram of them."""
 
+    depth: int
+    gram: int
+    words: bool = False
 
-def _find_runs(depth: int, gram: int, by_words: bool = False):
-    names = ["doc_id", "text_hash", "first", "last", "anchor", "one", "two"]
-    form, size = _form(by_words)
+    def form(self, text: bytes) -> tuple[bytes, int]:
+        """The tokens of a text, and the bytes of each."""
+        return (spelt(text), WORD) if self.words else (text, 1)
+
+
+def _find_runs(kinds: list[Windows]):
+    names = ["doc_id", "text_hash", "kind", "first", "last", "anchor", "one", "two"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            rows = [runs(form(t.as_py()), depth, gram, size) for t in b.column("text").cast(pa.binary())]
-            if not rows:
-                continue
-            which = np.repeat(np.arange(len(rows)), [len(r[0]) for r in rows])
-            columns = [np.concatenate(c) for c in zip(*rows)]
-            take = pa.array(which)
-            yield pa.record_batch(
-                [b.column("doc_id").take(take), b.column("text_hash").take(take), *(pa.array(c.astype(np.int32)) for c in columns[:3]), pa.array(columns[3]), pa.array(columns[4])],
-                names=names,
-            )
+            texts = b.column("text").cast(pa.binary()).to_pylist()
+            for kind, of in enumerate(kinds):
+                found = []
+                for t in texts:
+                    tokens, size = of.form(t)
+                    found.append(runs(tokens, of.depth, of.gram, size))
+                if not found:
+                    continue
+                take = pa.array(np.repeat(np.arange(len(found)), [len(r[0]) for r in found]))
+                columns = [np.concatenate(c) for c in zip(*found)]
+                yield pa.record_batch(
+                    [
+                        b.column("doc_id").take(take),
+                        b.column("text_hash").take(take),
+                        pa.array(np.full(len(take), kind, np.int32)),
+                        *(pa.array(c.astype(np.int32)) for c in columns[:3]),
+                        *(pa.array(c.astype(np.int64) ^ _KIND[kind]) for c in columns[3:]),
+                    ],
+                    names=names,
+                )
 
     return run
 
 
-def _find_steps(depth: int, by_words: bool = False):
+def _find_steps(kinds: list[Windows]):
     """Rows of up to STEP neighbouring windows of a run: digit 3, and digit 4 of each."""
-    names = ["doc_id", "text_hash", "first", "one", "three", "four"]
-    form, size = _form(by_words)
+    names = ["doc_id", "text_hash", "kind", "first", "one", "three", "four"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh3_64_intdigest
@@ -166,8 +187,13 @@ def _find_steps(depth: int, by_words: bool = False):
             out: list[list] = [[] for _ in names]
             texts = b.column("text").cast(pa.binary())
             for k, found in enumerate(b.column("runs")):
-                text, doc, text_hash = form(texts[k].as_py()), b.column("doc_id")[k].as_py(), b.column("text_hash")[k].as_py()
+                raw, doc, text_hash = texts[k].as_py(), b.column("doc_id")[k].as_py(), b.column("text_hash")[k].as_py()
+                formed: dict[int, tuple[bytes, int]] = {}
                 for r in found.as_py():
+                    kind = r["kind"]
+                    if kind not in formed:
+                        formed[kind] = kinds[kind].form(raw)
+                    (text, size), depth = formed[kind], kinds[kind].depth
                     at, last = r["anchor"], r["last"]
                     start = r["first"]
                     while start <= last:
@@ -175,16 +201,14 @@ def _find_steps(depth: int, by_words: bool = False):
                         stop = min(last, at - STEP * step)
                         # shared by all windows whose start is STEP * step to STEP * step + STEP - 1 before the anchor
                         shared = text[(at - STEP * step) * size : (at - STEP * step - STEP + 1 + depth) * size]
-                        row = (doc, text_hash, start, r["one"], digest(shared, step), [digest(text[x * size : (x + depth) * size], at - x) for x in range(start, stop + 1)])
+                        row = (doc, text_hash, kind, start, r["one"], digest(shared, step), [digest(text[x * size : (x + depth) * size], at - x) for x in range(start, stop + 1)])
                         for column, value in zip(out, row):
                             column.append(value)
                         start = stop + 1
-            ends = np.cumsum([0, *map(len, out[5])]).astype(np.int32)
-            four = np.array([x for xs in out[5] for x in xs], np.uint64).view(np.int64)
-            yield pa.record_batch(
-                [pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.int64()), pa.array(np.array(out[4], np.uint64).view(np.int64)), pa.ListArray.from_arrays(pa.array(ends), pa.array(four))],
-                names=names,
-            )
+            ends = np.cumsum([0, *map(len, out[6])]).astype(np.int32)
+            four = np.array([x for xs in out[6] for x in xs], np.uint64).view(np.int64)
+            kept = [pa.array(c, t) for c, t in zip(out[:5], (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()))]
+            yield pa.record_batch([*kept, pa.array(np.array(out[5], np.uint64).view(np.int64)), pa.ListArray.from_arrays(pa.array(ends), pa.array(four))], names=names)
 
     return run
 
@@ -193,28 +217,29 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
 
 
-def repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, by_words: bool = False) -> DataFrame:
-    """(doc_id, text_hash, spans) of the texts of docs(doc_id, text) that hold repeated windows of
-    depth tokens; spans are runs [first, last] of their starts. text_hash is xxhash64 of the text."""
+def repeats(docs: DataFrame, kinds: list[Windows]) -> DataFrame:
+    """(doc_id, text_hash, spans) of the texts of docs(doc_id, text) that hold repeated windows of one
+    of the kinds; spans are runs (first, last, kind) of their starts, in tokens. text_hash is
+    xxhash64 of the text. Windows of different kinds never meet: the kind is in digits 1 and 2."""
     rows = keyed(docs)
-    found = cut(rows.mapInArrow(_find_runs(depth, gram, by_words), ", ".join(_ids) + ", first int, last int, anchor int, one long, two long"), "runs")
+    found = cut(rows.mapInArrow(_find_runs(kinds), ", ".join(_ids) + ", kind int, first int, last int, anchor int, one long, two long"), "runs")
     ref = F.xxhash64("doc_id", "text_hash", "first")
     equal = found.groupBy("one", "two").agg(F.count("*").alias("n"), F.min(ref).alias("ref"))
     company = equal.groupBy("one").agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where("all > 1")
     state = equal.join(company, "one").select("one", "two", (F.col("n") > 1).alias("whole"), F.when(F.col("kinds") > 1, F.col("ref")).alias("open_ref"))
     # whole runs are repeated; of each kind in mixed company one run is opened
     alive = found.join(state, ["one", "two"]).withColumn("open", F.coalesce(F.col("open_ref") == ref, F.lit(False)))
-    alive = cut(alive.where("whole OR open").select("doc_id", "text_hash", "first", "last", "anchor", "one", "whole", "open"), "alive")
+    alive = cut(alive.where("whole OR open").select("doc_id", "text_hash", "kind", "first", "last", "anchor", "one", "whole", "open"), "alive")
     drop(found)
-    opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("first", "last", "anchor", "one")).alias("runs"))
-    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(depth, by_words), ", ".join(_ids) + ", first int, one long, three long, four array<long>"), "steps")
+    opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("kind", "first", "last", "anchor", "one")).alias("runs"))
+    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(kinds), ", ".join(_ids) + ", kind int, first int, one long, three long, four array<long>"), "steps")
     met = steps.groupBy("one", "three").agg(F.count("*").alias("n")).where("n > 1").select("one", "three")
-    windows = cut(steps.join(met, ["one", "three"]).select("doc_id", "text_hash", "one", "first", F.posexplode("four").alias("k", "window")), "windows")
+    windows = cut(steps.join(met, ["one", "three"]).select("doc_id", "text_hash", "kind", "one", "first", F.posexplode("four").alias("k", "window")), "windows")
     drop(steps)
     twice = windows.groupBy("one", "window").agg(F.count("*").alias("n")).where("n > 1").select("one", "window")
-    ends = windows.join(twice, ["one", "window"]).select("doc_id", "text_hash", (F.col("first") + F.col("k")).alias("first"))
-    every = alive.where("whole").select("doc_id", "text_hash", "first", "last").unionByName(ends.withColumn("last", F.col("first")))
-    spans = cut(every.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("first", "last")).alias("spans")), "spans")
+    ends = windows.join(twice, ["one", "window"]).select("doc_id", "text_hash", "kind", (F.col("first") + F.col("k")).alias("first"))
+    every = alive.where("whole").select("doc_id", "text_hash", "kind", "first", "last").unionByName(ends.withColumn("last", F.col("first")))
+    spans = cut(every.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("first", "last", "kind")).alias("spans")), "spans")
     drop(alive)
     drop(windows)
     return spans
@@ -225,34 +250,31 @@ def _with_text(rows: DataFrame, lists: DataFrame, how: str = "inner") -> DataFra
     return rows.join(lists, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")), how).drop("d", "h")
 
 
-def _merged(spans: list[dict] | None, depth: int) -> tuple[list[int], list[int]]:
+def _merged(first: np.ndarray, last: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
     """Starts and ends of the maximal runs that windows of depth tokens cover."""
-    if not spans:
-        return [], []
-    first = np.array([s["first"] for s in spans])
+    if not len(first):
+        return first, first
     order = np.argsort(first, kind="stable")
-    first, stop = first[order], np.array([s["last"] for s in spans])[order] + depth
-    reach = np.maximum.accumulate(stop)
+    first, reach = first[order], np.maximum.accumulate(last[order] + depth)
     opens = np.flatnonzero(np.r_[True, first[1:] > reach[:-1]])
-    return first[opens].tolist(), reach[np.r_[opens[1:], len(reach)] - 1].tolist()
+    return first[opens], reach[np.r_[opens[1:], len(reach)] - 1]
+
 
+def _spans(column: pa.ListArray, kinds: list[Windows]) -> Iterator[list[tuple[np.ndarray, np.ndarray]]]:
+    """For each row the merged runs of each kind."""
+    edge = np.r_[0, np.cumsum(pc.fill_null(pc.list_value_length(column), 0).to_numpy(zero_copy_only=False))].tolist()
+    first, last, kind = (c.to_numpy(zero_copy_only=False).astype(np.int64) for c in column.flatten().flatten())
+    for a, b in zip(edge, edge[1:]):
+        own = kind[a:b]
+        yield [_merged(first[a:b][own == k], last[a:b][own == k], of.depth) for k, of in enumerate(kinds)]
 
-def _remaining(text: bytes, spans: list[dict] | None, depth: int) -> tuple[bytes, int, int]:
-    """(what remains, bytes removed, maximal removed runs)"""
-    a, b = _merged(spans, depth)
-    kept = b"".join(text[x:y] for x, y in zip([0, *b], [*a, len(text)]))
-    return kept, len(text) - len(kept), len(a)
 
+def _without(text: bytes, start: np.ndarray, stop: np.ndarray) -> bytes:
+    return b"".join(text[x:y] for x, y in zip([0, *stop.tolist()], [*start.tolist(), len(text)]))
 
-def _both(docs: DataFrame, depth: int, gram: int, n_words: int) -> DataFrame:
-    """(doc_id, text_hash, spans) with the spans of byte windows and, if n_words, of word windows."""
-    lists = None
-    for by_words in (False, True)[: 2 if n_words else 1]:
-        found = repeats(docs, n_words, n_words // 2, True) if by_words else repeats(docs, depth, gram)
-        marked = f"transform(spans, s -> named_struct('first', s.first, 'last', s.last, 'words', {str(by_words).lower()})) AS spans"
-        found = found.selectExpr("doc_id", "text_hash", marked)
-        lists = found if lists is None else lists.unionByName(found)
-    return lists.groupBy("doc_id", "text_hash").agg(F.flatten(F.collect_list("spans")).alias("spans")) if n_words else lists
+
+def _kinds(depth: int, gram: int, n_words: int) -> list[Windows]:
+    return [Windows(depth, gram), Windows(n_words, max(1, n_words // 4), True)][: 2 if n_words else 1]
 
 
 def remaining(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: int = 0) -> DataFrame:
@@ -263,29 +285,28 @@ def remaining(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: in
     and the whitespace in them, and the words of these; kept is not changed by it. Null is empty;
     texts shorter than depth keep all; repeated rows are occurrences of their own; other columns
     are ignored."""
+    kinds = _kinds(depth, gram, n_words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            texts = b.column("text").cast(pa.binary()).to_pylist()
-            left, by_words = [], []
-            for t, s in zip(texts, b.column("spans")):
-                s = s.as_py() or []
-                left.append(_remaining(t, [x for x in s if not x["words"]], depth))
-                by_words.append(_merged([x for x in s if x["words"]], n_words))
-            columns = [b.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array([x[1] for x in left], pa.int64()), pa.array([x[2] for x in left], pa.int64()), pa.array([x[0] for x in left], pa.binary())]
-            if n_words:
-                columns += [pa.array([len(x) for x, _ in by_words], pa.int64()), pa.array([sum(y) - sum(x) for x, y in by_words], pa.int64())]
-            yield pa.record_batch(columns, names=names)
+            texts, out = b.column("text").cast(pa.binary()).to_pylist(), []
+            for t, (own, *more) in zip(texts, _spans(b.column("spans"), kinds)):
+                kept = _without(t, *own)
+                out.append((len(t), len(t) - len(kept), len(own[0]), kept, *(x for a, z in more for x in (len(a), int((z - a).sum())))))
+            types = [pa.binary() if n == "kept" else pa.int64() for n in names[1:]]
+            yield pa.record_batch([b.column("doc_id"), *(pa.array(c, t) for c, t in zip(zip(*out), types))], names=names)
 
     names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept", "n_passages", "n_passage_words"][: 7 if n_words else 5]
-    joined = _with_text(keyed(docs), _both(docs, depth, gram, n_words), "left").select("doc_id", "text", "spans")
+    joined = _with_text(keyed(docs), repeats(docs, kinds), "left").select("doc_id", "text", "spans")
     return joined.mapInArrow(run, ", ".join(f"{n} {'binary' if n == 'kept' else 'long'}" for n in names))
 
 
-def _of_words(text: bytes, spans: list[dict], n_words: int) -> list[dict]:
-    """Runs of windows of n_words words as runs of windows of text, one byte long."""
-    place = [m.span() for m in (_WORD.finditer(text) if _ANY_UNSPACED.search(text) else re.finditer(rb"\S+", text))]
-    return [{"first": place[s["first"]][0], "last": place[s["last"] + n_words - 1][1] - 1} for s in spans]
+def _in_bytes(text: bytes, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Runs of words as runs of bytes of a text."""
+    if not len(start):
+        return start, stop
+    place = np.array(word_spans(text) or [m.span() for m in re.finditer(rb"\S+", text)])
+    return place[start, 0], place[stop - 1, 1]
 
 
 def without_passages(docs: DataFrame, n_words: int, depth: int = DEPTH) -> DataFrame:
@@ -300,21 +321,20 @@ def stripped(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, n_words: int
     repeated passages of so many words go as well."""
 
     doc, text_hash, spans = (unused(docs, n) for n in ("span_doc", "span_text", "spans"))
+    kinds = _kinds(depth, gram, n_words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            texts = b.column("text").cast(pa.binary()).to_pylist()
             left = []
-            for t, s in zip(texts, b.column(spans)):
-                s = s.as_py() or []
-                every = [{"first": x["first"], "last": x["last"] + depth - 1} for x in s if not x["words"]]
-                every += _of_words(t or b"", [x for x in s if x["words"]], n_words) if n_words else []
-                left.append(None if t is None else _remaining(t, every, 1)[0].decode("utf-8", "ignore"))
+            for t, (own, *more) in zip(b.column("text").cast(pa.binary()).to_pylist(), _spans(b.column(spans), kinds)):
+                runs = [own, *(_in_bytes(t or b"", *x) for x in more)]
+                start, stop = _merged(*(np.concatenate(x) for x in zip(*runs)), 0)
+                left.append(None if t is None else _without(t, start, stop).decode("utf-8", "ignore"))
             columns = {n: b.column(n) for n in names} | {"text": pa.array(left, pa.string())}
             yield pa.record_batch(list(columns.values()), names=list(columns))
 
     names = docs.columns
-    lists = _both(docs, depth, gram, n_words)
+    lists = repeats(docs, kinds)
     lists = lists.withColumnsRenamed({"doc_id": doc, "text_hash": text_hash, "spans": spans}).hint("shuffle_hash")
     same = (F.xxhash64("text") == F.col(text_hash)) & F.col("doc_id").eqNullSafe(F.col(doc))
     out = docs.join(lists, same, "left").select(*names, spans).mapInArrow(run, docs.schema)
