@@ -20,14 +20,16 @@ words; short lines that many documents share are not.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tallymill.llm.shared import components, cut, drop, hot_join, sliced
-from tallymill.llm.suffixes import _BYTE, _with_text, keyed, sliding_least, spans_hashed, word_spans
+from tallymill.llm.suffixes import _BYTE, _with_text, has_unspaced, keyed, sliding_least, spans_hashed, word_spans
 
 WORDS = 5
 SIMILAR = 0.8
@@ -62,43 +64,98 @@ def hashed(text: bytes, first: np.ndarray, size: np.ndarray) -> np.ndarray:
 
 
 def shingles(h: np.ndarray) -> np.ndarray:
-    """Distinct hashes of the five-word shingles of a paragraph of words hashed to h."""
-    n = len(h) - WORDS + 1
+    """Hashes of the five-word shingles at each of the words hashed to h, but the last four."""
+    n = max(0, len(h) - WORDS + 1)
     out = np.zeros(n, np.uint64)
     for k in range(WORDS):
         out = (out ^ h[k : k + n]) * _ODD[k]
         out ^= out >> np.uint64(31)
-    return np.unique(out)
-
-
-def placed(text: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """(first byte, bytes) of the words of a text, apart by ASCII whitespace."""
-    gap = _GAP[np.frombuffer(text, np.uint8)]
-    edge = np.flatnonzero(np.diff(np.r_[True, gap, True].astype(np.int8)))
-    return edge[::2], edge[1::2] - edge[::2]
-
-
-def paragraphs(text: bytes | None, least: int = WORDS) -> Iterator[tuple[int, int, np.ndarray]]:
-    """(place among the lines, name, hashed words) of the lines of least words or more."""
-    text = (text or b"").lower()
-    first, size = placed(text)
-    h = hashed(text, first, size)
-    edge = np.r_[np.flatnonzero(np.frombuffer(text, np.uint8) == 10), len(text)]
-    stop = np.searchsorted(first, edge)
-    start = np.r_[0, stop[:-1]]
-    some = np.flatnonzero(stop - start >= max(least, 1))
-    names = spans_hashed(h, start[some], stop[some] - start[some])
-    names = _mixed(names ^ (stop - start)[some].astype(np.uint64)).view(np.int64)
-    for k, own, x, y in zip(some.tolist(), names.tolist(), start[some].tolist(), stop[some].tolist()):
-        yield k, own, h[x:y]
-
-
-def bands(sets: list[np.ndarray]) -> np.ndarray:
-    """One 64-bit bucket for each set and band."""
-    where = np.concatenate([[0], np.cumsum([len(s) for s in sets])[:-1]])
-    every, out = np.concatenate(sets), np.empty((BANDS, len(sets)), np.uint64)
+    return out
+
+
+@dataclass
+class Words:
+    """The lower-cased words, apart by ASCII whitespace, of several texts, one after another: their
+    hashes, the bounds of each text among them, and the bounds of its lines."""
+
+    h: np.ndarray
+    text_start: np.ndarray
+    line_text: np.ndarray
+    line_place: np.ndarray
+    line_start: np.ndarray
+    line_stop: np.ndarray
+
+    @classmethod
+    def of(cls, texts: list[bytes | None]) -> Words:
+        every = b"\n".join(t or b"" for t in texts).lower()
+        raw = np.frombuffer(every, np.uint8)
+        edge = np.flatnonzero(np.diff(np.r_[True, _GAP[raw], True].astype(np.int8)))
+        first, size = edge[::2], edge[1::2] - edge[::2]
+        opens = np.cumsum([0, *(len(t or b"") + 1 for t in texts)])[: len(texts)]
+        line = np.r_[0, np.flatnonzero(raw == 10) + 1]
+        of = np.searchsorted(opens, line, "right") - 1
+        start = np.searchsorted(first, line)
+        return cls(hashed(every, first, size), np.searchsorted(first, opens), of, np.arange(len(line)) - np.searchsorted(line, opens)[of], start, np.r_[start[1:], len(first)])
+
+    def lines(self, least: int) -> tuple[np.ndarray, ...]:
+        """(text, place among its lines, name, first word, last word and one) of the lines of least words or more."""
+        some = np.flatnonzero(self.line_stop - self.line_start >= max(least, 1))
+        start, stop = self.line_start[some], self.line_stop[some]
+        return self.line_text[some], self.line_place[some], _names(self.h, start, stop), start, stop
+
+    def pieces(self, skipped: list[int]) -> tuple[np.ndarray, ...]:
+        """(text, place among its pieces, name, words) of the pieces of the texts that are not skipped."""
+        if not len(self.h):
+            return (np.empty(0, np.int64),) * 4
+        stop = np.r_[self.text_start[1:], len(self.h)]
+        cut, text = _cuts(self.h, self.text_start, stop)
+        own = np.flatnonzero(stop > self.text_start)
+        edge, text = np.r_[self.text_start[own], cut], np.r_[own, text]
+        order = np.argsort(edge, kind="stable")
+        edge, text = edge[order], text[order]
+        end = np.r_[edge[1:], len(self.h)]
+        names = _names(self.h, edge, end)
+        place = np.arange(len(edge)) - np.searchsorted(text, text)
+        keep = ~np.isin(text, skipped)
+        return text[keep], place[keep], names[keep], (end - edge)[keep]
+
+
+def _names(h: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
+    return _mixed(spans_hashed(h, start, stop - start) ^ (stop - start).astype(np.uint64)).view(np.int64)
+
+
+def _cuts(h: np.ndarray, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(word, text) of the words before which the texts, words start to stop of h, are cut."""
+    none = np.empty(0, np.int64)
+    if len(h) <= 2 * REACH:
+        return none, none
+    g = h * np.uint64(3)
+    g[:-1] += h[1:] * np.uint64(0x9E3779B97F4A7C15)
+    ends = stop[stop > start] - 1
+    g[ends] = h[ends] * np.uint64(3)  # what follows a text is not its own
+    g = _mixed(g)
+    at = np.flatnonzero(g[REACH:-REACH] == sliding_least(g, 2 * REACH + 1)) + REACH
+    text = np.searchsorted(start, at, "right") - 1
+    inside = (at - REACH >= start[text]) & (at + REACH < stop[text])
+    return at[inside], text[inside]
+
+
+def unspaced(text: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(name, words) of the pieces of a text in which characters of unspaced scripts are words."""
+    text = text.lower()
+    first, end = np.array(word_spans(text)).T
+    h = hashed(text, first, end - first)
+    cut, _ = _cuts(h, np.array([0]), np.array([len(h)]))
+    edge = np.r_[0, cut]
+    stop = np.r_[edge[1:], len(h)]
+    return _names(h, edge, stop), stop - edge
+
+
+def bands(every: np.ndarray, where: np.ndarray) -> np.ndarray:
+    """One 64-bit bucket for each band and set, sets being the runs of every that start at where."""
+    out = np.empty((BANDS, len(where)), np.uint64)
     for b in range(BANDS):
-        bucket = np.full(len(sets), b, np.uint64)
+        bucket = np.full(len(where), b, np.uint64)
         for r in range(b * ROWS, (b + 1) * ROWS):
             h = every * _A[r] + _B[r]
             h ^= h >> np.uint64(31)
@@ -110,25 +167,6 @@ def bands(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def pieces(text: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """(name, words) of the pieces of a text, in order; unspaced scripts have a word a character."""
-    text = text.lower()
-    if spans := word_spans(text):
-        first, stop = np.array(spans).T
-        h = hashed(text, first, stop - first)
-    else:
-        h = hashed(text, *placed(text))
-    if not len(h):
-        return np.empty(0, np.int64), np.empty(0, np.int32)
-    g = h * np.uint64(3)
-    g[:-1] += h[1:] * np.uint64(0x9E3779B97F4A7C15)
-    g = _mixed(g)
-    inner = np.flatnonzero(g[REACH:-REACH] == sliding_least(g, 2 * REACH + 1)) + REACH if len(g) > 2 * REACH else []
-    edge = np.r_[0, inner, len(h)].astype(np.int64)
-    size = np.diff(edge)
-    return _mixed(spans_hashed(h, edge[:-1], size) ^ size.astype(np.uint64)).view(np.int64), size.astype(np.int32)
-
-
 _UNIT = "doc_id long, text_hash long, piece boolean, place int, words int, par long"
 
 
@@ -137,52 +175,48 @@ def _units(least: int, with_pieces: bool):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, "text"):
-            lines, cuts = [], []
-            for k, t in enumerate(b.column("text").cast(pa.binary())):
-                lines += [(k, place, len(h), own) for place, own, h in paragraphs(t.as_py(), least)]
-                cuts.append(pieces(t.as_py()) if with_pieces else (np.empty(0, np.int64), np.empty(0, np.int32)))
-            row, place, size, par = (np.array(c, np.int64) for c in (zip(*lines) if lines else [()] * 4))
-            many = [len(c[0]) for c in cuts]
-            row = np.r_[row, np.repeat(np.arange(len(many)), many)]
-            place = np.concatenate([place, *(np.arange(n) for n in many)]).astype(np.int32)
-            take = pa.array(row, pa.int64())
+            texts = b.column("text").cast(pa.binary()).to_pylist()
+            own = Words.of(texts)
+            text, place, name, start, stop = own.lines(least)
+            found = [(text, place, name, stop - start)]
+            if with_pieces:
+                other = [k for k, t in enumerate(texts) if t and not t.isascii() and has_unspaced(t)]
+                found.append(own.pieces(other))
+                for k in other:
+                    name, size = unspaced(texts[k])
+                    found.append((np.full(len(name), k), np.arange(len(name)), name, size))
+            which, place, name, size = (np.concatenate(c) for c in zip(*found))
+            take = pa.array(which.astype(np.int64))
             yield pa.record_batch(
-                [
-                    b.column("doc_id").take(take),
-                    b.column("text_hash").take(take),
-                    pa.array(np.arange(len(row)) >= len(lines)),
-                    pa.array(place),
-                    pa.array(np.concatenate([size, *(c[1] for c in cuts)]).astype(np.int32)),
-                    pa.array(np.concatenate([par, *(c[0] for c in cuts)]).astype(np.int64)),
-                ],
+                [b.column("doc_id").take(take), b.column("text_hash").take(take), pa.array(np.arange(len(which)) >= len(text)), pa.array(place.astype(np.int32)), pa.array(size.astype(np.int32)), pa.array(name.astype(np.int64))],
                 names=["doc_id", "text_hash", "piece", "place", "words", "par"],
             )
 
     return run
 
 
+#: Paragraphs whose bands are taken at once.
+TOGETHER = 4000
+
+
 def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     done: set[int] = set()
     for b in sliced(batches, "text"):
-        seen: dict[int, np.ndarray] = {}
         if len(done) > 200_000:
             done.clear()
-
-        def flush() -> pa.RecordBatch:
-            own = np.array(list(seen), np.int64)
-            rows = bands(list(seen.values())).view(np.int64)
-            seen.clear()
-            return pa.record_batch([pa.array(rows.ravel()), pa.array(np.tile(own, BANDS))], names=["bucket", "par"])
-
-        for t in b.column("text").cast(pa.binary()):
-            for _, own, h in paragraphs(t.as_py()):
-                if own not in done:
-                    done.add(own)
-                    seen[own] = shingles(h)
-            if len(seen) > 4000:
-                yield flush()
-        if seen:
-            yield flush()
+        own = Words.of(b.column("text").cast(pa.binary()).to_pylist())
+        _, _, name, start, stop = own.lines(WORDS)
+        name, at = np.unique(name, return_index=True)
+        fresh = np.fromiter((x not in done for x in name.tolist()), bool, len(name))
+        name, at = name[fresh], at[fresh]
+        done.update(name.tolist())
+        every = shingles(own.h)
+        for k in range(0, len(name), TOGETHER):
+            some = at[k : k + TOGETHER]
+            size = stop[some] - start[some] - WORDS + 1
+            where = np.cumsum(size) - size
+            rows = bands(every[np.arange(size.sum()) + np.repeat(start[some] - where, size)], where).view(np.int64)
+            yield pa.record_batch([pa.array(rows.ravel()), pa.array(np.tile(name[k : k + TOGETHER], BANDS))], names=["bucket", "par"])
 
 
 def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -232,14 +266,14 @@ def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in sliced(batches, "text"):
-        par, sets = [], []
-        for t, wanted in zip(b.column("text").cast(pa.binary()), b.column("wanted").to_pylist()):
-            wanted = set(wanted)
-            for place, own, h in paragraphs(t.as_py()):
-                if place in wanted:
-                    par.append(own)
-                    sets.append(shingles(h).view(np.int64))
-        yield pa.record_batch([pa.array(par, pa.int64()), pa.array(sets, pa.list_(pa.int64()))], names=["par", "shingles"])
+        own = Words.of(b.column("text").cast(pa.binary()).to_pylist())
+        text, place, name, start, stop = own.lines(WORDS)
+        wanted = b.column("wanted")
+        asked = np.repeat(np.arange(len(wanted)), pc.list_value_length(wanted).to_numpy(zero_copy_only=False)) << 32
+        some = np.isin((text << 32) | place, asked | wanted.flatten().to_numpy(zero_copy_only=False))
+        every = shingles(own.h)
+        sets = [np.unique(every[x : y - WORDS + 1]).view(np.int64) for x, y in zip(start[some].tolist(), stop[some].tolist())]
+        yield pa.record_batch([pa.array(name[some], pa.int64()), pa.array(sets, pa.list_(pa.int64()))], names=["par", "shingles"])
 
 
 def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -125,6 +125,10 @@ def words(text: bytes) -> list[bytes]:
     return _WORD.findall(text) if _ANY_UNSPACED.search(text) else text.split()
 
 
+def has_unspaced(text: bytes) -> bool:
+    return bool(_ANY_UNSPACED.search(text))
+
+
 def word_spans(text: bytes) -> list[tuple[int, int]]:
     """(start, end) of the words of a text that has some unspaced script, else none."""
     return [m.span() for m in _WORD.finditer(text)] if _ANY_UNSPACED.search(text) else []
