@@ -10,9 +10,11 @@ as one row:
 2. all bytes that the run's windows cover. Equal runs are repeated throughout;
 3. for runs with company after digit 1 and none after digit 2, those at the ends of a repeat:
    the bytes that STEP neighbouring windows have in common;
-4. the window itself.
+4. all bytes that these neighbours cover. Equal ones are repeated throughout;
+5. for neighbours with company after digit 3 and none after digit 4: the window itself.
 
-Hashes have 128 bits over digits 1 and 2, or 1 and 4.
+Of equal runs (digit 2) or neighbours (digit 4) in mixed company one stands for all at later digits.
+Hashes have 128 bits over digits 1 and 2, 1 and 4, or 1 and 5.
 
 This departs from a radix sort of every suffix in one point: digit 1 is not the first tokens of a
 suffix but a gram inside its window, so that a row stands for a run of suffixes. With the leading
@@ -182,8 +184,8 @@ def _find_runs(kinds: list[Windows]):
 
 
 def _find_steps(kinds: list[Windows]):
-    """Rows of up to STEP neighbouring windows of a run: digit 3, and digit 4 of each."""
-    names = ["doc_id", "text_hash", "kind", "first", "one", "three", "four"]
+    """Rows of up to STEP neighbouring windows of a run: digits 3 and 4, and digit 5 of each."""
+    names = ["doc_id", "text_hash", "kind", "first", "one", "three", "four", "five"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh3_64_intdigest
@@ -205,14 +207,16 @@ def _find_steps(kinds: list[Windows]):
                         stop = min(last, at - STEP * step)
                         # shared by all windows whose start is STEP * step to STEP * step + STEP - 1 before the anchor
                         shared = text[(at - STEP * step) * size : (at - STEP * step - STEP + 1 + depth) * size]
-                        row = (doc, text_hash, kind, start, r["one"], digest(shared, step), [digest(text[x * size : (x + depth) * size], at - x) for x in range(start, stop + 1)])
+                        covered = digest(text[start * size : (stop + depth) * size], ((at - stop) << 32) | (at - start))
+                        row = (doc, text_hash, kind, start, r["one"], digest(shared, step), covered, [digest(text[x * size : (x + depth) * size], at - x) for x in range(start, stop + 1)])
                         for column, value in zip(out, row):
                             column.append(value)
                         start = stop + 1
-            ends = np.cumsum([0, *map(len, out[6])]).astype(np.int32)
-            four = np.array([x for xs in out[6] for x in xs], np.uint64).view(np.int64)
+            ends = np.cumsum([0, *map(len, out[7])]).astype(np.int32)
+            five = np.array([x for xs in out[7] for x in xs], np.uint64).view(np.int64)
             kept = [pa.array(c, t) for c, t in zip(out[:5], (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()))]
-            yield pa.record_batch([*kept, pa.array(np.array(out[5], np.uint64).view(np.int64)), pa.ListArray.from_arrays(pa.array(ends), pa.array(four))], names=names)
+            digits = [pa.array(np.array(c, np.uint64).view(np.int64)) for c in out[5:7]]
+            yield pa.record_batch([*kept, *digits, pa.ListArray.from_arrays(pa.array(ends), pa.array(five))], names=names)
 
     return run
 
@@ -227,28 +231,38 @@ def repeats(docs: DataFrame, kinds: list[Windows]) -> DataFrame:
     xxhash64 of the text. Windows of different kinds never meet: the kind is in digits 1 and 2."""
     rows = keyed(docs)
     found = cut(rows.mapInArrow(_find_runs(kinds), ", ".join(_ids) + ", kind int, first int, last int, anchor int, one long, two long"), "runs")
-    ref = F.xxhash64("doc_id", "text_hash", "first")
-    equal = found.groupBy("one", "two").agg(F.count("*").alias("n"), F.min(ref).alias("ref"))
-    company = equal.groupBy("one").agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where("all > 1")
-    state = equal.join(company, "one").select("one", "two", (F.col("n") > 1).alias("whole"), F.when(F.col("kinds") > 1, F.col("ref")).alias("open_ref"))
-    # whole runs are repeated; of each kind in mixed company one run is opened
-    alive = found.join(state, ["one", "two"]).withColumn("open", F.coalesce(F.col("open_ref") == ref, F.lit(False)))
-    alive = cut(alive.where("whole OR open").select("doc_id", "text_hash", "kind", "first", "last", "anchor", "one", "whole", "open"), "alive")
+    alive = _refined(found, ["one"], "two")
+    alive = cut(alive.select("doc_id", "text_hash", "kind", "first", "last", "anchor", "one", "whole", "open"), "alive")
     drop(found)
     opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("kind", "first", "last", "anchor", "one")).alias("runs"))
-    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(kinds), ", ".join(_ids) + ", kind int, first int, one long, three long, four array<long>"), "steps")
-    met = steps.groupBy("one", "three").agg(F.count("*").alias("n")).where("n > 1").select("one", "three")
-    windows = cut(steps.join(met, ["one", "three"]).select("doc_id", "text_hash", "kind", "one", "first", F.posexplode("four").alias("k", "window")), "windows")
+    steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(kinds), ", ".join(_ids) + ", kind int, first int, one long, three long, four long, five array<long>"), "steps")
+    near = _refined(steps, ["one", "three"], "four")
+    near = cut(near.select("doc_id", "text_hash", "kind", "first", (F.col("first") + F.size("five") - 1).alias("last"), "one", "whole", F.when(F.col("open"), F.col("five")).alias("five")), "near")
     drop(steps)
+    exploded = near.select("doc_id", "text_hash", "kind", "one", "first", F.posexplode("five").alias("k", "window"))
+    windows = cut(exploded.select("doc_id", "text_hash", "kind", "one", "window", (F.col("first") + F.col("k")).alias("first")), "windows")
     twice = windows.groupBy("one", "window").agg(F.count("*").alias("n")).where("n > 1").select("one", "window")
-    ends = windows.join(twice, ["one", "window"]).select("doc_id", "text_hash", "kind", (F.col("first") + F.col("k")).alias("first"))
-    every = alive.where("whole").select("doc_id", "text_hash", "kind", "first", "last").unionByName(ends.withColumn("last", F.col("first")))
+    ends = windows.join(twice, ["one", "window"]).select("doc_id", "text_hash", "kind", "first", F.col("first").alias("last"))
+    every = ends
+    for level in (alive, near):
+        every = every.unionByName(level.where("whole").select("doc_id", "text_hash", "kind", "first", "last"))
     spans = cut(every.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("first", "last", "kind")).alias("spans")), "spans")
-    drop(alive)
-    drop(windows)
+    for done in (alive, near, windows):
+        drop(done)
     return spans
 
 
+def _refined(rows: DataFrame, shared: list[str], digit: str) -> DataFrame:
+    """rows that have company in shared digits, with whole (and in the next digit too) and open (the
+    one of its kind that stands for all equal ones, as there are other kinds)."""
+    ref = F.xxhash64("doc_id", "text_hash", "first")
+    equal = rows.groupBy(*shared, digit).agg(F.count("*").alias("n"), F.min(ref).alias("ref"))
+    company = equal.groupBy(*shared).agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where("all > 1")
+    state = equal.join(company, shared).select(*shared, digit, (F.col("n") > 1).alias("whole"), F.when(F.col("kinds") > 1, F.col("ref")).alias("open_ref"))
+    out = rows.join(state, [*shared, digit]).withColumn("open", F.coalesce(F.col("open_ref") == ref, F.lit(False)))
+    return out.where("whole OR open")
+
+
 def _with_text(rows: DataFrame, lists: DataFrame, how: str = "inner") -> DataFrame:
     lists = lists.withColumnsRenamed({"doc_id": "d", "text_hash": "h"}).hint("shuffle_hash")
     return rows.join(lists, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")), how).drop("d", "h")
