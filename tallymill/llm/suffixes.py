@@ -231,14 +231,16 @@ def repeats(docs: DataFrame, kinds: list[Windows]) -> DataFrame:
     xxhash64 of the text. Windows of different kinds never meet: the kind is in digits 1 and 2."""
     rows = keyed(docs)
     found = cut(rows.mapInArrow(_find_runs(kinds), ", ".join(_ids) + ", kind int, first int, last int, anchor int, one long, two long"), "runs")
-    alive = _refined(found, ["one"], "two")
+    alive, state = _refined(found, ["one"], "two")
     alive = cut(alive.select("doc_id", "text_hash", "kind", "first", "last", "anchor", "one", "whole", "open"), "alive")
     drop(found)
+    drop(state)
     opened = alive.where("open").groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("kind", "first", "last", "anchor", "one")).alias("runs"))
     steps = cut(_with_text(rows, opened).mapInArrow(_find_steps(kinds), ", ".join(_ids) + ", kind int, first int, one long, three long, four long, five array<long>"), "steps")
-    near = _refined(steps, ["one", "three"], "four")
+    near, state = _refined(steps, ["one", "three"], "four")
     near = cut(near.select("doc_id", "text_hash", "kind", "first", (F.col("first") + F.size("five") - 1).alias("last"), "one", "whole", F.when(F.col("open"), F.col("five")).alias("five")), "near")
     drop(steps)
+    drop(state)
     exploded = near.select("doc_id", "text_hash", "kind", "one", "first", F.posexplode("five").alias("k", "window"))
     windows = cut(exploded.select("doc_id", "text_hash", "kind", "one", "window", (F.col("first") + F.col("k")).alias("first")), "windows")
     twice = windows.groupBy("one", "window").agg(F.count("*").alias("n")).where("n > 1").select("one", "window")
@@ -252,15 +254,16 @@ def repeats(docs: DataFrame, kinds: list[Windows]) -> DataFrame:
     return spans
 
 
-def _refined(rows: DataFrame, shared: list[str], digit: str) -> DataFrame:
+def _refined(rows: DataFrame, shared: list[str], digit: str) -> tuple[DataFrame, DataFrame]:
     """rows that have company in shared digits, with whole (and in the next digit too) and open (the
-    one of its kind that stands for all equal ones, as there are other kinds)."""
+    one of its kind that stands for all equal ones, as there are other kinds), and the table of
+    kinds they are read from, written so that its shuffle files go before rows are shuffled."""
     ref = F.xxhash64("doc_id", "text_hash", "first")
     equal = rows.groupBy(*shared, digit).agg(F.count("*").alias("n"), F.min(ref).alias("ref"))
     company = equal.groupBy(*shared).agg(F.count("*").alias("kinds"), F.sum("n").alias("all")).where("all > 1")
-    state = equal.join(company, shared).select(*shared, digit, (F.col("n") > 1).alias("whole"), F.when(F.col("kinds") > 1, F.col("ref")).alias("open_ref"))
+    state = cut(equal.join(company, shared).select(*shared, digit, (F.col("n") > 1).alias("whole"), F.when(F.col("kinds") > 1, F.col("ref")).alias("open_ref")), "state")
     out = rows.join(state, [*shared, digit]).withColumn("open", F.coalesce(F.col("open_ref") == ref, F.lit(False)))
-    return out.where("whole OR open")
+    return out.where("whole OR open"), state
 
 
 def _with_text(rows: DataFrame, lists: DataFrame, how: str = "inner") -> DataFrame:
