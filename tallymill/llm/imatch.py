@@ -9,6 +9,7 @@ tell short texts apart, poor ones leave long texts components that an edit need
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 from hashlib import blake2b
 
 import numpy as np
@@ -18,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import cut, sliced
+from tallymill.llm.shared import sliced
 
 #: Share of all documents a lexicon term stands in. There are at most (distinct terms of a
 #: document, on average) / LOW such terms, however many documents there are.
@@ -27,8 +28,8 @@ LOW, HIGH = 0.0005, 0.3
 TIERS, EACH = 9, 7
 COMPONENTS = 1 + TIERS * EACH
 RATES = [1.0] + [0.5 ** (2 + t) for t in range(TIERS) for _ in range(EACH)]
-#: Most terms that are broadcast; beyond, raise LOW.
-MOST_TERMS = 4_000_000
+#: Terms whose draws a Python worker keeps; others are drawn again.
+HELD = 1 << 18
 _WORD = regex.compile(r"[\p{L}\p{N}]+")
 
 
@@ -36,25 +37,27 @@ def terms(text: str) -> set[str]:
     return set(_WORD.findall(text.lower()))
 
 
-def _masks(lexicon: list[str]) -> dict[str, tuple[int, ...]]:
-    """term -> the components whose lexicon keeps it."""
-    return {t: kept(t) for t in lexicon}
+def named(term: str) -> int:
+    return xxhash.xxh3_64_intdigest(term.encode())
 
 
+@lru_cache(maxsize=HELD)
 def kept(term: str) -> tuple[int, ...]:
     raw = term.encode()
     draw = np.frombuffer(b"".join(blake2b(raw, digest_size=64, salt=bytes([k])).digest() for k in range(4)), np.uint32)
     return tuple(np.flatnonzero(draw[:COMPONENTS] < np.array(RATES) * 2**32).tolist())
 
 
-def fingerprint(text: str, masks: dict[str, tuple[int, ...]]) -> bytes:
+def fingerprint(text: str, lexicon: np.ndarray) -> bytes:
     """COMPONENTS hashes of two bytes, zero where no term is kept. A text without a lexicon
-    term is taken by all its terms."""
-    own = terms(text)
-    inside = own & masks.keys()
+    term is taken by all its terms. lexicon has the sorted hashes of its terms."""
+    own = sorted(terms(text))
+    names = np.fromiter(map(named, own), np.uint64, len(own))
+    at = np.searchsorted(lexicon, names)
+    inside = lexicon[np.minimum(at, len(lexicon) - 1)] == names if len(lexicon) else np.zeros(len(own), bool)
     parts: list[list[str]] = [[] for _ in range(COMPONENTS)]
-    for t in sorted(inside or own):
-        for k in masks[t] if inside else kept(t):
+    for t in [own[k] for k in np.flatnonzero(inside).tolist()] or own:
+        for k in kept(t):
             parts[k].append(t)
     return np.array([1 + xxhash.xxh32_intdigest(" ".join(p).encode(), k) % 65535 if p else 0 for k, p in enumerate(parts)], "<u2").tobytes()
 
@@ -73,8 +76,10 @@ def likeness(a: bytes, b: bytes) -> float:
     return float((x == y)[some].mean()) if some.any() else 0.0
 
 
-def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> list[str]:
-    """Terms of docs(text) whose document frequency is a share of all rows from low to high."""
+def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> np.ndarray:
+    """Sorted 64-bit hashes of the terms of docs(text) whose document frequency is a share of all rows
+    from low to high: 8 bytes for each of at most (distinct terms of a row, on average) / low terms,
+    so 16 MB at 1,000 a row, however many rows there are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[str, int] = {}
@@ -89,10 +94,14 @@ def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> list[str]:
 
     total = docs.count()
     found = docs.select("text").mapInArrow(run, "term string, n long").groupBy("term").agg(F.sum("n").alias("n"))
-    band = cut(found.where((F.col("n") >= low * total) & (F.col("n") <= high * total)).select("term"), "lexicon")
-    if band.count() > MOST_TERMS:
-        raise ValueError("the lexicon is too large to hold; raise low")
-    return sorted(r[0] for r in band.collect())
+    band = found.where((F.col("n") >= low * total) & (F.col("n") <= high * total)).select("term")
+
+    def name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.record_batch([pa.array(np.array([named(t) for t in b.column(0).to_pylist()], np.uint64).view(np.int64))], names=["h"])
+
+    hashes = band.mapInArrow(name, "h long").toArrow().column("h").to_numpy()
+    return np.unique(hashes.view(np.uint64))
 
 
 def _neighbours(docs: DataFrame, blocks: int) -> DataFrame:
@@ -142,12 +151,12 @@ def fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH, blocks:
     from hashlib import sha256
 
     spark = docs.sparkSession
-    masks = spark.sparkContext.broadcast(_masks(lexicon(docs, low, high)))
+    held_terms = spark.sparkContext.broadcast(lexicon(docs, low, high))
     names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
     kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of, held = masks.value, None
+        of, held = held_terms.value, None
         for b in sliced(batches, "text"):
             out: list[tuple] = []
             for block, copy, doc, text in zip(*(b.column(n).to_pylist() for n in ("block", "copy", "doc_id", "text"))):

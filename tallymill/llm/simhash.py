@@ -106,28 +106,33 @@ def _linked(cell: np.ndarray, fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    left = (np.empty(0, np.int64), np.empty(0, np.uint64))
+    """Links from rows (cell, fp) sorted by cell; the open cell is held in parts until it ends."""
+    parts: list[tuple[np.ndarray, np.ndarray]] = []
 
-    def out(cell: np.ndarray, fp: np.ndarray) -> pa.RecordBatch:
+    def out() -> pa.RecordBatch:
+        cell, fp = (np.concatenate(c) for c in zip(*parts)) if parts else (np.empty(0, np.int64), np.empty(0, np.uint64))
         a, b = _linked(cell, fp) if len(cell) > 1 else (fp[:0], fp[:0])
         return pa.record_batch([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
 
     for batch in batches:
-        cell = np.concatenate([left[0], batch.column(0).to_numpy()])
-        fp = np.concatenate([left[1], batch.column(1).to_numpy().view(np.uint64)])
-        if not len(cell):
+        if not batch.num_rows:
             continue
+        cell, fp = batch.column(0).to_numpy(), batch.column(1).to_numpy().view(np.uint64)
         last = int(np.searchsorted(cell, cell[-1]))
-        left = (cell[last:], fp[last:])
-        yield out(cell[:last], fp[:last])
-    yield out(*left)
+        if last or (parts and parts[-1][0][-1] != cell[0]):
+            parts.append((cell[:last], fp[:last]))
+            yield out()
+            parts = []
+        parts.append((cell[last:], fp[last:]))
+    yield out()
 
 
 def links(prints: DataFrame) -> DataFrame:
     """Links (a, b) whose components are those of all pairs of distinct fingerprints of
     prints(fp) that differ in RADIUS bits or fewer."""
-    visits = prints.select("fp").distinct().select(F.explode(cells(F.col("fp"))).alias("cell"), "fp")
-    parts = int(visits.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    # dealt anew, as a handful of partitions of bare fingerprints become 33 times as many rows
+    visits = prints.select("fp").distinct().repartition(parts, "fp").select(F.explode(cells(F.col("fp"))).alias("cell"), "fp")
     met = visits.repartition(parts, "cell").sortWithinPartitions("cell", "fp")
     return met.mapInArrow(_verify, "a long, b long").distinct()
 
@@ -172,11 +177,3 @@ def one_row(docs: DataFrame) -> DataFrame:
     same = (F.col(text_hash) == F.col(text_hash + "_")) & F.col("doc_id").eqNullSafe(F.col(doc))
     out = docs.withColumn(text_hash, F.xxhash64("text")).join(kept, same, "left_semi")
     return out.dropDuplicates(["doc_id", text_hash]).drop(text_hash)
-
-
-def keep_one(docs: DataFrame) -> DataFrame:
-    """docs without all but one document of each group: the one of least doc_id. Rows that
-    share a doc_id count as one document; a null doc_id is an identifier of its own."""
-    own = unused(docs, "kept_id")
-    kept = near_duplicates(docs).select(F.col("component_id").alias(own)).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col(own)), "left_semi").dropDuplicates(["doc_id"])
