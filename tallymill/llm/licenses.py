@@ -51,6 +51,8 @@ CONFIRM = 0.5
 #: Licences that are no family here, and talk of licences that names none.
 OTHERS = ["the Eclipse Public License, version 2.0", "the zlib License", "the Artistic License 2.0", "the ISC License", "the Boost Software License, version 1.0", "the European Union Public Licence, version 1.2", "the Microsoft Public License", "the Open Software License 3.0", "the Academic Free License", "the PostgreSQL License", "the SIL Open Font License, version 1.1", "the Common Development and Distribution License", "its own licence", "a licence that we could not find", "the terms in the LICENSE file", "the licence of the publisher"]
 TALK = ["See LICENSE for terms.", "License terms apply.", "Please read the licence before use.", "The licence of this text is not known.", "Copyright 2021 the authors.", "Copyright notice", "This material is licensed.", "Use is subject to a license agreement.", "Contact us for licensing.", "License", "SPDX-License-Identifier: ISC", "SPDX-License-Identifier: EPL-2.0", "SPDX-License-Identifier: BSL-1.0"]
+#: Ordinary talk in the words of notices, for corpora that have little of it.
+ORDINARY = ["The version of this file that we could not find was in the other folder.", "See the table for the terms of the equation.", "This work was released in the spring by the publisher of the journal.", "The text below is part of a project that applies to all of us.", "Use of the file is subject to change by the author.", "Please read the document before use.", "The authors are available under this number at all times.", "It was published by its own authors, not by the foundation.", "Contact us for the material of the course.", "You may not use this room except in the evening.", "The public may visit the open source of the river under any conditions.", "All of the rights and the wrongs of the matter were distributed evenly."]
 #: Share of unseen notices of other licences that may be taken for a family.
 WRONG = 0.05
 _TOKEN = regex.compile(r"[\p{L}\p{N}]+")
@@ -155,7 +157,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE, seed: int = 42) -> Model:
     drawn = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 20)) < share).select(F.explode(F.split("text", "\n")).alias("p"))
     plain = drawn.where(F.pmod(F.xxhash64("p"), F.lit(4)) == 0).select(F.substring("p", 1, LONGEST).alias("p")).collect()
     texts = sorted({r[0] for r in plain if not _SPEAKS.intersection(tokens(r[0]))})
-    rows = [*notices(seed), *((NONE, t, k % 3 == 1) for k, t in enumerate(texts)), (NONE, "", False)]
+    rows = [*notices(seed), *((NONE, t, k % 3 == 1) for k, t in enumerate(texts)), (NONE, "", False), *((NONE, t, False) for t in ORDINARY)]
     families = [NONE, UNKNOWN, *TEMPLATES]
     sets = [grams(tokens(t)) for _, t, _ in rows]
     known = sorted(set().union(*(s for (f, _, _), s in zip(rows, sets) if f != NONE)))
