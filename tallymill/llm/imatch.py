@@ -9,7 +9,6 @@ tell short texts apart, poor ones leave long texts components that an edit need
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import lru_cache
 from hashlib import blake2b
 
 import numpy as np
@@ -28,7 +27,7 @@ LOW, HIGH = 0.0005, 0.3
 TIERS, EACH = 9, 7
 COMPONENTS = 1 + TIERS * EACH
 RATES = [1.0] + [0.5 ** (2 + t) for t in range(TIERS) for _ in range(EACH)]
-#: Terms whose draws a Python worker keeps; others are drawn again.
+#: Terms that a Python worker remembers; others are looked up again.
 HELD = 1 << 18
 _WORD = regex.compile(r"[\p{L}\p{N}]+")
 
@@ -41,23 +40,36 @@ def named(term: str) -> int:
     return xxhash.xxh3_64_intdigest(term.encode())
 
 
-@lru_cache(maxsize=HELD)
 def kept(term: str) -> tuple[int, ...]:
     raw = term.encode()
     draw = np.frombuffer(b"".join(blake2b(raw, digest_size=64, salt=bytes([k])).digest() for k in range(4)), np.uint32)
     return tuple(np.flatnonzero(draw[:COMPONENTS] < np.array(RATES) * 2**32).tolist())
 
 
-def fingerprint(text: str, lexicon: np.ndarray) -> bytes:
+class Lexicon(dict):
+    """term -> the components whose lexicon keeps it, none outside the lexicon, whose sorted hashes are
+    given; every term inside is in component 0."""
+
+    def __init__(self, hashes: np.ndarray):
+        self.hashes = hashes
+
+    def __missing__(self, term: str) -> tuple[int, ...]:
+        if len(self) >= HELD:
+            self.clear()
+        name = np.uint64(named(term))
+        at = int(np.searchsorted(self.hashes, name))
+        self[term] = out = kept(term) if at < len(self.hashes) and self.hashes[at] == name else ()
+        return out
+
+
+def fingerprint(text: str, lexicon: Lexicon) -> bytes:
     """COMPONENTS hashes of two bytes, zero where no term is kept. A text without a lexicon
-    term is taken by all its terms. lexicon has the sorted hashes of its terms."""
-    own = sorted(terms(text))
-    names = np.fromiter(map(named, own), np.uint64, len(own))
-    at = np.searchsorted(lexicon, names)
-    inside = lexicon[np.minimum(at, len(lexicon) - 1)] == names if len(lexicon) else np.zeros(len(own), bool)
+    term is taken by all its terms."""
+    own = terms(text)
+    inside = sorted((t, k) for t in own if (k := lexicon[t]))
     parts: list[list[str]] = [[] for _ in range(COMPONENTS)]
-    for t in [own[k] for k in np.flatnonzero(inside).tolist()] or own:
-        for k in kept(t):
+    for t, components in inside or sorted((t, kept(t)) for t in own):
+        for k in components:
             parts[k].append(t)
     return np.array([1 + xxhash.xxh32_intdigest(" ".join(p).encode(), k) % 65535 if p else 0 for k, p in enumerate(parts)], "<u2").tobytes()
 
@@ -156,7 +168,7 @@ def fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH, blocks:
     kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of, held = held_terms.value, None
+        of, held = Lexicon(held_terms.value), None
         for b in sliced(batches, "text"):
             out: list[tuple] = []
             for block, copy, doc, text in zip(*(b.column(n).to_pylist() for n in ("block", "copy", "doc_id", "text"))):

@@ -132,7 +132,7 @@ def links(prints: DataFrame) -> DataFrame:
     prints(fp) that differ in RADIUS bits or fewer."""
     parts = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     # dealt anew, as a handful of partitions of bare fingerprints become 33 times as many rows
-    visits = prints.select("fp").distinct().repartition(parts, "fp").select(F.explode(cells(F.col("fp"))).alias("cell"), "fp")
+    visits = prints.select("fp").distinct().repartition(parts, F.xxhash64("fp")).select(F.explode(cells(F.col("fp"))).alias("cell"), "fp")
     met = visits.repartition(parts, "cell").sortWithinPartitions("cell", "fp")
     return met.mapInArrow(_verify, "a long, b long").distinct()
 
