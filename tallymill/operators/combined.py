@@ -70,11 +70,70 @@ def build(df: DataFrame, key: str, p: SketchParams, group: Sequence[str], event:
     return cells.withColumn("state", F.col("state").cast("int"))
 
 
+#: Shards of a component whose keys are counted on their own before they are merged.
+SHARDS = 32
+
+
+def build_bulk(df: DataFrame, key: str, p: SketchParams, group: Sequence[str] = (), weight: str | None = None, shards: int = SHARDS) -> DataFrame:
+    """(group..., i, col, state or cell): the sketch of the increments of df from counts, not one by one.
+
+    Increments are summed before any shuffle, so a task sends at most one row for each cell
+    (plain exact cells and independent counters) or each distinct key, and a key that holds a third
+    of all increments is one row. Independent counters jump to the state of a cell's count; the law
+    is that of single increments. Correlated counters and the conservative rule take keys one after
+    another, in shards of a component: exact cells of shards add, states are merged with a draw that
+    a component's cells share. The order of increments is by key, not that of build()."""
+    if p.rule == "plain" and p.counter in ("exact", "independent"):
+        cells = cms.cm_build(df, key, p, group, weight)
+        return cells if p.counter == "exact" else _jumped(cells, p, group)
+    n = F.sum(F.col(weight)).alias("n") if weight else F.count("*").alias("n")
+    counts = df.groupBy(*group, key).agg(n).select(*group, F.col(key).cast("long").alias("own"), F.col("n").cast("long").alias("n"), F.pmod(F.xxhash64(key), F.lit(shards)).cast("int").alias("shard"))
+    by, value = [*group, "shard"], "cell" if p.counter == "exact" else "state"
+
+    def step(m: np.ndarray, keys: np.ndarray, n: np.ndarray) -> None:
+        at = np.stack([i * p.w + hash_np(keys, i, p) for i in range(p.l)])
+        flat = m.reshape(-1)
+        if p.counter == "correlated":
+            advance_keys(flat, at, n, p, p.seed, keys)
+        else:
+            for cells, more in zip(at.T, n.tolist()):
+                flat[cells] = np.maximum(flat[cells], flat[cells].min() + more)
+
+    parts = cms.folded(counts, by, ["own"], ["own", "n"], (p.l, p.w), step, value)
+    if p.counter == "exact":
+        return parts.groupBy(*group, "i", "col").agg(F.sum("cell").alias("cell"))
+    # at most `shards` states of a cell meet, in the order of their shards
+    states = F.array_sort(F.collect_list(F.struct("shard", "state")))
+    cap = min(p.cap, 1023)
+
+    def meet(state, other):
+        return merge_round_col(state.cast("int"), other["state"].cast("int"), uniform("mg", p.seed, *[F.col(g) for g in group], other["shard"]), p.base, cap)
+
+    met = parts.groupBy(*group, "i", "col").agg(states.alias("states"))
+    return met.select(*group, "i", "col", F.aggregate("states", F.lit(0), lambda s, x: meet(s, x).cast("int")).alias("state"))
+
+
+def _jumped(cells: DataFrame, p: SketchParams, group: Sequence[str]) -> DataFrame:
+    """States of counters that were stepped as often as exact cells say."""
+    rows = cells.select(*group, "i", "col", F.col("cell").cast("long").alias("cell"), F.xxhash64(*group, "i", "col").alias("id"))
+    schema = T.StructType([*(rows.schema[c] for c in (*group, "i", "col")), T.StructField("state", T.IntegerType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n = b.column("cell").to_numpy()
+            state = advance(np.zeros(len(n), np.int64), n, p.base, p.cap, p.seed, b.column("id").to_numpy())
+            yield pa.record_batch([*(b.column(c) for c in schema.names[:-1]), pa.array(state.astype(np.int32))], names=schema.names)
+
+    return rows.mapInArrow(run, schema)
+
+
 def query(cells: DataFrame, keys: DataFrame, key: str, p: SketchParams, group: Sequence[str] = ()) -> DataFrame:
     """(group..., key, state, est): the read of the least state; absent cells are at state 0."""
     at = cms.looked_up(cells, keys, key, p, group, "state")
     least = at.groupBy(*group, key).agg(F.min("state").cast("int").alias("state"))
-    return least.withColumn("est", counter_read(F.col("state"), p.base, min(p.cap, 1023)))
+    table = min(p.cap, 1023)
+    beyond = (F.pow(F.lit(p.base), F.col("state")) - 1) / (p.base - 1)
+    return least.withColumn("est", F.when(F.col("state") <= table, counter_read(F.col("state"), p.base, table)).otherwise(beyond))
 
 
 def merge(a: DataFrame, b: DataFrame, p: SketchParams, group: Sequence[str], mode: str = "exact", step: int = 0) -> DataFrame:

@@ -95,7 +95,9 @@ class RowSketches:
                 least = np.minimum(least, cells[i, hash_np(keys, i, p)])
         if p.counter == "exact":
             return least.astype(np.float64)
-        return np.array(reads(p.base, min(p.cap, 4095)))[least]
+        if p.cap <= 4095:
+            return np.array(reads(p.base, p.cap))[least]
+        return (p.base ** least.astype(np.float64) - 1) / (p.base - 1)
 
 
 @dataclass(frozen=True)

@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+from dataclasses import replace
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from tallymill.functions.counters import reads, thresholds
 from tallymill.functions.hashing import hash_np
+from tallymill.operators import cms, combined
 from tallymill.params import SketchParams
 
 
@@ -14,8 +19,6 @@ def simulate(keys: np.ndarray, freq: np.ndarray, p: SketchParams, trial: int) ->
     """(estimates, shadow reads, conservative states less plain states at most) of one trial over a
     stream of the keys in random order. The shadow of a key counts only its own increments, by
     the same draws; independent counters have none."""
-    from dataclasses import replace
-
     rng = np.random.default_rng([p.seed, trial])
     own = replace(p, seed=p.seed + 7919 * trial)
     stream = rng.permutation(np.repeat(np.arange(len(keys)), freq))
@@ -59,3 +62,20 @@ def run_trials(spark: SparkSession, keys: list[int], freq: list[int], configs: l
 
     n = len(configs) * trials
     return spark.range(0, n, 1, max(1, min(n, 64))).mapInPandas(run, "config string, trial long, key long, f long, est double, shadow double, over long")
+
+
+def sketch_kernel(counts: DataFrame, key: str, p: SketchParams, trials: int, group: Sequence[str] = (), fresh: bool = True) -> DataFrame:
+    """(trial, group..., key, n, est): the estimates that replace counts(group..., key, n), trial by trial.
+    With fresh, a trial draws hash functions and counters of its own, as the kernel of the theory
+    does; else all trials share them, as samplers do in practice. The counts may be random
+    themselves: a column `trial` of theirs keeps each trial to its own rows."""
+    out = None
+    for t in range(trials):
+        own = replace(p, seed=p.seed + 7919 * t) if fresh else p
+        rows = (counts.where(F.col("trial") == t).drop("trial") if "trial" in counts.columns else counts).select(*group, key, "n")
+        cells = combined.build_bulk(rows, key, own, group, "n")
+        read = cms.cm_query if p.counter == "exact" else combined.query
+        est = read(cells, rows.select(*group, key), key, own, list(group)).select(*group, key, F.col("est").cast("double").alias("est"))
+        done = rows.join(est, [*group, key]).select(F.lit(t).alias("trial"), *group, key, "n", "est")
+        out = done if out is None else out.unionByName(done)
+    return out

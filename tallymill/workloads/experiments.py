@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from multiprocessing.pool import ThreadPool
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -74,14 +76,32 @@ def quick_grid():
     return lambda types, topics: {k: v for k, v in grid2(types, topics).items() if k == "dense" or k.endswith(str(widths(types)[1]))}
 
 
-def run_grid(spark: SparkSession, sf_dir: str, grid, topics: int = 100, sweeps: int = 60, trials: int = 3, held: str = "in_corpus", alpha: float = 0.1, beta: float = 0.1, normaliser: str = "mass", least_df: int = 3) -> list[dict]:
-    """A log row for every config, trial and sweep. Trials of all configs share starts and draws."""
-    c, log = prepare(spark, sf_dir, least_df, held), []
-    for name, matrix in grid(c.types, topics).items():
-        for trial in range(trials):
-            fit = lda.sem_lda(c.train, matrix, c.types, alpha, beta, sweeps, seed=42 + trial, held_out=c.held, normaliser=normaliser)
-            log += [{"config": name, "trial": trial, **r} for r in fit.log]
-    return log
+def run_grid(
+    spark: SparkSession,
+    sf_dir: str,
+    grid,
+    topics: int = 100,
+    sweeps: int = 60,
+    trials: int = 3,
+    held: str = "in_corpus",
+    alpha: float = 0.1,
+    beta: float = 0.1,
+    normaliser: str = "mass",
+    least_df: int = 3,
+    chains: int = 1,
+) -> list[dict]:
+    """A log row for every config, trial and sweep. Trials of all configs share starts and draws. So
+    many chains run at a time, as jobs of one application; their seconds are not those of a chain alone."""
+    c = prepare(spark, sf_dir, least_df, held)
+
+    def run(chain) -> list[dict]:
+        (name, matrix), trial = chain
+        fit = lda.sem_lda(c.train, matrix, c.types, alpha, beta, sweeps, seed=42 + trial, held_out=c.held, normaliser=normaliser)
+        return [{"config": name, "trial": trial, **r} for r in fit.log]
+
+    every = [(m, t) for m in grid(c.types, topics).items() for t in range(trials)]
+    with ThreadPool(chains) as pool:
+        return [r for rows in pool.imap(inheritable_thread_target(spark)(run), every) for r in rows]
 
 
 def exp1(spark: SparkSession, sf_dir: str, topics: int = 100, sweeps: int = 60, trials: int = 3, **more) -> list[dict]:
@@ -147,6 +167,22 @@ def microbench(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def microbench_grid(spark: SparkSession, sf_dir: str, bases: tuple[float, ...] = (1.02, 1.08, 1.5), rows: tuple[int, ...] = (1, 3, 5), logs: tuple[int, ...] = (7, 9)) -> DataFrame:
+    """Errors by frequency band over (base, l, w), for words and parts, each sketch counted in bulk."""
+    sources = {"parts": corpus.order_lines(spark, sf_dir).select(F.lit(0).alias("k"), "key"), "words": corpus.word_increments(spark, sf_dir).select(F.lit(0).alias("k"), "key")}
+    out = None
+    for source, increments in sources.items():
+        exact = cut(increments.groupBy("k", "key").agg(F.count("*").alias("n")), "counts")
+        keys = exact.select("k", "key")
+        for l, log in ((a, b) for a in rows for b in logs):  # noqa: E741
+            for base in bases:
+                p = SketchParams(l, 1 << log, base, 32, counter="correlated")
+                est = combined.query(combined.build_bulk(exact, "key", p, ["k"], "n"), keys, "key", p, ["k"])
+                bands = evaluation.error_bands(exact, est, ["k", "key"]).select(F.lit(source).alias("source"), F.lit(base).alias("base"), F.lit(l).alias("l"), F.lit(log).alias("log2w"), "*")
+                out = bands if out is None else out.unionByName(bands)
+    return out
+
+
 def partition_invariance(spark: SparkSession, sf_dir: str, parts: tuple[int, ...] = (1, 2, 4, 8), topics: int = 4, sweeps: int = 2) -> DataFrame:
     """Checksums of the assignments by number of partitions: exact counts do not depend on it."""
     c, out = prepare(spark, sf_dir), []

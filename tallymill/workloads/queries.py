@@ -14,8 +14,8 @@ from tallymill import evaluation
 from tallymill.functions import counters
 from tallymill.functions.hashing import WORD_KEY_SQL, word_key
 from tallymill.functions.keyed import uniform, uniform_sql
-from tallymill.functions.text import PAGE_SQL, WORDS_SQL
-from tallymill.models import dag, hmm, lda, mixture
+from tallymill.functions.text import PAGE_SQL, WORDS_SQL, words
+from tallymill.models import dag, hmm, lda, mixture, online
 from tallymill.operators import alternatives, cms, combined, stationary, trials
 from tallymill.operators.matrix import Dense, RowSketches, sparse
 from tallymill.params import SketchParams, consistent_sequence, counter_moments, counter_range, plan_base
@@ -336,6 +336,35 @@ def cm_conservative_bracket(spark, sf_dir):
     return violations(n.join(plain, ["k", "key"]).join(careful, ["k", "key"]).select(((F.col("est") < F.col("n")) | (F.col("est") > F.col("plain"))).alias("bad")), "bracket")
 
 
+@query(sql.typed("trial:B k:B key:B n:B est:D", " UNION ALL ".join(f"SELECT {t} AS trial, * FROM ({EXACT}) JOIN ({sql.query_sql(sql.cells_sql(sql.LINES, replace(CM, seed=CM.seed + 7919 * t)), KEYS, replace(CM, seed=CM.seed + 7919 * t))}) USING (k, key)" for t in range(3))))
+def sketch_kernel(spark, sf_dir):
+    """Estimates of every count in three trials, each with hash functions of its own."""
+    return trials.sketch_kernel(exact(spark, sf_dir), "key", CM, 3, ["k"])
+
+
+@query(zero("bulk_conservative"))
+def bulk_conservative_bracket(spark, sf_dir):
+    """Exact <= conservative by counts, in shards <= plain, for every key."""
+    n = exact(spark, sf_dir)
+    plain = cms.cm_query(combined.build_bulk(n, "key", CM, ["k"], "n"), n.select("k", "key"), "key", CM, ["k"]).withColumnRenamed("est", "plain")
+    cu = replace(CM, rule="conservative")
+    careful = cms.cm_query(combined.build_bulk(n, "key", cu, ["k"], "n"), n.select("k", "key"), "key", CM, ["k"])
+    return violations(n.join(plain, ["k", "key"]).join(careful, ["k", "key"]).select(((F.col("est") < F.col("n")) | (F.col("est") > F.col("plain"))).alias("bad")), "bulk_conservative")
+
+
+@query(zero("bulk_touched"))
+def bulk_combined_touched(spark, sf_dir):
+    """By counts and in shards, every counted key reads one or more, and cells are those that increments touch one by one."""
+    n, out = exact(spark, sf_dir), None
+    for p in (IND, CORR):
+        cells = combined.build_bulk(n, "key", p, ["k"], "n")
+        touched = combined.draws(n.withColumn("event", F.col("key")), "key", p, ["k"], ["event"]).select("k", "i", "col").distinct()
+        lost = cells.join(touched, ["k", "i", "col"], "full").select((F.coalesce("state", F.lit(0)) < 1).alias("bad"))
+        low = combined.query(cells, n.select("k", "key"), "key", p, ["k"]).select((F.col("est") < 1).alias("bad"))
+        out = lost.unionByName(low) if out is None else out.unionByName(lost).unionByName(low)
+    return violations(out, "bulk_touched")
+
+
 # Counters
 
 _U = uniform_sql("'ci'", "'42'", "event_id", "'0'")
@@ -754,6 +783,45 @@ def exp2_grid(spark, sf_dir):
     return experiments.grid_frame(spark, experiments.exp2(spark, sf_dir, topics=8, sweeps=3, trials=1))
 
 
+@query()
+def heldout_sets(spark, sf_dir):
+    """Perplexity on documents held out and on the three other corpora, with dense counts; reduced as exp1_grid is."""
+    out = None
+    for held in ("in_corpus", "conversations", "pages", "benchmark"):
+        log = experiments.run_grid(spark, sf_dir, lambda types, k: {"dense": Dense(types, k)}, topics=8, sweeps=3, trials=1, held=held)
+        rows = experiments.grid_frame(spark, log).select(F.lit(held).alias("held"), "sweep", "perplexity", "tokens")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query()
+def param_sweep(spark, sf_dir):
+    """Bases, cell widths and hash rows; reduced as exp1_grid is."""
+    return experiments.grid_frame(spark, experiments.param_sweep(spark, sf_dir, topics=8, sweeps=2))
+
+
+@query()
+def microbench_grid(spark, sf_dir):
+    """Errors by frequency band over bases, hash rows and ranges, counted by bulk increments."""
+    return experiments.microbench_grid(spark, sf_dir)
+
+
+@query()
+def online_topics(spark, sf_dir):
+    """Topics of the documents as a stream of three files, word types counted by a sketch."""
+    import uuid
+
+    top = f"{shared_dir(spark)}/tallymill/online-{uuid.uuid4().hex}"
+    own = load(spark, sf_dir, "documents").select("doc_id", "text")
+    for k in range(3):
+        own.where(F.pmod(F.xxhash64("doc_id"), F.lit(3)) == k).write.parquet(f"{top}/in/{k}")
+    stream = spark.readStream.schema(own.schema).option("maxFilesPerTrigger", 8).option("recursiveFileLookup", "true").parquet(f"{top}/in")
+    fit = online.OnlineTopics(RowSketches(SketchParams(3, 4096, 1.08, 8, counter="independent"), 16))
+    rows = stream.select("doc_id", F.transform(words(F.col("text")), word_key).alias("vs"))
+    rows.writeStream.foreachBatch(fit.update).option("checkpointLocation", f"{top}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.createDataFrame([(r["batch"], r["types"], r["tokens"], r["total"]) for r in fit.log], "batch long, types long, tokens long, total long")
+
+
 # Streams
 
 _STREAM = SketchParams(2, 16)

@@ -181,3 +181,51 @@ def test_consistency(spark):
     rows["off"] = abs(rows.est - rows.f) > 0.2 * rows.f
     off = rows.groupby("config").off.mean()
     assert off["5"] < 0.1 < off["0"]
+
+
+def test_bulk_counters_follow_the_law(spark):
+    from pyspark.sql import functions as F
+
+    from tallymill.functions.counters import counter_pmf
+    from tallymill.operators import combined
+    from tallymill.params import SketchParams
+
+    n, base = 40, 1.5
+    law = counter_pmf(n, base)
+    for counter in ("independent", "correlated"):
+        # many components, each with one key of n increments: as many draws of one counter
+        p = SketchParams(1, 64, base, 8, counter=counter)
+        rows = spark.range(4000).select(F.col("id").alias("k"), (F.col("id") * 7919).alias("key"), F.lit(n).cast("long").alias("n"))
+        got = combined.build_bulk(rows, "key", p, ["k"], "n").groupBy("state").count().collect()
+        seen = {r["state"]: r["count"] / 4000 for r in got}
+        assert sum(abs(seen.get(s, 0) - q) for s, q in enumerate(law)) < 0.1
+
+
+def test_bulk_counters_take_a_hot_key_as_one_row(spark):
+    from pyspark.sql import functions as F
+
+    from tallymill.operators import cms, combined
+    from tallymill.params import SketchParams
+
+    hot = spark.range(90_000).select(F.when(F.col("id") % 3 == 0, F.lit(5)).otherwise(F.col("id") % 1000).alias("key"))
+    n = hot.groupBy("key").count()
+    for p in (SketchParams(3, 4096), SketchParams(3, 4096, rule="conservative"), SketchParams(3, 4096, 1.02, 16, counter="correlated"), SketchParams(3, 4096, 1.02, 16, counter="correlated", rule="conservative"), SketchParams(3, 4096, 1.0005, 16, counter="independent")):
+        cells = combined.build_bulk(hot, "key", p)
+        read = cms.cm_query if p.counter == "exact" else combined.query
+        got = n.join(read(cells, n.select("key"), "key", p), "key").toPandas()
+        if p.counter == "exact":
+            assert (got.est >= got["count"]).all()
+        assert abs(got.est.sum() / got["count"].sum() - 1) < 0.25 and abs(got.est[got.key == 5].iloc[0] / 30_060 - 1) < 0.6
+
+
+def test_kernel_draws_afresh(spark):
+    from tallymill.operators import trials
+    from tallymill.params import SketchParams
+
+    counts = spark.createDataFrame([(0, k, 1 + k % 5) for k in range(200)], "k long, key long, n long")
+    got = trials.sketch_kernel(counts, "key", SketchParams(2, 64), 3, ["k"]).toPandas()
+    assert len(got) == 600 and (got.est >= got.n).all()
+    means = got.groupby("trial").est.sum()
+    assert means.nunique() == 3
+    same = trials.sketch_kernel(counts, "key", SketchParams(2, 64), 2, ["k"], fresh=False).toPandas()
+    assert same.groupby("trial").est.sum().nunique() == 1

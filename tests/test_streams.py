@@ -68,3 +68,23 @@ def test_sessions_and_snapshots(spark):
     snaps = spark.sql("SELECT explode(array(timestamp'2023-12-30 10:00:00', timestamp'2024-01-01 00:30:00')) AS snap_ts")
     got = counts.asof(ev, snaps).collect()
     assert len(got) == 100 and all((r.snap_ts.day == 30) == (r.ts.minute < 30 and r.ts.hour == 0) for r in got)
+
+
+def test_online_topics_count_every_batch_once(spark):
+    from pyspark.sql import functions as F
+
+    from tallymill.functions.hashing import word_key
+    from tallymill.functions.text import words
+    from tallymill.models.online import OnlineTopics
+    from tallymill.operators.matrix import RowSketches
+    from tallymill.params import SketchParams
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", F.transform(words(F.col("text")), word_key).alias("vs"))
+    fit = OnlineTopics(RowSketches(SketchParams(3, 2048, 1.08, 8, counter="independent"), 4))
+    for batch in (0, 1, 1, 2):
+        fit.update(docs.where(F.pmod("doc_id", F.lit(3)) == batch), batch)
+    seen = docs.select(F.explode("vs").alias("v"))
+    n, types = seen.count(), seen.distinct().count()
+    assert [r["batch"] for r in fit.log] == [0, 1, 2]
+    assert fit.log[-1]["total"] == n == sum(r["tokens"] for r in fit.log)
+    assert abs(fit.log[-1]["types"] / types - 1) < 0.05
