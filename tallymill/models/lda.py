@@ -198,10 +198,12 @@ def sem_lda(
     tolerance: float = 0.0,
     local_sweeps: int = 1,
     budget: int = BROADCAST_BYTES,
+    every: int = 1,
 ) -> Fit:
     """Fits corpus(doc_id, vs) by sweeps; log has the seconds, bytes and, with held_out(doc_id,
-    vs), the perplexity of each. Stops before all sweeps once perplexity moves by less than
-    tolerance, relatively, for three sweeps. Only the two latest sweeps stay on disk."""
+    vs), the perplexity of the first five, the last, and those divisible by every. Stops before
+    all sweeps once perplexity moves by less than tolerance, relatively, for three sweeps in a row
+    that tell it. Only the two latest sweeps stay on disk."""
     from tallymill.evaluation import perplexity
 
     smoothed(alpha, beta)
@@ -222,9 +224,10 @@ def sem_lda(
         former, docs = done, done.where("block IS NULL").select("doc_id", "vs", "zs")
         fit = Fit(docs, topics, fit.log if fit else [])
         row = {"sweep": sweep, "seconds": seconds, "bytes": matrix.size_bytes(), "moved": moved}
-        if held_out is not None:
+        told = held_out is not None and (sweep <= 5 or sweep == sweeps or sweep % every == 0)
+        if told:
             row |= perplexity(held_out, topics, alpha, normaliser)
-        if tolerance and fit.log and held_out is not None:
+        if tolerance and told and fit.log and "perplexity" in fit.log[-1]:
             quiet = quiet + 1 if abs(row["perplexity"] / fit.log[-1]["perplexity"] - 1) < tolerance else 0
         fit.log.append(row)
         if quiet >= 3:

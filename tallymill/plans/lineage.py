@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -24,6 +26,26 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+_SWEPT: set[str] = set()
+
+
+def own_dir(spark: SparkSession) -> str:
+    """This application's part of the shared folder. What is still there when the driver's Python
+    ends goes then; a driver that is killed leaves it."""
+    top = f"{shared_dir(spark)}/tallymill/{spark.sparkContext.applicationId}"
+    if top not in _SWEPT:
+        _SWEPT.add(top)
+        atexit.register(_sweep, spark._jvm, top)
+    return top
+
+
+def _sweep(jvm, top: str) -> None:
+    # the gateway may be gone by then
+    with contextlib.suppress(Exception):
+        path = jvm.org.apache.hadoop.fs.Path(top)
+        path.getFileSystem(jvm.org.apache.hadoop.conf.Configuration()).delete(path, True)
+
+
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
@@ -32,7 +54,7 @@ def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     neither recomputes it nor depends on an executor that may be lost. The shuffle files of the
     write go when it ends; nothing else reads them."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tallymill/{name}-{uuid.uuid4().hex}"
+    path = f"{own_dir(spark)}/{name}-{uuid.uuid4().hex}"
     before = spark.conf.get(_CLEANUP, None)
     if before is not None:
         spark.conf.set(_CLEANUP, "true")

@@ -89,14 +89,16 @@ def run_grid(
     normaliser: str = "mass",
     least_df: int = 3,
     chains: int = 1,
+    every: int = 1,
 ) -> list[dict]:
     """A log row for every config, trial and sweep. Trials of all configs share starts and draws. So
-    many chains run at a time, as jobs of one application; their seconds are not those of a chain alone."""
+    many chains run at a time, as jobs of one application; their seconds are not those of a chain alone.
+    Perplexity is told as in sem_lda."""
     c = prepare(spark, sf_dir, least_df, held)
 
     def run(chain) -> list[dict]:
         (name, matrix), trial = chain
-        fit = lda.sem_lda(c.train, matrix, c.types, alpha, beta, sweeps, seed=42 + trial, held_out=c.held, normaliser=normaliser)
+        fit = lda.sem_lda(c.train, matrix, c.types, alpha, beta, sweeps, seed=42 + trial, held_out=c.held, normaliser=normaliser, every=every)
         return [{"config": name, "trial": trial, **r} for r in fit.log]
 
     every = [(m, t) for m in grid(c.types, topics).items() for t in range(trials)]
@@ -126,7 +128,8 @@ def param_sweep(spark: SparkSession, sf_dir: str, topics: int = 20, sweeps: int
 
 
 def grid_frame(spark: SparkSession, log: list[dict]) -> DataFrame:
-    rows = [(r["config"], r["trial"], r["sweep"], float(r["perplexity"]), int(r["tokens"]), float(r["seconds"]), int(r["bytes"]), int(r["moved"])) for r in log]
+    told = [r for r in log if "perplexity" in r]
+    rows = [(r["config"], r["trial"], r["sweep"], float(r["perplexity"]), int(r["tokens"]), float(r["seconds"]), int(r["bytes"]), int(r["moved"])) for r in told]
     return spark.createDataFrame(rows, "config string, trial int, sweep int, perplexity double, tokens long, seconds double, bytes long, moved long")
 
 
@@ -137,6 +140,11 @@ def tables(log: DataFrame) -> DataFrame:
     return rows.where("rule IS NOT NULL")
 
 
+def spread(log: DataFrame) -> DataFrame:
+    """Mean and deviation over trials of each config's perplexity by sweep, and its bytes."""
+    return log.groupBy("config", "sweep").agg(F.avg("perplexity").alias("mean"), F.stddev_samp("perplexity").alias("sd"), F.max("bytes").alias("bytes"), F.count("*").alias("trials"))
+
+
 def curves(log: DataFrame) -> DataFrame:
     """Perplexity of each config by sweep, a column for each config."""
     return log.groupBy("sweep").pivot("config").agg(F.avg("perplexity"))
@@ -176,7 +184,7 @@ def microbench_grid(spark: SparkSession, sf_dir: str, bases: tuple[float, ...] =
         keys = exact.select("k", "key")
         for l, log in ((a, b) for a in rows for b in logs):  # noqa: E741
             for base in bases:
-                p = SketchParams(l, 1 << log, base, 32, counter="correlated")
+                p = SketchParams(l, 1 << log, base, 32, counter="independent")
                 est = combined.query(combined.build_bulk(exact, "key", p, ["k"], "n"), keys, "key", p, ["k"])
                 bands = evaluation.error_bands(exact, est, ["k", "key"]).select(F.lit(source).alias("source"), F.lit(base).alias("base"), F.lit(l).alias("l"), F.lit(log).alias("log2w"), "*")
                 out = bands if out is None else out.unionByName(bands)
@@ -190,3 +198,17 @@ def partition_invariance(spark: SparkSession, sf_dir: str, parts: tuple[int, ...
         fit = lda.sem_lda(c.train.repartition(n), Dense(c.types, topics), c.types, sweeps=sweeps)
         out.append((n, fit.docs.agg(F.bit_xor(F.xxhash64("doc_id", "zs"))).first()[0]))
     return spark.createDataFrame(out, "partitions int, checksum long")
+
+
+def main() -> None:
+    """Both experiments at their own size, chains side by side: python -m tallymill.workloads.experiments TABLES."""
+    import sys
+
+    spark = SparkSession.builder.config("spark.scheduler.mode", "FAIR").getOrCreate()
+    both = lambda types, k: grid1(types, k) | grid2(types, k)
+    log = grid_frame(spark, run_grid(spark, sys.argv[1], both, chains=10, every=10))
+    spread(log).orderBy("config", "sweep").show(1000, truncate=False)
+
+
+if __name__ == "__main__":
+    main()

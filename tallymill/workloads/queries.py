@@ -19,7 +19,7 @@ from tallymill.models import dag, hmm, lda, mixture, online
 from tallymill.operators import alternatives, cms, combined, stationary, trials
 from tallymill.operators.matrix import Dense, RowSketches, sparse
 from tallymill.params import SketchParams, consistent_sequence, counter_moments, counter_range, plan_base
-from tallymill.plans.lineage import cut, shared_dir
+from tallymill.plans.lineage import cut, own_dir
 from tallymill.sources import corpus
 from tallymill.sources.tables import load, replay, zoned
 from tallymill.streaming import counts as streams
@@ -811,11 +811,12 @@ def online_topics(spark, sf_dir):
     """Topics of the documents as a stream of three files, word types counted by a sketch."""
     import uuid
 
-    top = f"{shared_dir(spark)}/tallymill/online-{uuid.uuid4().hex}"
+    top = f"{own_dir(spark)}/online-{uuid.uuid4().hex}"
     own = load(spark, sf_dir, "documents").select("doc_id", "text")
     for k in range(3):
         own.where(F.pmod(F.xxhash64("doc_id"), F.lit(3)) == k).write.parquet(f"{top}/in/{k}")
-    stream = spark.readStream.schema(own.schema).option("maxFilesPerTrigger", 8).option("recursiveFileLookup", "true").parquet(f"{top}/in")
+    files = len(spark.read.option("recursiveFileLookup", "true").parquet(f"{top}/in").inputFiles())
+    stream = spark.readStream.schema(own.schema).option("maxFilesPerTrigger", -(-files // 3)).option("recursiveFileLookup", "true").parquet(f"{top}/in")
     fit = online.OnlineTopics(RowSketches(SketchParams(3, 4096, 1.08, 8, counter="independent"), 16))
     rows = stream.select("doc_id", F.transform(words(F.col("text")), word_key).alias("vs"))
     rows.writeStream.foreachBatch(fit.update).option("checkpointLocation", f"{top}/state").trigger(availableNow=True).start().awaitTermination()
@@ -834,7 +835,7 @@ def _epoch(df):
 def _run(spark, stream, name, mode="complete"):
     import uuid
 
-    return _epoch(streams.collected(stream, f"{name}_{uuid.uuid4().hex[:8]}", mode, f"{shared_dir(spark)}/tallymill/stream-{uuid.uuid4().hex}"))
+    return _epoch(streams.collected(stream, f"{name}_{uuid.uuid4().hex[:8]}", mode, f"{own_dir(spark)}/stream-{uuid.uuid4().hex}"))
 
 
 def _window_sql(starts: str, size: int) -> str:
@@ -870,7 +871,7 @@ def stream_late_counts(spark, sf_dir):
     """Daily counts of a stream whose last file repeats the first events, behind the watermark."""
     import uuid
 
-    top = f"{shared_dir(spark)}/tallymill/late-{uuid.uuid4().hex}"
+    top = f"{own_dir(spark)}/late-{uuid.uuid4().hex}"
     ev = zoned(load(spark, sf_dir, "events"))
     bounds = ev.agg(F.min("event_id"), F.max("event_id")).first()
     third = (bounds[1] - bounds[0]) // 3 + 1
