@@ -27,7 +27,7 @@ LOW, HIGH = 0.0005, 0.3
 TIERS, EACH = 9, 7
 COMPONENTS = 1 + TIERS * EACH
 RATES = [1.0] + [0.5 ** (2 + t) for t in range(TIERS) for _ in range(EACH)]
-#: Terms that a Python worker remembers; others are looked up again.
+#: Terms whose draws a Python worker remembers; others are drawn again.
 HELD = 1 << 18
 _WORD = regex.compile(r"[\p{L}\p{N}]+")
 
@@ -46,30 +46,28 @@ def kept(term: str) -> tuple[int, ...]:
     return tuple(np.flatnonzero(draw[:COMPONENTS] < np.array(RATES) * 2**32).tolist())
 
 
-class Lexicon(dict):
-    """term -> the components whose lexicon keeps it, none outside the lexicon, whose sorted hashes are
-    given; every term inside is in component 0."""
-
-    def __init__(self, hashes: np.ndarray):
-        self.hashes = hashes
+class Kept(dict):
+    """kept() of the terms that a worker meets, remembered."""
 
     def __missing__(self, term: str) -> tuple[int, ...]:
         if len(self) >= HELD:
             self.clear()
-        name = np.uint64(named(term))
-        at = int(np.searchsorted(self.hashes, name))
-        self[term] = out = kept(term) if at < len(self.hashes) and self.hashes[at] == name else ()
+        self[term] = out = kept(term)
         return out
 
 
-def fingerprint(text: str, lexicon: Lexicon) -> bytes:
+def fingerprint(text: str, lexicon: np.ndarray, held: Kept) -> bytes:
     """COMPONENTS hashes of two bytes, zero where no term is kept. A text without a lexicon
-    term is taken by all its terms."""
-    own = terms(text)
-    inside = sorted((t, k) for t in own if (k := lexicon[t]))
+    term is taken by all its terms. lexicon has the sorted hashes of its terms."""
+    own, digest = list(terms(text)), xxhash.xxh3_64_intdigest
+    inside = []
+    if len(lexicon):
+        names = np.array([digest(t) for t in own], np.uint64)
+        hit = lexicon[np.minimum(lexicon.searchsorted(names), len(lexicon) - 1)] == names
+        inside = [own[k] for k in np.flatnonzero(hit).tolist()]
     parts: list[list[str]] = [[] for _ in range(COMPONENTS)]
-    for t, components in inside or sorted((t, kept(t)) for t in own):
-        for k in components:
+    for t in sorted(inside or own):
+        for k in held[t]:
             parts[k].append(t)
     return np.array([1 + xxhash.xxh32_intdigest(" ".join(p).encode(), k) % 65535 if p else 0 for k, p in enumerate(parts)], "<u2").tobytes()
 
@@ -168,14 +166,14 @@ def fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH, blocks:
     kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of, held = Lexicon(held_terms.value), None
+        of, drawn, held = held_terms.value, Kept(), None
         for b in sliced(batches, "text"):
             out: list[tuple] = []
             for block, copy, doc, text in zip(*(b.column(n).to_pylist() for n in ("block", "copy", "doc_id", "text"))):
-                mark = fingerprint(text, of)
+                mark = fingerprint(text, of, drawn)
                 if held and held[0] == block:
                     change = edited(held[2], text)
-                    changed = fingerprint(change, of)
+                    changed = fingerprint(change, of, drawn)
                     out.append((held[1], len(held[2]), sha256(change.encode()).hexdigest(), held[3].hex(), changed.hex(), likeness(held[3], changed), likeness(held[3], mark)))
                 held = None if copy else (block, doc, text, mark)
             yield pa.record_batch([pa.array(c, k) for c, k in zip(zip(*out) if out else [()] * 7, kinds)], names=names)
