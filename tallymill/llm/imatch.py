@@ -47,27 +47,44 @@ def kept(term: str) -> tuple[int, ...]:
 
 
 class Kept(dict):
-    """kept() of the terms that a worker meets, remembered."""
-
-    def __missing__(self, term: str) -> tuple[int, ...]:
-        if len(self) >= HELD:
-            self.clear()
-        self[term] = out = kept(term)
-        return out
+    """kept() of the terms that a worker meets, remembered; none for a term outside the lexicon, whose
+    sorted hashes are given. Every term inside is in component 0."""
 
+    def __init__(self, lexicon: np.ndarray):
+        self.lexicon, self.drawn = lexicon, {}
 
-def fingerprint(text: str, lexicon: np.ndarray, held: Kept) -> bytes:
+    def inside(self, own: set[str]) -> list[tuple[str, tuple[int, ...]]]:
+        fresh = [t for t in own if t not in self]
+        if fresh and len(self) >= HELD:
+            self.clear()
+            fresh = list(own)
+        if fresh:
+            self._look_up(fresh)
+        return sorted((t, k) for t in own if (k := self[t]))
+
+    def _look_up(self, some: list[str]) -> None:
+        digest = xxhash.xxh3_64_intdigest
+        self.update(dict.fromkeys(some, ()))
+        if not len(self.lexicon):
+            return
+        names = np.array([digest(t) for t in some], np.uint64)
+        hit = self.lexicon[np.minimum(self.lexicon.searchsorted(names), len(self.lexicon) - 1)] == names
+        if len(self.drawn) >= HELD:
+            self.drawn.clear()
+        for k in np.flatnonzero(hit).tolist():
+            t = some[k]
+            if t not in self.drawn:
+                self.drawn[t] = kept(t)
+            self[t] = self.drawn[t]
+
+
+def fingerprint(text: str, held: Kept) -> bytes:
     """COMPONENTS hashes of two bytes, zero where no term is kept. A text without a lexicon
-    term is taken by all its terms. lexicon has the sorted hashes of its terms."""
-    own, digest = list(terms(text)), xxhash.xxh3_64_intdigest
-    inside = []
-    if len(lexicon):
-        names = np.array([digest(t) for t in own], np.uint64)
-        hit = lexicon[np.minimum(lexicon.searchsorted(names), len(lexicon) - 1)] == names
-        inside = [own[k] for k in np.flatnonzero(hit).tolist()]
+    term is taken by all its terms."""
+    own = terms(text)
     parts: list[list[str]] = [[] for _ in range(COMPONENTS)]
-    for t in sorted(inside or own):
-        for k in held[t]:
+    for t, components in held.inside(own) or sorted((t, kept(t)) for t in own):
+        for k in components:
             parts[k].append(t)
     return np.array([1 + xxhash.xxh32_intdigest(" ".join(p).encode(), k) % 65535 if p else 0 for k, p in enumerate(parts)], "<u2").tobytes()
 
@@ -166,14 +183,14 @@ def fingerprints(docs: DataFrame, low: float = LOW, high: float = HIGH, blocks:
     kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of, drawn, held = held_terms.value, Kept(), None
+        of, held = Kept(held_terms.value), None
         for b in sliced(batches, "text"):
             out: list[tuple] = []
             for block, copy, doc, text in zip(*(b.column(n).to_pylist() for n in ("block", "copy", "doc_id", "text"))):
-                mark = fingerprint(text, of, drawn)
+                mark = fingerprint(text, of)
                 if held and held[0] == block:
                     change = edited(held[2], text)
-                    changed = fingerprint(change, of, drawn)
+                    changed = fingerprint(change, of)
                     out.append((held[1], len(held[2]), sha256(change.encode()).hexdigest(), held[3].hex(), changed.hex(), likeness(held[3], changed), likeness(held[3], mark)))
                 held = None if copy else (block, doc, text, mark)
             yield pa.record_batch([pa.array(c, k) for c, k in zip(zip(*out) if out else [()] * 7, kinds)], names=names)
