@@ -1,5 +1,6 @@
 """Topics in a directed acyclic hierarchy. A token's latent value is a path from the root to a
-leaf; counts are kept for every edge of a document and for (leaf, word), the latter sketched."""
+leaf; counts are kept for every edge of a document and for (leaf, word), the latter sketched. sweep()
+takes two levels, path_sweep() the paths of any hierarchy."""
 
 from __future__ import annotations
 
@@ -85,3 +86,52 @@ def sweep(toks: DataFrame, supers: int, subs: int, alpha: float, gamma_prior: fl
     weights = F.transform(F.sequence(F.lit(0), F.lit(size - 1)), weigh)
     drawn = draw(weights, uniform("z", seed, number, F.col("doc_id"), F.col("pos"))).cast("int")
     return toks.drop("z").join(psi, "v").join(own, "doc_id").select("doc_id", "pos", "v", drawn.alias("z"))
+
+
+def _edge_weights(own: DataFrame, nodes: list[list[str]], prior: float) -> DataFrame:
+    """(doc_id, pw): the weight of every path in a document, the product over its edges of the
+    smoothed share of the edge among those that leave its node, by whatever way that was reached.
+    The root's total is left out, as it is the same for all paths."""
+    edges = sorted({e for path in nodes for e in zip(path, path[1:])})
+    at = {e: k for k, e in enumerate(edges)}
+    on = np.array([[float(e in set(zip(path, path[1:]))) for e in edges] for path in nodes])
+    alike = np.array([[float(a[0] == b[0]) for b in edges] for a in edges])
+    ways = alike.sum(1)
+    root = np.array([e[0] == nodes[0][0] for e in edges])
+    places = [[at[e] for e in zip(path, path[1:])] for path in nodes]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = b.column("joint").to_pylist()
+            if not rows:
+                continue
+            n = np.array(rows, float) @ on
+            share = (n + prior) / np.where(root, 1.0, n @ alike + ways * prior)
+            out = np.ones((len(rows), len(places)))
+            for k, path in enumerate(places):
+                for e in path:
+                    out[:, k] *= share[:, e]
+            yield pa.record_batch([b.column("doc_id"), pa.array(out.tolist(), pa.list_(pa.float64()))], names=["doc_id", "pw"])
+
+    return own.select(F.col("doc_id").cast("long").alias("doc_id"), "joint").mapInArrow(run, "doc_id long, pw array<double>")
+
+
+def path_sweep(toks: DataFrame, nodes: list[list[str]], prior: float, beta: float, types: int, seed: int, number: int, p: SketchParams | None = None) -> DataFrame:
+    """Draws the path of every token of toks(doc_id, pos, v, z) anew: z is the place of a path in nodes,
+    the lists of nodes that paths() gives, in its order. Paths may differ in length and share
+    nodes; a leaf's words are counted over all paths that end there. The paths are the model's,
+    held by every task; documents and words stay distributed."""
+    smoothed(prior, beta)
+    if len({path[0] for path in nodes}) != 1 or min(map(len, nodes)) < 2:
+        raise ValueError("paths need one root and an edge each")
+    leaves = sorted({path[-1] for path in nodes})
+    ends = F.array(*[F.lit(leaves.index(path[-1])) for path in nodes])
+    own = _spread(toks.groupBy("doc_id", "z").agg(F.count("*").cast("double").alias("n")), "doc_id", "z", "n", len(nodes)).withColumnRenamed("est", "joint")
+    leaf = toks.select("doc_id", "pos", "v", F.get(ends, F.col("z")).alias("z"))
+    words = topic_counts(leaf, len(leaves)) if p is None else sketch_vectors(leaf, len(leaves), p)
+    totals = leaf.groupBy("z").agg(F.count("*").cast("double").alias("n")).agg(F.map_from_entries(F.collect_list(F.struct("z", "n"))).alias("t"))
+    phi = F.transform("est", lambda e, t: (e + beta) / (F.coalesce(F.col("t")[t], F.lit(0.0)) + types * beta))
+    psi = words.crossJoin(F.broadcast(totals)).select("v", phi.alias("psi"))
+    weights = F.transform("pw", lambda x, k: x * F.get("psi", F.get(ends, k)))
+    drawn = draw(weights, uniform("z", seed, number, F.col("doc_id"), F.col("pos"))).cast("int")
+    return toks.drop("z").join(psi, "v").join(_edge_weights(own, nodes, prior), "doc_id").select("doc_id", "pos", "v", drawn.alias("z"))

@@ -500,35 +500,59 @@ def combined_collision_free(spark, sf_dir):
     return violations(spread.select(((F.col("a") != F.col("b")) | (F.col("m") != CORR.l)).alias("bad")), "collision_free")
 
 
-def nations(spark, sf_dir, size=1200):
-    """Keys and frequencies in the proportions of customers by nation, about size increments."""
+def nations(spark, sf_dir):
+    """Nations and their numbers of customers, all of them."""
     got = load(spark, sf_dir, "customer").groupBy("c_nationkey").count().orderBy("c_nationkey").collect()
-    total = sum(r[1] for r in got)
-    # spread over powers of two, so that frequencies differ
-    share = [r[1] / total * 2.0 ** -(i % 5) for i, r in enumerate(got)]
-    return [int(r[0]) for r in got], [max(1, round(size * s / sum(share))) for s in share]
+    return [int(r[0]) for r in got], [int(r[1]) for r in got]
+
+
+def _sequence(spark, sf_dir):
+    seq = [(f"{c}/{n}", replace(p, counter=c)) for n, p in enumerate(consistent_sequence(6)) for c in ("independent", "correlated")]
+    return trials.run_trials(spark, *nations(spark, sf_dir), seq, 32, bulk=True)
+
+
+def _consistency(spark, sf_dir):
+    return _sequence(spark, sf_dir).groupBy("config").agg(F.avg((F.abs(F.col("est") - F.col("f")) > 0.2 * F.col("f")).cast("double")).alias("off"))
 
 
 @query()
 def consistency_sequence(spark, sf_dir):
     """Chance that a key is off by more than a fifth of its frequency, along a consistent sequence."""
-    seq = [(f"{n}/{rule}", replace(p, counter=c)) for n, p in enumerate(consistent_sequence(5)) for rule, c in (("independent", "independent"), ("correlated", "correlated"))]
-    rows = trials.run_trials(spark, *nations(spark, sf_dir, 400), seq, 16)
-    return rows.groupBy("config").agg(F.avg((F.abs(F.col("est") - F.col("f")) > 0.2 * F.col("f")).cast("double")).alias("off"))
+    return _consistency(spark, sf_dir)
+
+
+def _norm(spark, sf_dir):
+    worst = _sequence(spark, sf_dir).groupBy("config", "trial").agg(F.max(F.abs(F.col("est") - F.col("f"))).alias("norm"), F.max("f").alias("top"))
+    return worst.groupBy("config").agg(F.avg("norm").alias("norm"), F.avg((F.col("norm") > 0.2 * F.col("top")).cast("double")).alias("off"))
 
 
 @query()
 def matrix_max_norm(spark, sf_dir):
     """Chance that any key is off by more than a fifth of the largest frequency."""
-    rows = trials.run_trials(spark, *nations(spark, sf_dir, 400), [(str(n), p) for n, p in enumerate(consistent_sequence(5))], 16)
-    worst = rows.groupBy("config", "trial").agg(F.max(F.abs(F.col("est") - F.col("f"))).alias("norm"), F.max("f").alias("top"))
-    return worst.groupBy("config").agg(F.avg("norm").alias("norm"), F.avg((F.col("norm") > 0.2 * F.col("top")).cast("double")).alias("off"))
+    return _norm(spark, sf_dir)
 
 
-@query()
-def mean_bracket(spark, sf_dir):
-    """Mean estimate of each key under both correlated rules, and its bounds."""
-    keys, freq = nations(spark, sf_dir, 400)
+def _falls(df, value, check, share):
+    """Whether value ends, for either rule, at no more than a share of where it starts."""
+    step = df.select(F.split_part("config", F.lit("/"), F.lit(1)).alias("rule"), F.split_part("config", F.lit("/"), F.lit(2)).cast("int").alias("step"), F.col(value).alias("x"))
+    ends = step.groupBy("rule").agg(F.min_by("x", "step").alias("a"), F.max_by("x", "step").alias("b"))
+    return violations(ends.select((F.col("b") > share * F.col("a")).alias("bad")), check)
+
+
+@query(zero("consistency"))
+def consistency_check(spark, sf_dir):
+    """Along a consistent sequence the chance of a large error falls to less than a quarter."""
+    return _falls(_consistency(spark, sf_dir), "off", "consistency", 0.25)
+
+
+@query(zero("max_norm"))
+def matrix_max_norm_check(spark, sf_dir):
+    """Along a consistent sequence the largest error of all entries falls to less than a quarter."""
+    return _falls(_norm(spark, sf_dir), "norm", "max_norm", 0.25)
+
+
+def _brackets(spark, sf_dir):
+    keys, freq = nations(spark, sf_dir)
     p = SketchParams(3, 16, 1.3, 32, counter="correlated")
     rows = trials.run_trials(spark, keys, freq, [("correlated", p), ("conservative", replace(p, rule="conservative"))], 64)
     bound = F.col("f") + (F.lit(sum(freq)) - F.col("f")) / p.w
@@ -536,13 +560,40 @@ def mean_bracket(spark, sf_dir):
 
 
 @query()
-def underestimation_by_rule(spark, sf_dir):
-    """Mean estimate over frequency without collisions, by rule and hash rows: independent counters sink as rows grow."""
+def mean_bracket(spark, sf_dir):
+    """Mean estimate of each key under both correlated rules, and its bounds. Every customer is an increment."""
+    return _brackets(spark, sf_dir)
+
+
+@query(zero("mean_bracket"))
+def mean_bracket_check(spark, sf_dir):
+    """Means of 64 trials lie between their bounds but for five standard errors; no shadow exceeds an answer."""
+    se = 5 * F.col("sd") / 8
+    bad = (F.col("mean") < F.col("f") - se) | (F.col("mean") > F.col("upper") + se) | (F.col("over") > 0) | (F.col("coupling_violations") > 0)
+    return violations(_brackets(spark, sf_dir).select(bad.alias("bad")), "mean_bracket")
+
+
+def _sinking(spark, sf_dir):
     configs = [(f"{c}/{rows}", SketchParams(rows, 4096, 1.5, 32, counter=c)) for c in ("independent", "correlated") for rows in (1, 3, 5)]
-    rows = trials.run_trials(spark, *nations(spark, sf_dir, 400), configs, 24)
+    rows = trials.run_trials(spark, *nations(spark, sf_dir), configs, 48, bulk=True)
     return rows.groupBy("config").agg((F.sum("est") / F.sum("f")).alias("ratio"), F.avg((F.col("est") < F.col("f")).cast("double")).alias("under"))
 
 
+@query()
+def underestimation_by_rule(spark, sf_dir):
+    """Mean estimate over frequency without collisions, by rule and hash rows: independent counters sink as rows grow."""
+    return _sinking(spark, sf_dir)
+
+
+@query(zero("underestimation"))
+def underestimation_check(spark, sf_dir):
+    """More hash rows sink independent counters each time; correlated ones stay within a tenth of the frequency."""
+    at = _sinking(spark, sf_dir).groupBy().pivot("config", [f"{c}/{n}" for c in ("independent", "correlated") for n in (1, 3, 5)]).agg(F.first("ratio"))
+    c = lambda name: F.col(f"`{name}`")
+    rules = [c("independent/3") >= c("independent/1"), c("independent/5") >= c("independent/3"), *[F.abs(c(f"correlated/{n}") - 1) > 0.1 for n in (1, 3, 5)]]
+    return violations(at.select(F.explode(F.array(*rules)).alias("bad")), "underestimation")
+
+
 # Samplers, whole token table, word fingerprints as ids
 
 
@@ -722,6 +773,39 @@ def dag_topics_sweep(spark, sf_dir):
     return _by_doc(dag.sweep(start, _S, _T, ALPHA, ALPHA, BETA, _types(toks), SEED, 1))
 
 
+#: A hierarchy of three levels whose lower nodes have two parents each; all nodes have two children.
+_DEEP = [("r", "a"), ("r", "b"), ("a", "d"), ("a", "e"), ("b", "e"), ("b", "f"), ("d", "p"), ("d", "q"), ("e", "q"), ("e", "s"), ("f", "s"), ("f", "p")]
+
+
+def _deep_sql() -> str:
+    ways = sorted([x, y, z, w] for x, y in _DEEP if x == "r" for y2, z in _DEEP if y2 == y for z2, w in _DEEP if z2 == z)
+    rows = ", ".join(f"({k}, '{a}{b}', '{b}{c}', '{c}{d}', '{b}', '{c}', '{d}')" for k, (a, b, c, d) in enumerate(ways))
+    u = uniform_sql("'z'", "'42'", "'1'", "doc_id", "pos")
+    share = lambda e, n: f"((coalesce({e}.n, 0) + {ALPHA}) / (coalesce({n}.n, 0) + 2 * {ALPHA}))"
+    return f"""WITH {_TOKS}, z0 AS MATERIALIZED ({sql.start_sql(len(ways), SEED)}), ways(k, e1, e2, e3, n2, n3, leaf) AS (VALUES {rows}),
+    placed AS MATERIALIZED (SELECT * FROM z0 JOIN ways ON z = k),
+    ec AS MATERIALIZED (SELECT doc_id, e, count(*)::DOUBLE AS n FROM (SELECT doc_id, unnest([e1, e2, e3]) AS e FROM placed) GROUP BY ALL),
+    nc AS MATERIALIZED (SELECT doc_id, m, count(*)::DOUBLE AS n FROM (SELECT doc_id, unnest([n2, n3]) AS m FROM placed) GROUP BY ALL),
+    dw AS MATERIALIZED (SELECT d.doc_id, g.k, g.leaf, (coalesce(x.n, 0) + {ALPHA}) * {share("y", "a")} * {share("z", "b")} AS pw
+      FROM (SELECT DISTINCT doc_id FROM z0) d CROSS JOIN ways g LEFT JOIN ec x ON x.doc_id = d.doc_id AND x.e = e1 LEFT JOIN ec y ON y.doc_id = d.doc_id AND y.e = e2
+      LEFT JOIN ec z ON z.doc_id = d.doc_id AND z.e = e3 LEFT JOIN nc a ON a.doc_id = d.doc_id AND a.m = n2 LEFT JOIN nc b ON b.doc_id = d.doc_id AND b.m = n3),
+    c AS MATERIALIZED (SELECT v, leaf, count(*) AS n FROM placed GROUP BY ALL), nt AS (SELECT leaf, count(*) AS n FROM placed GROUP BY ALL)
+    SELECT doc_id, z, count(*) AS n FROM (
+      SELECT doc_id, pos, coalesce(min(k) FILTER (run > {u} * total), {len(ways) - 1}) AS z FROM (
+        SELECT doc_id, pos, k, sum(wt) OVER (PARTITION BY doc_id, pos ORDER BY k) AS run, sum(wt) OVER (PARTITION BY doc_id, pos) AS total FROM (
+          SELECT x.doc_id, x.pos, g.k, g.pw * ((coalesce(c.n, 0) + {BETA}) / (nt.n + {_V} * {BETA})) AS wt
+          FROM z0 x JOIN dw g ON g.doc_id = x.doc_id LEFT JOIN c ON c.v = x.v AND c.leaf = g.leaf JOIN nt ON nt.leaf = g.leaf))
+      GROUP BY doc_id, pos) GROUP BY ALL"""
+
+
+@query(sql.typed(_BY_DOC, _deep_sql()))
+def dag_paths_sweep(spark, sf_dir):
+    toks = cut(tokens(spark, sf_dir), "tokens")
+    ways = [r.nodes for r in dag.paths(spark, _DEEP, "r").orderBy("path").collect()]
+    start = cut(dag.initial(toks, len(ways), 1, SEED), "dag")
+    return _by_doc(dag.path_sweep(start, ways, ALPHA, BETA, _types(toks), SEED, 1))
+
+
 @query()
 def dag_topics_draws(spark, sf_dir):
     """The blocked form, with Dirichlet draws and sketched word counts."""

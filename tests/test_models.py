@@ -122,6 +122,24 @@ def test_hierarchy(spark, toks):
         assert out.count() == 2401 and out.where("z < 0 OR z > 5").count() == 0
 
 
+def test_paths_of_any_depth(spark, toks):
+    z = dag.initial(toks, 2, 3, 1).cache()
+    two = [["r", s, t] for s in "ab" for t in "xyz"]
+    for p in (None, SketchParams(2, 64)):
+        a = dag.sweep(z, 2, 3, 0.1, 0.1, 0.1, TYPES, 1, 1, p)
+        b = dag.path_sweep(z, two, 0.1, 0.1, TYPES, 1, 1, p)
+        assert a.exceptAll(b).count() == 0 and a.count() == b.count() == 2401
+    # paths of two lengths that share nodes, weights from the rule alone
+    ways = [["r", "a", "x"], ["r", "a", "y", "x"], ["r", "b", "y", "x"], ["r", "b", "y", "w"]]
+    own = spark.createDataFrame([(1, [3.0, 1.0, 2.0, 0.0])], "doc_id long, joint array<double>")
+    got = dag._edge_weights(own, ways, 0.5).first().pw
+    yx, yw = 3.5 / 4, 0.5 / 4
+    assert got == pytest.approx([4.5 * (3.5 / 5), 4.5 * (1.5 / 5) * yx, 2.5 * (2.5 / 2.5) * yx, 2.5 * yw])
+    assert dag.path_sweep(dag.initial(toks, 4, 1, 1), ways, 0.1, 0.1, TYPES, 1, 1).count() == 2401
+    with pytest.raises(ValueError):
+        dag.path_sweep(z, [["r"]], 0.1, 0.1, TYPES, 1, 1)
+
+
 def test_hidden_states(spark):
     rng = np.random.default_rng(0)
     rows = []
