@@ -45,11 +45,17 @@ def sample(fraction: float, seed: int, *key: str) -> Column:
 
 def draw(weights: Column, u: Column) -> Column:
     """Least index whose running sum of weights exceeds u times the total; the last if none does."""
-    start = F.struct(F.lit(0.0).alias("sum"), F.lit(0).alias("k"), F.lit(-1).alias("hit"))
+    # the bound is a field of the start: inside the function it would be taken anew for every weight
     total = F.aggregate(weights, F.lit(0.0), lambda s, x: s + x)
-    end = F.aggregate(
+    start = F.struct(F.lit(0.0).alias("sum"), F.lit(0).alias("k"), F.lit(-1).alias("hit"), (u * total).alias("bound"))
+    return F.aggregate(
         weights,
         start,
-        lambda s, x: F.struct((s["sum"] + x).alias("sum"), (s["k"] + 1).alias("k"), F.when((s["hit"] < 0) & (s["sum"] + x > u * total), s["k"]).otherwise(s["hit"]).alias("hit")),
+        lambda s, x: F.struct(
+            (s["sum"] + x).alias("sum"),
+            (s["k"] + 1).alias("k"),
+            F.when((s["hit"] < 0) & (s["sum"] + x > s["bound"]), s["k"]).otherwise(s["hit"]).alias("hit"),
+            s["bound"].alias("bound"),
+        ),
+        lambda s: F.when(s["hit"] < 0, s["k"] - 1).otherwise(s["hit"]),
     )
-    return F.when(end["hit"] < 0, F.size(weights) - 1).otherwise(end["hit"])
