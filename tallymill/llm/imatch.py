@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallymill.llm.shared import sliced
+from tallymill.llm.shared import cut, drop, sliced
 
 #: Share of all documents a lexicon term stands in. There are at most (distinct terms of a
 #: document, on average) / LOW such terms, however many documents there are.
@@ -128,13 +128,15 @@ def lexicon(docs: DataFrame, low: float = LOW, high: float = HIGH) -> Lexicon:
 
     total = docs.count()
     found = docs.select("text").mapInArrow(run, "h long, term string, n long").groupBy("h").agg(F.sum("n").alias("n"), F.min("term").alias("term"))
-    band = found.where((F.col("n") >= low * total) & (F.col("n") <= high * total)).select("h", "term")
+    # written, so that the shuffle of all terms is gone before texts are dealt
+    band = cut(found.where((F.col("n") >= low * total) & (F.col("n") <= high * total)).select("h", "term"), "lexicon")
 
     def draw(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             yield pa.record_batch([b.column(0), pa.array(masked(b.column(1).to_pylist()).view(np.int64))], names=["h", "mask"])
 
     rows = band.mapInArrow(draw, "h long, mask long").toArrow()
+    drop(band)
     hashes, masks = (rows.column(c).to_numpy().view(np.uint64) for c in ("h", "mask"))
     return Lexicon(hashes, masks)
 
