@@ -30,6 +30,11 @@ def test_query_equals_sql(name, spark, duck):
     assert a.astype(object).equals(b.astype(object)) or ((a == b) | (a.isna() & b.isna())).all().all()
 
 
+@pytest.mark.parametrize("name", ["counter_moments_table", "counter_pmf", "counter_range_plan", "counter_read_table", "size_table_cm", "size_table_combined"])
+def test_reads_a_table(name, spark):
+    assert QUERIES[name](spark, SF).inputFiles()
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
