@@ -12,23 +12,11 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallymill.plans.lineage import cut, drop, shared_dir
+from tallymill.plans.lineage import cut, drop, modest, shared_dir
 
 __all__ = ["components", "cut", "drop", "hot_join", "modest", "shared_dir", "sliced", "table", "unused"]
 
 
-#: Bytes of a batch between the JVM and a Python worker; each worker and its JVM side hold one.
-BATCH_BYTES = "8m"
-_BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
-
-
-def modest(spark: SparkSession) -> None:
-    """Sets the session's Arrow batches to BATCH_BYTES, a runtime setting, so that whole texts
-    of many rows do not fill an executor's memory beside its heap."""
-    if spark.conf.isModifiable(_BATCH):
-        spark.conf.set(_BATCH, BATCH_BYTES)
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     modest(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
