@@ -4,11 +4,12 @@ from collections import Counter
 from dataclasses import replace
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from tallymill.functions.hashing import hash_col, hash_np
-from tallymill.functions.keyed import uniform_py
+from tallymill.functions.keyed import uniform_py, uniforms_text
 from tallymill.operators import cms, combined, trials
 from tallymill.params import SketchParams, consistent_sequence
 from tallymill.plans import planner
@@ -92,6 +93,28 @@ def test_combined_cells(stream, counter, rule):
     assert collected(combined.build(df, "key", p, ["k"], ["event"]), "state") == naive(rows, p, rule, counter)
 
 
+def test_only_increments_that_move_a_state_are_shuffled(spark):
+    """A pass for several sketches leaves few of many increments, and each sketch is the same from those."""
+    rng = np.random.default_rng(8)
+    # naive() folds in the order of events, which are texts here
+    rows = [(int(k), int(x), f"{e},{e % 7}") for e, (k, x) in enumerate(zip(rng.integers(0, 2, 20000), rng.zipf(1.3, 20000) % 90))]
+    df = spark.createDataFrame(rows, "k int, key long, event string").repartition(3)
+    kinds = [replace(CORR, counter="independent"), CORR, replace(CORR, rule="conservative"), replace(CORR, l=2), replace(CORR, base=1.1, w=8)]
+    kept = combined.moving(df, "key", kinds, ["k"], ["event"]).cache()
+    assert kept.columns == ["k", "event", "key"] and kept.count() < len(rows) / 4
+    for p in kinds:
+        want = naive(rows, p, p.rule, p.counter)
+        assert collected(combined.build(kept, "key", p, ["k"], ["event"]), "state") == want
+        assert collected(combined.build(df, "key", p, ["k"], ["event"]), "state") == want
+
+
+def test_draws_of_texts_equal_each_alone():
+    ids = [f"{d},{n}" for d in (0, 7, 123456, 10**17) for n in range(0, 1200, 13)] + ["", "é" * 5]
+    for texts in (ids, [*ids, "x" * 60]):
+        got = uniforms_text("ci|42|", pa.array(texts), ["|0", "|12"])
+        assert [g.tolist() for g in got] == [[uniform_py("ci", 42, x, n) for x in texts] for n in (0, 12)]
+
+
 def test_packing(stream):
     rows, df = stream
     cells = cms.cm_build(df, "key", P, ["k"])
