@@ -42,3 +42,8 @@ def whole(monkeypatch, spark, name):
 
 def test_exp2_grid_is_whole(spark, monkeypatch):
     assert whole(monkeypatch, spark, "exp2_grid")[0] == [(100, 60, 3)]
+
+
+def test_heldout_sets_are_whole(spark, monkeypatch):
+    asked, columns = whole(monkeypatch, spark, "heldout_sets")
+    assert asked == [(100, 60, 3)] * 2 and "trial" in columns
