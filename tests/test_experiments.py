@@ -47,3 +47,7 @@ def test_exp2_grid_is_whole(spark, monkeypatch):
 def test_heldout_sets_are_whole(spark, monkeypatch):
     asked, columns = whole(monkeypatch, spark, "heldout_sets")
     assert asked == [(100, 60, 3)] * 2 and "trial" in columns
+
+
+def test_param_sweep_is_whole(spark, monkeypatch):
+    assert whole(monkeypatch, spark, "param_sweep")[0] == [(100, 60, 3)]
